@@ -39,7 +39,7 @@ def source_targets(sizes: DataFrame, share: float = 1.5, most: float = 2.0) -> D
     """source, source_rank, source_size and target from rows of (source, size).
 
     Sources fill up in order of most * size / weight. Before the k-th one fills up, what is left of the
-    budget over the weights left is the level; the first source whose own bound reaches it ends the filling.
+    budget over the weights left is the level; the first source whose own bound reaches it ends the filling; levels fall from there on.
     """
     sources = sizes.groupBy("source").agg(F.sum("size").alias("source_size"))
     one = sources.withColumn("source_rank", F.row_number().over(Window.orderBy(F.col("source").asc_nulls_last())))
@@ -48,7 +48,7 @@ def source_targets(sizes: DataFrame, share: float = 1.5, most: float = 2.0) -> D
     order = Window.orderBy("bound", "source_rank")
     filled = (
         bound.withColumn("level", (F.lit(share) * F.sum("source_size").over(Window.partitionBy()) - F.coalesce(F.lit(most) * F.sum("source_size").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0))) / F.sum("weight").over(order.rowsBetween(0, Window.unboundedFollowing)))
-        .withColumn("level", F.min_by(F.when(F.col("level") <= F.col("bound"), F.col("level")), F.when(F.col("level") <= F.col("bound"), F.col("level"))).over(Window.partitionBy()))
+        .withColumn("level", F.max(F.when(F.col("level") <= F.col("bound"), F.col("level"))).over(Window.partitionBy()))
     )
     return filled.select("source", "source_rank", "source_size", F.least(F.col("level") * F.col("weight"), F.lit(most) * F.col("source_size")).alias("target"))
 
@@ -99,7 +99,7 @@ levels AS (
      - coalesce(CAST({most} AS DOUBLE) * CAST(sum(source_size) OVER (ORDER BY bound, source_rank ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS DOUBLE), 0.0))
      / CAST(sum(weight) OVER (ORDER BY bound, source_rank ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS DOUBLE) AS level FROM bounded),
 targets AS (
-  SELECT source, source_rank, source_size, least((SELECT min(level) FROM levels WHERE level <= bound) * weight, CAST({most} AS DOUBLE) * source_size) AS target FROM levels),
+  SELECT source, source_rank, source_size, least((SELECT max(level) FROM levels WHERE level <= bound) * weight, CAST({most} AS DOUBLE) * source_size) AS target FROM levels),
 placed AS (
   SELECT s.doc_id, s.size, t.source_size, t.target,
     CASE WHEN t.source_size > 0 THEN t.target / t.source_size ELSE 0.0 END AS rate,
@@ -119,7 +119,7 @@ def repeated(docs: DataFrame, share: float = 1.5, most: float = 2.0, seed: int =
     # Rows of one doc_id, source and size are alike to the sampler, so they are numbered on both sides.
     same = ["doc_id", "source", "size"]
     number = F.row_number().over(Window.partitionBy(*same).orderBy(F.col("copies").desc()))
-    taken = copies.withColumn("_n", number).filter("copies > 0").select(*(F.col(c).alias(f"_t_{c}") for c in same), F.col("_n").alias("_t_n"), "copies")
+    taken = copies.withColumn("_n", number).filter("copies > 0").select(*(F.col(c).alias(f"_t_{c}") for c in same), F.col("_n").alias("_t_n"), F.col("copies").alias("_t_copies"))
     rows = whole.withColumn("_n", F.row_number().over(Window.partitionBy("doc_id", "source", "_size").orderBy(F.xxhash64("text"))))
     on = F.col("doc_id").eqNullSafe(F.col("_t_doc_id")) & F.col("source").eqNullSafe(F.col("_t_source")) & (F.col("_size") == F.col("_t_size")) & (F.col("_n") == F.col("_t_n"))
-    return rows.join(taken, on).withColumn("_copy", F.explode(F.expr("sequence(1L, copies)"))).select(*names)
+    return rows.join(taken, on).withColumn("_copy", F.explode(F.expr("sequence(1L, _t_copies)"))).select(*names)

@@ -33,7 +33,7 @@ BANDS = 28
 BAND_ROWS = 5
 LEAST = 0.8
 
-_DRAW = np.uint64(0xA0761D6478BD642F)
+_DRAW = 0xA0761D6478BD642F
 
 
 def runs_of(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -73,7 +73,7 @@ def signatures(doc: np.ndarray, runs: np.ndarray, weight: np.ndarray, docs: int,
         in_reach = np.flatnonzero(weight > low)
         if not len(in_reach):
             break
-        pieces.append((in_reach, np.full(len(in_reach), low), np.full(len(in_reach), length), tb.mix(runs[in_reach] + np.uint64(level + 1) * np.uint64(0xE7037ED1A0B428DB))))
+        pieces.append((in_reach, np.full(len(in_reach), low), np.full(len(in_reach), length), tb.mix(runs[in_reach] + np.uint64((level + 1) * 0xE7037ED1A0B428DB % 2**64))))
         level += 1
     if not pieces:
         return out
@@ -87,7 +87,7 @@ def signatures(doc: np.ndarray, runs: np.ndarray, weight: np.ndarray, docs: int,
         time, draw = np.zeros(len(alive)), 0
         while len(alive):
             draw += 1
-            h = tb.mix(key[alive] + np.uint64(draw) * _DRAW)
+            h = tb.mix(key[alive] + np.uint64(draw * _DRAW % 2**64))
             time = time - np.log1p(-(h >> np.uint64(11)).astype(np.float64) * 2.0**-53) / (size * length[alive])
             near = time < limit[doc[item[alive]]]
             alive, time, h = alive[near], time[near], h[near]
