@@ -13,8 +13,8 @@ def hausdorff(q_tree: DataFrame, tree: DataFrame, tau: float | None = None, most
     """dataset_id and the distance from the one dataset of q_tree to each of tree.
 
     A round bounds all open pairs: for each Q part the least upper bound drops the D parts whose gap is beyond it;
-    Q parts that can no longer give the maximum, and datasets beyond tau, go; then the wider side of each pair is
-    replaced by its children, which are joined by their parent's path. Points are parts of radius 0.
+    Q parts that can no longer give the maximum, and datasets beyond tau, go; then the wider side is
+    replaced by its children, which are joined by their parent's path (a Q part in all its pairs at once). Points are parts of radius 0.
     """
     d = dims(tree, "o")
 
@@ -41,10 +41,14 @@ def hausdorff(q_tree: DataFrame, tree: DataFrame, tau: float | None = None, most
         if not pairs.filter(open_).limit(1).count():
             settled = pairs
             break
-        split_q = F.col("d_point") | (~F.col("q_point") & (F.col("q_r") >= F.col("d_r")))
-        done = pairs.filter(~open_).select(*d_cols, *q_cols)
-        by_q = pairs.filter(open_ & split_q).select(*d_cols, F.col("q_key").alias("q_parent")).join(q, "q_parent").select(*d_cols, *q_cols)
-        by_d = pairs.filter(open_ & ~split_q).select("dataset_id", F.col("d_key").alias("d_parent"), *q_cols).join(t, ["dataset_id", "d_parent"]).select(*d_cols, *q_cols)
+        # All pairs of a Q part move together: its children have to meet every D part that it still has.
+        widest = pairs.groupBy("dataset_id", "q_key").agg(F.max("d_r").alias("widest"))
+        sized = pairs.join(widest, ["dataset_id", "q_key"])
+        split_q = ~F.col("q_point") & (F.col("q_r") >= F.col("widest"))
+        split_d = ~split_q & ~F.col("d_point") & (F.col("q_point") | (F.col("d_r") > F.col("q_r")))
+        done = sized.filter(~split_q & ~split_d).select(*d_cols, *q_cols)
+        by_q = sized.filter(split_q).select(*d_cols, F.col("q_key").alias("q_parent")).join(q, "q_parent").select(*d_cols, *q_cols)
+        by_d = sized.filter(split_d).select("dataset_id", F.col("d_key").alias("d_parent"), *q_cols).join(t, ["dataset_id", "d_parent"]).select(*d_cols, *q_cols)
         pairs = done.unionByName(by_q).unionByName(by_d)
     if settled is None:
         raise RuntimeError("the frontier did not settle")
