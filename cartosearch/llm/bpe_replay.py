@@ -2,8 +2,10 @@
 
 A block of text is a small corpus: its distinct pieces are laid end to end as byte tokens, an inverted index
 lists the positions of every adjacent token pair under the rank of its merge, and the merges are applied to the
-whole block in rank order; only the two neighbours of each applied merge are looked up again. Encoded pieces
-stay in a bounded table of the worker, so a piece is replayed once per worker rather than once per occurrence.
+whole block in rank order; only the two neighbours of each applied merge are looked up again. Pieces do not
+touch each other, so the index is swept for all of them at once: a sweep applies to each piece the first entry
+that it has, which is the order of the ranks piece by piece. Long pieces, which would need many sweeps, take the
+entries one rank at a time. Encoded pieces stay in a bounded table of the worker.
 
 Null or empty text: no tokens, digests of the empty string. Rows are independent: ties, repeated rows and an
 empty table need no rule; whole texts are encoded however long.
@@ -15,13 +17,18 @@ import base64
 import hashlib
 from heapq import heappop, heappush
 
+import numpy as np
 import regex
 from pyspark.sql import DataFrame
 
 from . import textblocks as tb
 
-#: Pieces that a worker keeps encoded; the table is emptied when it is full, which costs time, not results.
-KEPT_PIECES = 400_000
+#: Pieces that a worker keeps encoded, twice; what falls out is encoded again when it returns, which costs time, not results.
+KEPT_PIECES = 150_000
+
+#: Bytes of a piece that sweeps encode.
+SHORT = 64
+NO_MERGE = 1 << 40
 
 
 def read_ranks(data: bytes) -> dict[bytes, int]:
@@ -35,59 +42,148 @@ class MergeReplay:
         self.ranks, self.pattern = ranks, regex.compile(pattern)
         self.bytes_of = {i: b for b, i in ranks.items()}
         self.byte_ids = [ranks[bytes([b])] for b in range(256)]
-        self.merged: dict[tuple[int, int], int] = {}
-        self.kept: dict[str, tuple[str, int, bytes]] = {}
+        self.merged: dict[int, int] = {}
+        self.byte_pairs = np.array([ranks.get(bytes([a, b]), -1) for a in range(256) for b in range(256)], np.int32)
+        self.id_of_byte = np.array(self.byte_ids, np.int64)
+        # Every pair of tokens that merges, as one sorted number, with the rank of the merge.
+        pairs = sorted((ranks[t[:i]] << 20 | ranks[t[i:]], r) for t, r in ranks.items() for i in range(1, len(t)) if t[:i] in ranks and t[i:] in ranks)
+        self.pair_keys, self.pair_ranks = (np.array(x, np.int64) for x in zip(*pairs))
+        self.shown = {i: str(i) for i in ranks.values()}
+        # Two generations: what is used again moves to the younger one, the older one is dropped when that is full.
+        self.kept: dict[str, tuple[str, bytes]] = {}
+        self.older: dict[str, tuple[str, bytes]] = {}
 
     def _merge(self, left: int, right: int) -> int:
         """The rank of the merge of two neighbours, which is also the id that it makes; -1: there is none."""
-        got = self.merged.get((left, right))
-        if got is None:
-            got = self.merged[left, right] = self.ranks.get(self.bytes_of[left] + self.bytes_of[right], -1)
-        return got
+        rank = self.merged[left << 20 | right] = self.ranks.get(self.bytes_of[left] + self.bytes_of[right], -1)
+        return rank
 
     def encode_pieces(self, pieces: list[bytes]) -> list[list[int]]:
         """The ids of each piece; a piece that is a token itself is that token."""
-        out: list[list[int] | None] = [[self.ranks[p]] if p in self.ranks else None for p in pieces]
-        todo = [i for i, ids in enumerate(out) if ids is None]
-        token: list[int] = []
-        starts = []
-        for i in todo:
-            starts.append(len(token))
-            token += map(self.byte_ids.__getitem__, pieces[i])
-            token.append(-1)  # a wall: no pair reaches over it
+        ranks = self.ranks
+        out: list[list[int] | None] = [[ranks[p]] if p in ranks else None for p in pieces]
+        for part, encode in (([i for i, p in enumerate(pieces) if out[i] is None and len(p) <= SHORT], self._sweep), ([i for i, p in enumerate(pieces) if out[i] is None and len(p) > SHORT], self._by_rank)):
+            if part:
+                for i, ids in zip(part, encode([pieces[i] for i in part])):
+                    out[i] = ids
+        return out
+
+    def _rank_of(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        key = left << 20 | right
+        at = np.minimum(np.searchsorted(self.pair_keys, key), len(self.pair_keys) - 1)
+        return np.where(self.pair_keys[at] == key, self.pair_ranks[at], NO_MERGE)
+
+    def _sweep(self, pieces: list[bytes]) -> list[list[int]]:
+        raw = np.frombuffer(b"".join(pieces), np.uint8)
+        sizes = np.array([len(p) for p in pieces])
+        piece, token = np.repeat(np.arange(len(pieces)), sizes), self.id_of_byte[raw]
+        rank = np.full(len(raw), NO_MERGE, np.int64)
+        inner = np.flatnonzero(piece[:-1] == piece[1:])
+        first = self.byte_pairs[raw[inner].astype(np.int32) << 8 | raw[inner + 1]].astype(np.int64)
+        rank[inner] = np.where(first >= 0, first, NO_MERGE)
+        done_token, done_piece = [], []
+        while len(token):
+            begin = np.flatnonzero(np.concatenate(([True], piece[1:] != piece[:-1])))
+            least = np.repeat(np.minimum.reduceat(rank, begin), np.diff(np.append(begin, len(piece))))
+            ended = least == NO_MERGE
+            if ended.any():
+                done_token.append(token[ended])
+                done_piece.append(piece[ended])
+                going = ~ended
+                token, piece, rank, least = token[going], piece[going], rank[going], least[going]
+                if not len(token):
+                    break
+            at = np.flatnonzero(rank == least)
+            at = at[np.concatenate(([True], piece[at][1:] != piece[at][:-1]))]  # the leftmost of each piece
+            token[at] = rank[at]
+            stay = np.ones(len(token), bool)
+            stay[at + 1] = False
+            rank[at] = NO_MERGE
+            token, piece, rank = token[stay], piece[stay], rank[stay]
+            at = at - np.arange(len(at))
+            for left in (at, at - 1):
+                left = left[(left >= 0) & (left + 1 < len(token))]
+                left = left[piece[left] == piece[left + 1]]
+                rank[left] = self._rank_of(token[left], token[left + 1])
+        token, piece = np.concatenate(done_token), np.concatenate(done_piece)
+        order = np.argsort(piece, kind="stable")
+        ids = token[order].tolist()
+        ends = np.cumsum(np.bincount(piece, minlength=len(pieces))).tolist()
+        return [ids[a:b] for a, b in zip([0, *ends], ends)]
+
+    def _by_rank(self, pieces: list[bytes]) -> list[list[int]]:
+        out: list[list[int] | None] = [None] * len(pieces)
+        todo = range(len(pieces))
+        sizes = np.array([len(pieces[i]) + 1 for i in todo])
+        ends = np.cumsum(sizes)
+        starts = (ends - sizes).tolist()
+        # One byte more stands after each piece: a wall that no pair reaches over.
+        raw = np.frombuffer(b"\0".join([pieces[i] for i in todo]) + b"\0", np.uint8)
+        tokens = self.id_of_byte[raw]
+        tokens[ends - 1] = -1
+        pairs = self.byte_pairs[raw[:-1].astype(np.int32) << 8 | raw[1:]]
+        pairs[(tokens[:-1] < 0) | (tokens[1:] < 0)] = -1
+        places = np.flatnonzero(pairs >= 0)
+        places = places[np.argsort(pairs[places], kind="stable")]
+        values, cuts = np.unique(pairs[places], return_index=True)
+        at: dict[int, list[int]] = {r: p.tolist() for r, p in zip(values.tolist(), np.split(places, cuts[1:]))} if len(places) else {}
+        token = tokens.tolist()
         after = list(range(1, len(token) + 1))
         before = list(range(-1, len(token) - 1))
-        at: dict[int, list[int]] = {}
-        merge = self._merge
-        for p in range(len(token) - 1):
-            if token[p] >= 0 and token[p + 1] >= 0 and (r := merge(token[p], token[p + 1])) >= 0:
-                at.setdefault(r, []).append(p)
+        known, merge = self.merged.get, self._merge
         due = sorted(at)
         while due:
             rank = heappop(due)
-            places = sorted(at.pop(rank, ()))
+            places = at.pop(rank, None)
+            if not places:
+                continue
+            places.sort()
             for k, p in enumerate(places):
+                a = token[p]
+                if a < 0:
+                    continue
                 q = after[p]
-                if token[p] < 0 or q >= len(token) or token[q] < 0 or merge(token[p], token[q]) != rank:
+                b = token[q]
+                if b < 0:
+                    continue
+                r = known(a << 20 | b)
+                if (merge(a, b) if r is None else r) != rank:
                     continue
                 token[p], token[q] = rank, -2
                 q = after[p] = after[q]
                 before[q] = p
                 lower = False
-                for left in (before[p], p):
-                    right = after[left] if left >= 0 else 0
-                    if left >= 0 and token[left] >= 0 and token[right] >= 0 and (r := merge(token[left], token[right])) >= 0:
-                        if r not in at:
-                            at[r] = []
+                b = token[q]
+                if b >= 0:
+                    r = known(rank << 20 | b)
+                    if r is None:
+                        r = merge(rank, b)
+                    if r >= 0:
+                        if r in at:
+                            at[r].append(p)
+                        else:
+                            at[r] = [p]
+                            heappush(due, r)
+                        lower = r < rank
+                left = before[p]
+                if left >= 0 and (a := token[left]) >= 0:
+                    r = known(a << 20 | rank)
+                    if r is None:
+                        r = merge(a, rank)
+                    if r >= 0:
+                        if r in at:
+                            at[r].append(left)
+                        else:
+                            at[r] = [left]
                             heappush(due, r)
-                        at[r].append(left)
-                        lower |= r < rank
+                        lower = lower or r < rank
                 if lower:  # an earlier merge has become possible; what is left of this one waits
                     if rest := places[k + 1 :]:
-                        if rank not in at:
-                            at[rank] = []
+                        if rank in at:
+                            at[rank] += rest
+                        else:
+                            at[rank] = rest
                             heappush(due, rank)
-                        at[rank] += rest
                     break
         for i, p in zip(todo, starts):
             ids = out[i] = []
@@ -99,14 +195,19 @@ class MergeReplay:
     def pieces(self, texts: list[str]) -> list[list[str]]:
         """The pieces of each text, all of them encoded and kept."""
         split = [self.pattern.findall(t) for t in texts]
-        new = list(set().union(*split) - self.kept.keys())
-        if len(self.kept) + len(new) > KEPT_PIECES:
-            self.kept.clear()
-            new = list(set().union(*split))
+        seen = set().union(*split)
+        if len(self.kept) > KEPT_PIECES:
+            self.kept, self.older = {}, self.kept
+        kept, older, new = self.kept, self.older, []
+        for piece in seen.difference(kept):
+            if piece in older:
+                kept[piece] = older[piece]
+            else:
+                new.append(piece)
         for i in range(0, len(new), 20_000):
             block = new[i : i + 20_000]
             for piece, ids in zip(block, self.encode_pieces([p.encode() for p in block])):
-                self.kept[piece] = ",".join(map(str, ids)), len(ids), b"".join(map(self.bytes_of.__getitem__, ids))
+                kept[piece] = ",".join(map(self.shown.__getitem__, ids)), b"".join(map(self.bytes_of.__getitem__, ids))
         return split
 
     def encode(self, text: str) -> list[int]:
@@ -151,8 +252,9 @@ def digests(docs: DataFrame, path: str | None = None) -> DataFrame:
     def make(part):
         replay, rows = worker_replay(shared), []
         for pieces in replay.pieces(tb.texts(part)):
-            ids, counts, raw = zip(*map(replay.kept.__getitem__, pieces)) if pieces else ((), (), ())
-            rows.append((sum(counts), hashlib.sha256(",".join(ids).encode()).hexdigest(), hashlib.sha256(b"".join(raw)).hexdigest()))
+            ids, raw = zip(*map(replay.kept.__getitem__, pieces)) if pieces else ((), ())
+            joined = ",".join(ids).encode()
+            rows.append((joined.count(b",") + bool(joined), hashlib.sha256(joined).hexdigest(), hashlib.sha256(b"".join(raw)).hexdigest()))
         n, a, b = map(list, zip(*rows))
         return {"doc_id": tb.column(part, "doc_id"), "n_tokens": n, "ids_sha256": a, "decoded_sha256": b}
 
