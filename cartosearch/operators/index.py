@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import json
-from dataclasses import asdict, dataclass, replace
+from dataclasses import asdict, dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -15,8 +15,10 @@ from ..model import GridSpec
 from ..sources.repositories import repository_extent
 from .bottom_index import build_bottom, dataset_roots, tree_points
 from .outliers import knee_threshold, leaf_radii, remove_outliers
-from .upper_index import build_upper, upper_signatures
+from .upper_index import build_upper, upper_nodes, upper_signatures
 
+#: Nodes of the upper tree that a search orders on the driver.
+MOST_NODES = 100_000
 FRAMES = ("tree", "roots", "cells", "upper", "members", "upper_cells")
 
 
@@ -31,6 +33,8 @@ class SearchIndex:
     spec: GridSpec
     f: int
     threshold: float | None
+    #: Depth at which searches stop on the way down the upper tree, if it has too many leaves for the driver; None: at the leaves.
+    cut: int | None = None
 
     @property
     def variant(self) -> str:
@@ -66,14 +70,25 @@ def build_index(points: DataFrame, f: int = 10, theta: int = 5, clean: bool = Tr
     return finish(tree, spec, f, limit)
 
 
+def cut_depth(upper: DataFrame, most: int = MOST_NODES) -> int | None:
+    """The greatest depth at which the nodes, with the leaves above it, are at most `most`; None if all leaves are."""
+    rows = upper.groupBy("depth", "is_leaf").agg(F.count(F.lit(1)).alias("n")).collect()
+    if sum(r["n"] for r in rows if r["is_leaf"]) <= most:
+        return None
+    at = 0
+    for depth in sorted({r["depth"] for r in rows}):
+        if sum(r["n"] for r in rows if r["depth"] == depth or (r["is_leaf"] and r["depth"] < depth)) > most:
+            break
+        at = depth
+    return at
+
+
 def finish(tree: DataFrame, spec: GridSpec, f: int, threshold: float | None) -> SearchIndex:
     roots = checkpointed(dataset_roots(tree))
     cells = checkpointed(signatures(tree_points(tree), spec))
-    upper, members = build_upper(roots, f)
-    members = checkpointed(members)
-    from .upper_index import upper_nodes
-
-    return SearchIndex(tree, roots, cells, checkpointed(upper_nodes(roots, members)), members, checkpointed(upper_signatures(members, cells)), spec, f, threshold)
+    members = checkpointed(build_upper(roots, f)[1])
+    nodes = checkpointed(upper_nodes(roots, members))
+    return SearchIndex(tree, roots, cells, nodes, members, checkpointed(upper_signatures(members, cells)), spec, f, threshold, cut_depth(nodes))
 
 
 def save(index: SearchIndex, path: str, buckets: int = 64) -> None:
@@ -93,7 +108,7 @@ def load(spark: SparkSession, path: str) -> SearchIndex:
     meta = json.loads(spark.read.parquet(f"{path}/meta").first()[0])
     frames = {n: spark.read.parquet(f"{path}/{n}") for n in FRAMES}
     frames = {n: df.drop("bucket") for n, df in frames.items()}
-    return SearchIndex(**frames, spec=GridSpec(tuple(meta["spec"]["lo"]), tuple(meta["spec"]["hi"]), meta["spec"]["theta"]), f=meta["f"], threshold=meta["threshold"])
+    return SearchIndex(**frames, spec=GridSpec(tuple(meta["spec"]["lo"]), tuple(meta["spec"]["hi"]), meta["spec"]["theta"]), f=meta["f"], threshold=meta["threshold"], cut=cut_depth(frames["upper"]))
 
 
 def append_datasets(index: SearchIndex, points: DataFrame) -> SearchIndex:

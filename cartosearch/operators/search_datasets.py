@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from ..functions.geometry import ball_lower, ball_upper, box_overlap, boxes_meet, constants, dims, vec
 from ..functions.zorder import signatures
 from ..model import Box
-from ..plans.waves import MOST_LEAVES, WavePlan
+from ..plans.waves import WavePlan
 from .index import SearchIndex
 from .kernels import Tree, best_first, build_tree, tree_from_rows
 from .outliers import remove_outliers
@@ -78,17 +78,23 @@ def _others(df: DataFrame, q: Query, exclude_self: bool) -> DataFrame:
     return df.filter(F.col("dataset_id") != q.id) if q.member and exclude_self else df
 
 
+def _frontier(index: SearchIndex) -> Column:
+    """The nodes at which a search of the upper tree stops: few enough for the driver, and above every dataset once."""
+    leaf = F.col("is_leaf")
+    return leaf if index.cut is None else (F.col("depth") == index.cut) | (leaf & (F.col("depth") < index.cut))
+
+
 def _below(index: SearchIndex, paths: list[str]) -> DataFrame:
+    """The datasets below frontier nodes."""
+    at = F.col("path") if index.cut is None else F.substring("path", 1, index.cut)
+    members = index.members.select(at.alias("path"), "dataset_id")
     if len(paths) <= 200:
-        return index.members.filter(F.col("path").isin(paths)).select("dataset_id")
-    return index.members.join(F.broadcast(index.spark.createDataFrame([(p,) for p in paths], "path string")), "path").select("dataset_id")
+        return members.filter(F.col("path").isin(paths)).select("dataset_id")
+    return members.join(F.broadcast(index.spark.createDataFrame([(p,) for p in paths], "path string")), "path").select("dataset_id")
 
 
 def _leaves(index: SearchIndex, bound: Column) -> list[tuple[str, int, float]]:
-    rows = index.upper.filter("is_leaf").select("path", "n_datasets", bound.cast("double").alias("bound")).limit(MOST_LEAVES + 1).collect()
-    if len(rows) > MOST_LEAVES:
-        return []
-    return [tuple(r) for r in rows]
+    return [tuple(r) for r in index.upper.filter(_frontier(index)).select("path", "n_datasets", bound.cast("double").alias("bound")).collect()]
 
 
 def range_datasets(index: SearchIndex, box: Box) -> DataFrame:
@@ -140,9 +146,7 @@ def topk_gbo(index: SearchIndex, query: str | DataFrame, k: int = 10, exclude_se
     if plan == "inverted":
         return Run(best(index.cells), {"rounds": 1})
     shared = index.upper_cells.join(cells, "cell").groupBy("path").agg(F.count(F.lit(1)).alias("bound"))
-    leaves = [tuple(r) for r in index.upper.filter("is_leaf").select("path", "n_datasets").join(shared, "path").limit(MOST_LEAVES + 1).collect()]
-    if len(leaves) > MOST_LEAVES:
-        return Run(best(index.cells), {"rounds": 1})
+    leaves = [tuple(r) for r in index.upper.filter(_frontier(index)).select("path", "n_datasets").join(shared, "path").collect()]
     wave = WavePlan(leaves, k + 1 if q.member and exclude_self else k, True, lambda paths: best(index.cells.join(_below(index, paths), "dataset_id", "left_semi")))
     found = wave.run()[:k]
     return Run(found, {"nodes_visited": wave.visited, "nodes_pruned": len(leaves) - wave.visited, "rounds": wave.rounds})

@@ -5,13 +5,10 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
-#: Upper leaves that the driver orders by bound; beyond, searches filter in one pass.
-MOST_LEAVES = 100_000
-
 
 @dataclass
 class WavePlan:
-    """leaves: (path, datasets, bound), best first. score(paths) gives (value, dataset_id) of the best k below them.
+    """leaves: (path, datasets, bound) of nodes that cover all datasets once. score(paths) gives (value, dataset_id) of the best k below them.
 
     The first wave takes leaves until k datasets are seen; every further one takes all leaves whose bound is not worse
     than the k-th value. Equal bounds are taken, so ties are decided by dataset_id alone.

@@ -206,3 +206,14 @@ def test_metamorphic(points, index):
     own = sd.topk_gbo(index, "1", 1, exclude_self=False).rows[0]
     assert own == (index.cells.filter("dataset_id = '1'").count(), "1")
     assert GridSpec((0.0, 0.0), (32.0, 64.0), 5).epsilon() == 2.0
+
+
+def test_search_stops_above_the_leaves(points, index):
+    from dataclasses import replace
+
+    assert ix.cut_depth(index.upper) is None
+    cut = ix.cut_depth(index.upper, 3)
+    short = replace(index, cut=cut)
+    assert 0 <= cut < max(r["depth"] for r in index.upper.collect())
+    assert sd.topk_ia(short, "3").rows == sd.topk_ia(index, "3").rows
+    assert sd.topk_gbo(short, "3").rows == sd.topk_gbo(index, "3").rows
