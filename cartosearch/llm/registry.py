@@ -33,4 +33,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_url_filter": url_filter.sql(), "op9_mixing": mixing.sql()}
+    return {"op3_substring_dedup": substring_dedup.sql(), "op4_url_filter": url_filter.sql(), "op9_mixing": mixing.sql()}

@@ -289,3 +289,17 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
         F.when(F.col("doc_id").isNull(), F.lit(0)).when(copy, F.col("n_words")).otherwise(F.col("n_removed")).cast("long").alias("n_removed"),
         F.when(F.col("doc_id").isNull(), F.col("whole_sha256")).when(copy, F.lit(nothing)).otherwise(F.col("kept_sha256")).alias("kept_sha256"),
     )
+
+
+def sql(documents: str = "documents") -> str:
+    """The same in SQL, over a table of documents."""
+    return rf"""
+WITH w AS (SELECT row_number() OVER () AS rid, doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS ws FROM {documents}),
+p AS (SELECT rid, doc_id, len(ws) AS n, unnest(range(1, len(ws) + 1)) AS i, unnest(ws) AS word FROM w),
+g AS (SELECT rid, doc_id, i, n, string_agg(word, ' ') OVER (PARTITION BY rid ORDER BY i ROWS BETWEEN CURRENT ROW AND {DEPTH - 1} FOLLOWING) AS k FROM p),
+f AS (SELECT rid, i, doc_id, min(doc_id) OVER (PARTITION BY k) AS m FROM g WHERE i <= n - {DEPTH - 1}),
+c AS (SELECT p.rid, p.i, p.word, max(CASE WHEN f.m < f.doc_id THEN 1 ELSE 0 END) OVER (PARTITION BY p.rid ORDER BY p.i ROWS BETWEEN {DEPTH - 1} PRECEDING AND CURRENT ROW) AS gone FROM p LEFT JOIN f ON p.rid = f.rid AND p.i = f.i),
+r AS (SELECT rid, count(*) FILTER (WHERE gone = 1) AS n_removed, string_agg(word, ' ' ORDER BY i) FILTER (WHERE gone = 0) AS kept FROM c GROUP BY rid)
+SELECT w.doc_id, CAST(len(w.ws) AS BIGINT) AS n_words, CAST(coalesce(r.n_removed, 0) AS BIGINT) AS n_removed, sha256(coalesce(r.kept, '')) AS kept_sha256
+FROM w LEFT JOIN r ON w.rid = r.rid
+"""

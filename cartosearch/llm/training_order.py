@@ -6,7 +6,7 @@ the range of slots of each partition is plain arithmetic: partitions hold consec
 slots, and a record's place in its shard's bytes is slot % shard size times the stride. A reader resumes at any
 slot by skipping whole shards and a multiple of the stride.
 
-A record: doc_id (8 bytes, little-endian; -1 for null), number of the record in its document (4), tokens used
+A record: doc_id (8 bytes, little-endian; the least number for null), number of the record in its document (4), tokens used
 (4), then the ids as 16-bit numbers, padded with PAD. Null or empty text: one record without tokens. Repeated
 rows are separate records. An empty table gives no shards.
 """
@@ -30,6 +30,7 @@ PAD = 50256
 HEAD = 16
 STRIDE = HEAD + 2 * TOKENS
 SHARD = 4096
+NO_ID = -(1 << 63)
 
 
 class Feistel:
@@ -91,7 +92,7 @@ def token_rows(docs: DataFrame, path: str | None = None) -> DataFrame:
 def record(doc_id: int | None, number: int, ids: np.ndarray) -> bytes:
     body = np.full(TOKENS, PAD, np.uint16)
     body[: len(ids)] = ids
-    return (-1 if doc_id is None else doc_id).to_bytes(8, "little", signed=True) + number.to_bytes(4, "little") + len(ids).to_bytes(4, "little") + body.tobytes()
+    return (NO_ID if doc_id is None else doc_id).to_bytes(8, "little", signed=True) + number.to_bytes(4, "little") + len(ids).to_bytes(4, "little") + body.tobytes()
 
 
 def shards(docs: DataFrame, key: int = 20240607, path: str | None = None) -> DataFrame:
@@ -157,7 +158,7 @@ def read_records(made: DataFrame, start: int = 0) -> DataFrame:
                 for k in range(max(0, start - shard * SHARD), len(data) // STRIDE):
                     r = data[k * STRIDE : (k + 1) * STRIDE]
                     doc = int.from_bytes(r[:8], "little", signed=True)
-                    rows.append((shard * SHARD + k, shard, k * STRIDE, None if doc == -1 else doc, int.from_bytes(r[8:12], "little"), int.from_bytes(r[12:16], "little"), hashlib.sha256(r).hexdigest()))
+                    rows.append((shard * SHARD + k, shard, k * STRIDE, None if doc == NO_ID else doc, int.from_bytes(r[8:12], "little"), int.from_bytes(r[12:16], "little"), hashlib.sha256(r).hexdigest()))
                 if rows:
                     yield tb.as_batch(dict(zip([x.split()[0] for x in schema.split(", ")], map(list, zip(*rows)))), arrow)
 
