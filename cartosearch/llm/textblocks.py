@@ -13,7 +13,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 1 << 20
 
 #: Bytes that separate words: space and 0x09 to 0x0D. They never occur inside a UTF-8 sequence.
 IS_SPACE = np.zeros(256, dtype=bool)
