@@ -32,6 +32,8 @@ WIDTH = 5
 BANDS = 28
 BAND_ROWS = 5
 LEAST = 0.8
+#: Texts of a cluster that one task compares; larger clusters are stripped by pivots first.
+MOST_IN_TASK = 20_000
 
 _DRAW = 0xA0761D6478BD642F
 
@@ -239,7 +241,56 @@ def _cluster(table: pa.Table) -> pa.Table:
     return pa.table({"node": pa.array(nodes, pa.binary()), "label": pa.array([nodes[i] for i in got], pa.binary())})
 
 
-def node_classes(docs: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
+def _pair_distance(z: bytes, pivot: Multisets) -> float:
+    """1 - J of a text and the pivot, which is alone in its multisets."""
+    own = Multisets([z])
+    items, other = np.sort(own.items), pivot.items
+    shared = int((items[np.minimum(np.searchsorted(items, other), len(items) - 1)] == other).sum())
+    return 1 - shared / (len(items) + len(other) - shared)
+
+
+def _pivot_distances(rows: DataFrame) -> DataFrame:
+    """rows (root, node, z, passive, pivot, pivot_z) with d in place of pivot_z; each row is compared with its pivot alone."""
+
+    def run(batches):
+        known: dict[bytes, Multisets] = {}
+        for b in batches:
+            d = []
+            for z, pivot, pivot_z in zip(*(tb.column(b, c).to_pylist() for c in ("z", "pivot", "pivot_z"))):
+                if pivot not in known:
+                    known.clear()
+                    known[pivot] = Multisets([pivot_z])
+                d.append(_pair_distance(z, known[pivot]))
+            yield pa.RecordBatch.from_arrays([*(tb.column(b, c) for c in ("root", "node", "z", "passive", "pivot")), pa.array(d, pa.float64())], names=["root", "node", "z", "passive", "pivot", "d"])
+
+    return rows.mapInArrow(run, "root binary, node binary, z binary, passive boolean, pivot binary, d double")
+
+
+def _strip(rows: DataFrame, most: int, rounds: int) -> tuple[DataFrame, DataFrame | None]:
+    """(rows for one task per cluster, links found on the way).
+
+    While a cluster has more than `most` texts, all its texts are compared with one of them, spread over all tasks.
+    What is similar to that pivot is linked to it and done; of it, only texts that the triangle inequality lets be
+    similar to one outside stay, as passive rows that become no pivots. Clusters shrink by what each pivot takes.
+    """
+    reach, links = 1 - LEAST + 1e-9, None
+    rows = rows.withColumn("passive", F.lit(False))
+    for _ in range(rounds):
+        large = rows.groupBy("root").agg(F.count(F.lit(1)).alias("n"), F.min(F.when(~F.col("passive"), F.col("node"))).alias("pivot")).filter((F.col("n") > most) & F.col("pivot").isNotNull())
+        if not large.limit(1).count():
+            break
+        large = checkpointed(large.select("root", "pivot"))
+        pivots = rows.select(F.col("node").alias("pivot"), F.col("z").alias("pivot_z"), F.col("root").alias("_root")).join(large, "pivot").filter("_root = root").select("root", "pivot", "pivot_z")
+        measured = checkpointed(_pivot_distances(rows.join(pivots, "root").select("root", "node", "z", "passive", "pivot", "pivot_z").sortWithinPartitions("pivot")))
+        found = measured.filter((F.col("d") <= reach) & (F.col("node") != F.col("pivot"))).select(F.greatest("node", "pivot").alias("a"), F.least("node", "pivot").alias("b"))
+        links = found if links is None else links.union(found)
+        outside = measured.filter(F.col("d") > reach).groupBy("root").agg(F.min("d").alias("low"))
+        left = measured.join(outside, "root").filter(F.col("passive") | (F.col("d") >= F.col("low") - reach))
+        rows = checkpointed(rows.join(large, "root", "left_anti").unionByName(left.select("root", "node", "z", (F.col("passive") | (F.col("d") <= reach)).alias("passive"))))
+    return rows.drop("passive"), links
+
+
+def node_classes(docs: DataFrame, most: int = MOST_IN_TASK) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(keyed documents with node, the texts' n_runs, (node, label) of texts that share a class with another)."""
     ensure_checkpoint_dir(docs.sparkSession)
     keyed = ut.keyed(docs).withColumn("node", F.substring("tkey", 1, 16))
@@ -248,31 +299,22 @@ def node_classes(docs: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
     hubs = shared.groupBy("band").agg(F.min("node").alias("hub"), F.max("node").alias("last")).filter("hub != last").select("band", "hub")
     edges = shared.join(hubs, "band").filter("node != hub").select(F.col("node").alias("a"), F.col("hub").alias("b")).distinct()
     members = components(edges)
-    texts = keyed.select("node", "text").join(members, "node").select("node", "root", "text")
-    grouped = _sent_once(texts).groupBy("root").applyInArrow(_cluster, "node binary, label binary")
-    return keyed, banded.select("node", "n_runs"), grouped
-
-
-def _sent_once(texts: DataFrame) -> DataFrame:
-    """(root, node, z): each text compressed, once per partition."""
-
-    def run(batches):
-        seen: set[bytes] = set()
-        for batch in batches:
-            rows = []
-            for node, root, text in zip(tb.column(batch, "node").to_pylist(), tb.column(batch, "root").to_pylist(), tb.column(batch, "text").cast(pa.binary())):
-                if node not in seen:
-                    seen.add(node)
-                    rows.append((root, node, ut.squeeze(text.as_py())))
-            if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.binary()) for x in zip(*rows)], names=["root", "node", "z"])
-
-    return texts.mapInArrow(run, "root binary, node binary, z binary")
-
-
-def near_duplicates(docs: DataFrame) -> DataFrame:
+    # Each text once per input partition, compressed, however many rows repeat it.
+    sent = ut.unique_texts(keyed.select(F.lit(None).cast("long").alias("doc_id"), "text", "tkey"), 1).select(F.substring("tkey", 1, 16).alias("node"), "z")
+    rows = sent.join(members, "node").select("root", "node", "z")
+    links = None
+    if members.groupBy("root").count().filter(F.col("count") > most).limit(1).count():
+        rows, links = _strip(checkpointed(rows.dropDuplicates(["node"])), most, 12)
+    labels = rows.groupBy("root").applyInArrow(_cluster, "node binary, label binary")
+    if links is not None:
+        both = labels.select(F.greatest("node", "label").alias("a"), F.least("node", "label").alias("b")).union(links)
+        labels = components(both).select("node", F.col("root").alias("label"))
+    return keyed, banded.select("node", "n_runs"), labels
+
+
+def near_duplicates(docs: DataFrame, most: int = MOST_IN_TASK) -> DataFrame:
     """doc_id, class_id (smallest doc_id of its class) and n_runs, one row per document."""
-    keyed, sizes, labels = node_classes(docs)
+    keyed, sizes, labels = node_classes(docs, most)
     nodes = keyed.groupBy("node").agg(F.min("doc_id").alias("first_doc"))
     known = nodes.join(sizes, "node").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     known = checkpointed(known)
