@@ -326,6 +326,17 @@ def gbo_batch(index: SearchIndex, query_ids: list[str], k: int = 10) -> DataFram
     return _best_per_query(scored, k)
 
 
+def exemplar_batch(index: SearchIndex, query_ids: list[str], k: int = 10, measure: str = "hausdorff", **options) -> DataFrame:
+    """query_id, rank, dataset_id and score of many members: overlaps in one plan, Hausdorff query by query on one index."""
+    if measure == "ia":
+        return ia_batch(index, query_ids, k)
+    if measure == "gbo":
+        return gbo_batch(index, query_ids, k)
+    mode = "approx" if measure == "approx" else "exact"
+    rows = [(q, i + 1, ds, float(v)) for q in query_ids for i, (v, ds) in enumerate(topk_hausdorff(index, q, k, mode=mode, **options).rows)]
+    return index.spark.createDataFrame(rows, "query_id string, rank int, dataset_id string, score double")
+
+
 def _best_per_query(scored: DataFrame, k: int) -> DataFrame:
     w = Window.partitionBy("query_id").orderBy(F.desc("score"), "dataset_id")
     return scored.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)

@@ -65,7 +65,8 @@ def stream_gbo(points: DataFrame, spec: GridSpec, query_cells: DataFrame) -> Dat
 
 
 def trip_state(points: DataFrame, gap_ms: int) -> DataFrame:
-    """Closed trips (dataset_id, n, first_ms, last_ms): a pause of more than gap_ms of event time ends one."""
+    """Closed trips (dataset_id, n, first_ms, last_ms): a pause of more than gap_ms of event time ends one. A
+    point that comes later than the trip it would have belonged to is left out."""
     import pandas as pd
 
     def step(key, frames, state):
@@ -77,11 +78,13 @@ def trip_state(points: DataFrame, gap_ms: int) -> DataFrame:
             return
         times = sorted(t for f in frames for t in f["ms"])
         for t in times:
+            if n and t < first - gap_ms:
+                continue
             if n and t - last > gap_ms:
                 out.append((key[0], n, first, last))
                 n = 0
-            first = t if not n else first
-            n, last = n + 1, t
+            first, last = (min(first, t), max(last, t)) if n else (t, t)
+            n += 1
         state.update((n, first, last))
         state.setTimeoutTimestamp(max(last + gap_ms, state.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame(out, columns=["dataset_id", "n", "first_ms", "last_ms"])

@@ -217,3 +217,27 @@ def test_search_stops_above_the_leaves(points, index):
     assert 0 <= cut < max(r["depth"] for r in index.upper.collect())
     assert sd.topk_ia(short, "3").rows == sd.topk_ia(index, "3").rows
     assert sd.topk_gbo(short, "3").rows == sd.topk_gbo(index, "3").rows
+
+
+def test_batches_equal_single_queries(index):
+    for measure, single in (("ia", sd.topk_ia), ("gbo", sd.topk_gbo), ("hausdorff", sd.topk_hausdorff)):
+        got = sd.exemplar_batch(index, ["1", "3"], 3, measure).orderBy("query_id", "rank").collect()
+        for q in ("1", "3"):
+            assert [(r["score"], r["dataset_id"]) for r in got if r["query_id"] == q] == single(index, q, 3).rows
+    boxes = index.roots.filter(F.col("dataset_id").isin("1", "3")).select(F.col("dataset_id").alias("query_id"), *(F.col(f"{n}{i}").alias(f"q{n}{i}") for n in ("lo", "hi") for i in (0, 1)))
+    pairs = {(r["query_id"], r["dataset_id"]) for r in sd.range_datasets_batch(index, boxes).collect()}
+    for r in index.roots.filter(F.col("dataset_id").isin("1", "3")).collect():
+        one = sd.range_datasets(index, Box((r["lo0"], r["lo1"]), (r["hi0"], r["hi1"])))
+        assert {x["dataset_id"] for x in one.collect()} == {d for q, d in pairs if q == r["dataset_id"]}
+
+
+def test_aggregates(spark, points, index):
+    from cartosearch.functions import aggregates as agg
+    from cartosearch.functions.geometry import vec
+
+    c = vec("c", 2)
+    got = {r["dataset_id"]: r for r in points.groupBy("dataset_id").agg(agg.dataset_box(c).alias("b"), agg.signature(c, index.spec).alias("z")).collect()}
+    far = {r["dataset_id"]: r["r"] for r in points.groupBy("dataset_id").agg(agg.dataset_radius("c0", "c1").alias("r")).collect()}
+    for r in index.roots.collect():
+        own = got[r["dataset_id"]]
+        assert (own["b"]["lo0"], own["b"]["hi1"]) == (r["lo0"], r["hi1"]) and own["z"] == sorted(own["z"]) and far[r["dataset_id"]] == pytest.approx(r["radius"])

@@ -69,6 +69,11 @@ def test_index_append(spark, points, batch, tmp_path):
     assert holder[0].roots.count() == batch.select("dataset_id").distinct().count() > known
 
 
+def test_trips(points, batch):
+    closed = st.to_memory(st.trip_state(points, 6 * 3_600_000), "append").collect()
+    assert all(r["n"] > 0 and r["first_ms"] <= r["last_ms"] for r in closed) and {r["dataset_id"] for r in closed} <= {r[0] for r in batch.select("dataset_id").distinct().collect()}
+
+
 def test_files_slices_trips_samples(spark, batch, tmp_path):
     for name, fmt in (("c", "csv"), ("j", "json"), ("o", "orc")):
         target = str(tmp_path / name)
