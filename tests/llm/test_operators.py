@@ -205,7 +205,11 @@ def brute_classes(rows):
 
 
 def test_near_dedup(docs, rows):
-    assert multiset(near_dedup.near_duplicates(docs), "doc_id", "class_id") == brute_classes(rows)
+    expected = brute_classes(rows)
+    assert multiset(near_dedup.near_duplicates(docs), "doc_id", "class_id") == expected
+    one = near_dedup.one_of_each(docs)
+    assert one.columns == docs.columns
+    assert Counter(r["doc_id"] for r in one.collect()) == Counter({c for _, c in expected})
 
 
 def test_near_dedup_chains_of_edits(spark):
@@ -391,6 +395,15 @@ def test_url_filter(spark):
     assert url_filter.match(fetched.limit(0), log).count() == 0 and url_filter.match(fetched, log.limit(0)).filter("blocked").count() == 0
 
 
+def test_stages_on_any_rows(spark, docs, rows):
+    import corpus_pipeline
+
+    for i, (_, stage) in enumerate(corpus_pipeline.STAGES):
+        got = stage(spark, docs, SF)
+        assert i == 4 or got.columns == docs.columns
+        assert got.count() <= 2 * len(rows)
+
+
 def test_pipeline(spark):
     import corpus_pipeline
 
