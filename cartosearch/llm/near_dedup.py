@@ -24,9 +24,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..checkpoints import checkpointed, ensure_checkpoint_dir
 from . import textblocks as tb
 from . import unique_texts as ut
-from .session import checkpointed, ensure_checkpoint_dir
 
 WIDTH = 5
 BANDS = 28
@@ -171,18 +171,22 @@ class Multisets:
         self.size = np.bincount(owner, minlength=len(z))
         self.at = np.concatenate(([0], np.cumsum(self.size)))
         self.owner = owner
+        # Items as dense numbers, so that membership in one text is a look into a table of flags.
+        values, self.code = np.unique(self.items, return_inverse=True)
+        self.flag = np.zeros(len(values), bool)
 
     def similarity(self, i: int, others: np.ndarray | None = None) -> np.ndarray:
         """Of text i to all texts, or to the given ones."""
-        own = np.sort(self.items[self.at[i] : self.at[i + 1]])
+        own = self.code[self.at[i] : self.at[i + 1]]
+        self.flag[own] = True
         if others is None:
-            items, owner, n, size = self.items, self.owner, len(self.size), self.size
+            code, owner, size = self.code, self.owner, self.size
         else:
-            size, n = self.size[others], len(others)
-            items = np.concatenate([self.items[self.at[j] : self.at[j + 1]] for j in others])
-            owner = np.repeat(np.arange(n), size)
-        hit = own[np.minimum(np.searchsorted(own, items), len(own) - 1)] == items
-        shared = np.bincount(owner[hit], minlength=n)
+            size = self.size[others]
+            code = np.concatenate([self.code[self.at[j] : self.at[j + 1]] for j in others])
+            owner = np.repeat(np.arange(len(others)), size)
+        shared = np.bincount(owner[self.flag[code]], minlength=len(size))
+        self.flag[own] = False
         return shared / (len(own) + size - shared)
 
 
