@@ -7,8 +7,8 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
+from cartosearch.checkpoints import checkpointed
 from cartosearch.llm import bpe_replay, mixing, near_dedup, quality_rules, secret_scan
-from cartosearch.llm.session import checkpointed
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
