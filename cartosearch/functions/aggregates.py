@@ -7,6 +7,7 @@ import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
+from pyspark.sql.types import DoubleType
 
 from ..model import GridSpec
 from .zorder import z_id
@@ -22,7 +23,7 @@ def signature(coords: list[Column], spec: GridSpec) -> Column:
     return F.array_sort(F.collect_set(z_id(coords, spec)))
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def dataset_radius(x: pd.Series, y: pd.Series) -> float:
     """The largest distance of a group's points from their mean; a group has to fit in a task."""
     return float(np.sqrt((x - x.mean()) ** 2 + (y - y.mean()) ** 2).max()) if len(x) else float("nan")
