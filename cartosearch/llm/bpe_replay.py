@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from . import textblocks as tb
 
 #: Pieces that a worker keeps encoded, twice; what falls out is encoded again when it returns, which costs time, not results.
-KEPT_PIECES = 150_000
+KEPT_PIECES = 60_000
 
 #: Bytes of a piece that sweeps encode.
 SHORT = 64
