@@ -12,6 +12,11 @@ There the distance 1 - J obeys the triangle inequality: each document is compare
 two pivots are compared only where the pivots' distances allow a link. Classes are the connected components
 of all pairs of similarity `least` or more within clusters; pairs are never listed.
 
+Texts that share a passage can chain into one cluster without being similar. Texts of similarity `least` share one
+of their first items in any common order, as many as are left when `least` of them are taken away. With the rare items first
+these heads cut a cluster into parts. Parts still beyond the bounds of a task lose the balls of pivots; what is left is dealt
+into blocks that meet two by two, each two of them in a task.
+
 Texts that are equal form one node before anything else. Null text is an empty one; empty texts are one class.
 A text of one to four words is one run. Null doc_id: kept, carries its class; it names a class only where no
 document with an id is in it (then class_id is null). Repeated rows share their class.
@@ -21,7 +26,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..checkpoints import checkpointed, ensure_checkpoint_dir
@@ -32,8 +37,13 @@ WIDTH = 5
 BANDS = 28
 BAND_ROWS = 5
 LEAST = 0.8
-#: Texts of a cluster that one task compares; larger clusters are stripped by pivots first.
+#: Texts of a cluster, and runs of them (about 100 bytes each), that one task compares; larger clusters are cut first.
 MOST_IN_TASK = 20_000
+MOST_RUNS_IN_TASK = 3_000_000
+#: Items counted as frequent when large clusters are cut; they go to every task.
+FREQUENT = 65_536
+#: Bytes of pivot distances that a task keeps; those of further pivots are computed again.
+KEPT_BYTES = 64 << 20
 
 _DRAW = 0xA0761D6478BD642F
 
@@ -157,6 +167,13 @@ def components(edges: DataFrame, most_rounds: int = 40) -> DataFrame:
     return state.select(F.col("a").alias("node"), F.col("b").alias("root")).union(state.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct())
 
 
+def head_items(owner: np.ndarray, at: np.ndarray, size: np.ndarray, least: float, *order: np.ndarray) -> np.ndarray:
+    """Positions of the first items of each text in an order of items: two texts of similarity `least` share one of them."""
+    by = np.lexsort((*reversed(order), owner))
+    most = np.minimum(size - np.ceil(least * size - 1e-6).astype(np.int64) + 1, size)
+    return by[np.arange(len(owner)) - at[owner] < most[owner]]
+
+
 class Multisets:
     """The runs of a cluster's texts as sets of (run, occurrence), so that |A & B| / |A | B| is the weighted Jaccard."""
 
@@ -175,6 +192,33 @@ class Multisets:
         values, self.code = np.unique(self.items, return_inverse=True)
         self.flag = np.zeros(len(values), bool)
 
+    def subset(self, members: np.ndarray) -> Multisets:
+        """Some of the texts; items keep their numbers."""
+        part = object.__new__(Multisets)
+        part.size = self.size[members]
+        part.at = np.concatenate(([0], np.cumsum(part.size)))
+        part.code = np.concatenate([self.code[self.at[j] : self.at[j + 1]] for j in members])
+        part.owner = np.repeat(np.arange(len(members)), part.size)
+        part.flag = self.flag
+        return part
+
+    def parts(self, least: float) -> np.ndarray:
+        """For each text the smallest text of its part: connected by items that are in the heads of both."""
+        count = np.bincount(self.code, minlength=len(self.flag))
+        head = head_items(self.owner, self.at, self.size, least, count[self.code], self.code)
+        code, owner = self.code[head], self.owner[head]
+        label = np.arange(len(self.size))
+        while True:
+            low = np.full(len(self.flag), len(label))
+            np.minimum.at(low, code, label[owner])
+            new = label.copy()
+            np.minimum.at(new, owner, low[code])
+            np.minimum.at(new, label, new.copy())
+            new = new[new]
+            if (new == label).all():
+                return label
+            label = new
+
     def similarity(self, i: int, others: np.ndarray | None = None) -> np.ndarray:
         """Of text i to all texts, or to the given ones."""
         own = self.code[self.at[i] : self.at[i + 1]]
@@ -190,7 +234,7 @@ class Multisets:
         return shared / (len(own) + size - shared)
 
 
-def classes(z: list[bytes], least: float = LEAST) -> np.ndarray:
+def classes(z: list[bytes], least: float = LEAST, kept: int = KEPT_BYTES) -> np.ndarray:
     """For each text the smallest index of its class: connected by pairs of similarity `least` or more."""
     sets, n = Multisets(z), len(z)
     parent = np.arange(n)
@@ -205,35 +249,56 @@ def classes(z: list[bytes], least: float = LEAST) -> np.ndarray:
         a, b = root(a), root(b)
         parent[max(a, b)] = min(a, b)
 
-    reach, far = 1 - least, []
-    home = np.full(n, -1)
-    slack = 1e-9
+    # A few texts are compared as they are.
+    part = sets.parts(least) if n > 64 else np.zeros(n, np.int64)
+    order = np.argsort(part, kind="stable")
+    for members in np.split(order, np.flatnonzero(np.diff(part[order])) + 1):
+        if len(members) > 1:
+            _link(sets if len(members) == n else sets.subset(members), members.tolist(), least, kept, root, join)
+    return np.array([root(i) for i in range(n)])
+
+
+def _link(sets: Multisets, names: list[int], least: float, kept: int, root, join) -> None:
+    """Join the names of similar texts: those in the balls of pivots, then pivots through members of their balls."""
+    n, reach, slack = len(names), 1 - least, 1e-9
+    home, pivots, far = np.full(n, -1), [], {}
+
+    def distances(i: int) -> np.ndarray:
+        d = 1 - sets.similarity(i)
+        d[i] = 0
+        return d
+
     for i in range(n):
         if home[i] >= 0:
             continue
-        d = 1 - sets.similarity(i)
-        d[i] = 0
+        d = distances(i)
         inside = d <= reach + slack
         for j in np.flatnonzero(inside):
-            join(i, int(j))
-        home[inside & (home < 0)] = len(far)
-        far.append((i, d.astype(np.float32)))
-    for b in range(len(far)):
-        for a in range(b):
-            (pa_, da), (pb, db) = far[a], far[b]
-            if da[pb] > 3 * reach + 1e-6 or root(pa_) == root(pb):
+            join(names[i], names[j])
+        home[inside & (home < 0)] = len(pivots)
+        if (len(far) + 1) * n * 4 <= kept:
+            far[len(pivots)] = d.astype(np.float32)
+        pivots.append(i)
+    at = np.array(pivots)
+    for b in range(1, len(at)):
+        db = far[b] if b in far else distances(pivots[b])
+        of_b = np.flatnonzero(home == b)
+        for a in np.flatnonzero(db[at[:b]] <= 3 * reach + 1e-6).tolist():
+            if root(names[pivots[a]]) == root(names[pivots[b]]):
                 continue
             left = np.flatnonzero((home == a) & (db <= 2 * reach + 1e-6))
-            right = np.flatnonzero((home == b) & (da <= 2 * reach + 1e-6))
-            if not len(left) or not len(right):
+            if not len(left):
+                continue
+            da = far[a][of_b] if a in far else 1 - sets.similarity(pivots[a], of_b)
+            right = of_b[da <= 2 * reach + 1e-6]
+            if not len(right):
                 continue
             if len(left) > len(right):
                 left, right = right, left
             for i in left:
                 if (sets.similarity(int(i), right) >= least - slack).any():
-                    join(pa_, pb)
+                    join(names[pivots[a]], names[pivots[b]])
                     break
-    return np.array([root(i) for i in range(n)])
 
 
 def _cluster(table: pa.Table) -> pa.Table:
@@ -254,7 +319,8 @@ def _pair_distance(z: bytes, pivot: Multisets) -> float:
 
 
 def _pivot_distances(rows: DataFrame) -> DataFrame:
-    """rows (root, node, z, passive, pivot, pivot_z) with d in place of pivot_z; each row is compared with its pivot alone."""
+    """rows (root, node, z, n_runs, passive, pivot, pivot_z) with d in place of pivot_z; each row is compared with its pivot alone."""
+    names = ["root", "node", "z", "n_runs", "passive", "pivot"]
 
     def run(batches):
         known: dict[bytes, Multisets] = {}
@@ -265,36 +331,99 @@ def _pivot_distances(rows: DataFrame) -> DataFrame:
                     known.clear()
                     known[pivot] = Multisets([pivot_z])
                 d.append(_pair_distance(z, known[pivot]))
-            yield pa.RecordBatch.from_arrays([*(tb.column(b, c) for c in ("root", "node", "z", "passive", "pivot")), pa.array(d, pa.float64())], names=["root", "node", "z", "passive", "pivot", "d"])
+            yield pa.RecordBatch.from_arrays([*(tb.column(b, c) for c in names), pa.array(d, pa.float64())], names=[*names, "d"])
+
+    return rows.mapInArrow(run, "root binary, node binary, z binary, n_runs long, passive boolean, pivot binary, d double")
+
+
+def _large(rows: DataFrame, most: int, most_runs: int, *more: Column) -> DataFrame:
+    """The clusters beyond the bounds of a task: so few, at the most texts / most and runs / most_runs, that they are broadcast."""
+    sums = rows.groupBy("root").agg(F.count(F.lit(1)).alias("n"), F.sum("n_runs").alias("runs"), *more)
+    return sums.filter((F.col("n") > most) | (F.col("runs") > most_runs))
 
-    return rows.mapInArrow(run, "root binary, node binary, z binary, passive boolean, pivot binary, d double")
 
+def _sets_by_runs(batches, limit: int = 1 << 19):
+    """(slice of a batch, its multisets), each of about `limit` runs."""
+    for b in batches:
+        cut = np.cumsum(tb.column(b, "n_runs").to_numpy(zero_copy_only=False)) // limit
+        for at in np.split(np.arange(len(cut)), np.flatnonzero(np.diff(cut)) + 1):
+            if len(at):
+                part = b.slice(int(at[0]), len(at))
+                yield part, Multisets(tb.column(part, "z").to_pylist())
 
-def _strip(rows: DataFrame, most: int, rounds: int) -> tuple[DataFrame, DataFrame | None]:
-    """(rows for one task per cluster, links found on the way).
 
-    While a cluster has more than `most` texts, all its texts are compared with one of them, spread over all tasks.
+def _cut_by_heads(rows: DataFrame) -> DataFrame:
+    """rows by parts of clusters in place of clusters; texts that are similar to no other are left out.
+
+    The order of items is the same for all: those not frequent by their hash, then the frequent ones by their count.
+    """
+    spark = rows.sparkSession
+
+    def count(batches):
+        for _, sets in _sets_by_runs(batches):
+            items, n = np.unique(sets.items, return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(items.view(np.int64)), pa.array(n, pa.int64())], names=["item", "n"])
+
+    counts = rows.mapInArrow(count, "item long, n long").groupBy("item").agg(F.sum("n").alias("n")).filter("n > 1")
+    frequent = counts.orderBy(F.desc("n"), "item").limit(FREQUENT).collect()
+    known = np.array([r["item"] for r in frequent], np.int64).view(np.uint64)
+    by_item = np.argsort(known)
+    shared = spark.sparkContext.broadcast((known[by_item], len(known) - by_item))
+
+    def heads(batches):
+        known, rank = shared.value
+        for part, sets in _sets_by_runs(batches):
+            place = np.zeros(len(sets.items), np.int64)
+            if len(known):
+                found = np.minimum(np.searchsorted(known, sets.items), len(known) - 1)
+                place = np.where(known[found] == sets.items, rank[found], 0)
+            head = head_items(sets.owner, sets.at, sets.size, LEAST, place, sets.items)
+            of = sets.owner[head]
+            root = np.array([int.from_bytes(r[:8], "little") for r in tb.column(part, "root").to_pylist()], np.uint64)
+            key = tb.mix(sets.items[head] ^ root[of]).view(np.int64)
+            yield pa.RecordBatch.from_arrays([tb.column(part, "node").take(pa.array(of)), pa.array(key)], names=["node", "key"])
+
+    found = checkpointed(rows.mapInArrow(heads, "node binary, key long"))
+    hubs = found.groupBy("key").agg(F.min("node").alias("hub"), F.max("node").alias("last")).filter("hub != last").select("key", "hub")
+    edges = found.join(hubs, "key").filter("node != hub").select(F.col("node").alias("a"), F.col("hub").alias("b")).distinct()
+    return checkpointed(rows.drop("root").join(components(edges), "node").select("root", "node", "z", "n_runs"))
+
+
+def _strip(rows: DataFrame, most: int, most_runs: int, rounds: int) -> tuple[DataFrame, DataFrame | None]:
+    """(rows that are left, links found on the way).
+
+    While a cluster is too large for a task, all its texts are compared with one of them, spread over all tasks.
     What is similar to that pivot is linked to it and done; of it, only texts that the triangle inequality lets be
     similar to one outside stay, as passive rows that become no pivots. Clusters shrink by what each pivot takes.
     """
     reach, links = 1 - LEAST + 1e-9, None
     rows = rows.withColumn("passive", F.lit(False))
     for _ in range(rounds):
-        large = rows.groupBy("root").agg(F.count(F.lit(1)).alias("n"), F.min(F.when(~F.col("passive"), F.col("node"))).alias("pivot")).filter((F.col("n") > most) & F.col("pivot").isNotNull())
+        large = _large(rows, most, most_runs, F.min(F.when(~F.col("passive"), F.col("node"))).alias("pivot")).filter(F.col("pivot").isNotNull())
         if not large.limit(1).count():
             break
         large = checkpointed(large.select("root", "pivot"))
-        pivots = rows.select(F.col("node").alias("pivot"), F.col("z").alias("pivot_z"), F.col("root").alias("_root")).join(large, "pivot").filter("_root = root").select("root", "pivot", "pivot_z")
-        measured = checkpointed(_pivot_distances(rows.join(pivots, "root").select("root", "node", "z", "passive", "pivot", "pivot_z").sortWithinPartitions("pivot")))
+        pivots = rows.select(F.col("node").alias("pivot"), F.col("z").alias("pivot_z"), F.col("root").alias("_root")).join(F.broadcast(large), "pivot").filter("_root = root").select("root", "pivot", "pivot_z")
+        measured = checkpointed(_pivot_distances(rows.join(F.broadcast(pivots), "root").select("root", "node", "z", "n_runs", "passive", "pivot", "pivot_z").sortWithinPartitions("pivot")))
         found = measured.filter((F.col("d") <= reach) & (F.col("node") != F.col("pivot"))).select(F.greatest("node", "pivot").alias("a"), F.least("node", "pivot").alias("b"))
         links = found if links is None else links.union(found)
         outside = measured.filter(F.col("d") > reach).groupBy("root").agg(F.min("d").alias("low"))
-        left = measured.join(outside, "root").filter(F.col("passive") | (F.col("d") >= F.col("low") - reach))
-        rows = checkpointed(rows.join(large, "root", "left_anti").unionByName(left.select("root", "node", "z", (F.col("passive") | (F.col("d") <= reach)).alias("passive"))))
+        left = measured.join(F.broadcast(outside), "root").filter(F.col("passive") | (F.col("d") >= F.col("low") - reach))
+        rows = checkpointed(rows.join(F.broadcast(large), "root", "left_anti").unionByName(left.select("root", "node", "z", "n_runs", (F.col("passive") | (F.col("d") <= reach)).alias("passive"))))
     return rows.drop("passive"), links
 
 
-def node_classes(docs: DataFrame, most: int = MOST_IN_TASK) -> tuple[DataFrame, DataFrame, DataFrame]:
+def in_blocks(rows: DataFrame, most: int, most_runs: int) -> DataFrame:
+    """rows with a part of their root for each task: what is too large is dealt into blocks of a quarter of the bounds,
+    and a row goes with its block to each other block."""
+    share = F.greatest(F.col("n") / most, F.col("runs") / most_runs)
+    large = _large(rows, most, most_runs).select("root", F.ceil(share * 4).cast("long").alias("blocks"))
+    dealt = rows.join(F.broadcast(large), "root", "left").withColumn("own", F.pmod(F.xxhash64("node"), F.coalesce("blocks", F.lit(1))))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.coalesce("blocks", F.lit(1)) - 1))).filter("blocks IS NULL OR other != own")
+    return dealt.withColumn("part", F.least("own", "other") * F.coalesce("blocks", F.lit(1)) + F.greatest("own", "other")).select("root", "part", "node", "z")
+
+
+def node_classes(docs: DataFrame, most: int = MOST_IN_TASK, most_runs: int = MOST_RUNS_IN_TASK) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(keyed documents with node, the texts' n_runs, (node, label) of texts that share a class with another)."""
     ensure_checkpoint_dir(docs.sparkSession)
     keyed = ut.keyed(docs).withColumn("node", F.substring("tkey", 1, 16))
@@ -306,13 +435,18 @@ def node_classes(docs: DataFrame, most: int = MOST_IN_TASK) -> tuple[DataFrame,
     # Each text once per input partition, compressed, however many rows repeat it.
     sent = ut.unique_texts(keyed.select(F.lit(None).cast("long").alias("doc_id"), "text", "tkey"), 1).select(F.substring("tkey", 1, 16).alias("node"), "z")
     rows = sent.join(members, "node").select("root", "node", "z")
-    links = None
-    if members.groupBy("root").count().filter(F.col("count") > most).limit(1).count():
-        rows, links = _strip(checkpointed(rows.dropDuplicates(["node"])), most, 12)
-    labels = rows.groupBy("root").applyInArrow(_cluster, "node binary, label binary")
-    if links is not None:
-        both = labels.select(F.greatest("node", "label").alias("a"), F.least("node", "label").alias("b")).union(links)
+    large = _large(members.join(banded, "node"), most, most_runs).select("root")
+    if large.limit(1).count():
+        large = F.broadcast(checkpointed(large))
+        rows = checkpointed(rows.dropDuplicates(["node"]).join(banded.select("node", "n_runs"), "node").select("root", "node", "z", "n_runs"))
+        parts, links = _strip(_cut_by_heads(rows.join(large, "root", "left_semi")), most, most_runs, 12)
+        rows = in_blocks(parts.unionByName(rows.join(large, "root", "left_anti")), most, most_runs)
+        labels = rows.groupBy("root", "part").applyInArrow(_cluster, "node binary, label binary")
+        both = labels.select(F.greatest("node", "label").alias("a"), F.least("node", "label").alias("b"))
+        both = both if links is None else both.union(links)
         labels = components(both).select("node", F.col("root").alias("label"))
+    else:
+        labels = rows.groupBy("root").applyInArrow(_cluster, "node binary, label binary")
     return keyed, banded.select("node", "n_runs"), labels
 
 

@@ -231,6 +231,59 @@ def test_near_dedup_chains_of_edits(spark):
     assert kept == {c for _, c in brute_classes(made)}
 
 
+def chained_by_a_passage(n):
+    """Texts of similarity about 0.4 that share a passage, and edited copies of some of them."""
+    rng = random.Random(5)
+    passage = " ".join(f"p{i}" for i in range(60))
+    made = [passage + " " + " ".join(f"u{rng.randrange(10**6)}" for _ in range(40)) for _ in range(n)]
+    for t in made[: n // 10]:
+        w = t.split()
+        w[rng.randrange(2, 60)] = "changed"
+        made.append(" ".join(w))
+    return [(i, t, "s") for i, t in enumerate(made)]
+
+
+def test_near_dedup_of_dissimilar_texts_in_one_cluster(spark):
+    made = chained_by_a_passage(240)
+    df = spark.createDataFrame(made, "doc_id long, text string, source string")
+    expected = brute_classes(made)
+    assert multiset(near_dedup.near_duplicates(df), "doc_id", "class_id") == expected
+    assert multiset(near_dedup.near_duplicates(df, most=20), "doc_id", "class_id") == expected
+    # The bound is one of bytes as well.
+    _, _, labels = near_dedup.node_classes(df, most_runs=2_000)
+    assert labels.groupBy("label").count().count() == 24
+    # Texts of one cluster that no pivot and no head takes apart still go to tasks of bounded size, each pair to one.
+    keyed = near_dedup.ut.keyed(df).withColumn("node", near_dedup.F.substring("tkey", 1, 16))
+    rows = near_dedup.ut.unique_texts(keyed, 1).selectExpr("X'00' AS root", "substring(tkey, 1, 16) AS node", "z", "96L AS n_runs")
+    dealt = near_dedup.in_blocks(rows, 80, 10**6).select("part", "node").collect()
+    parts = defaultdict(set)
+    for r in dealt:
+        parts[r["part"]].add(bytes(r["node"]))
+    assert max(map(len, parts.values())) <= 80
+    nodes = sorted(set().union(*parts.values()))
+    assert len(nodes) == 264 and all(any({a, b} <= p for p in parts.values()) for a in nodes for b in nodes)
+
+
+def test_near_dedup_compares_no_text_with_all_of_a_dissimilar_cluster(monkeypatch):
+    made = chained_by_a_passage(600)
+    z = [near_dedup.ut.squeeze(t.encode()) for _, t, _ in made]
+    compared, similarity = [], near_dedup.Multisets.similarity
+
+    def counted(self, *args):
+        got = similarity(self, *args)
+        compared.append(len(got))
+        return got
+
+    monkeypatch.setattr(near_dedup.Multisets, "similarity", counted)
+    got = near_dedup.classes(z)
+    assert got.tolist() == [*range(600), *range(60)]
+    # A row of distances for each of 600 pivots to 660 texts was 396,000.
+    assert sum(compared) < 5_000
+    few = z[:200] + z[600:620]
+    monkeypatch.setattr(near_dedup.Multisets, "parts", lambda self, least: np.zeros(len(self.size), np.int64))
+    assert near_dedup.classes(few, kept=0).tolist() == near_dedup.classes(few).tolist() == [*range(200), *range(20)]
+
+
 def test_signature_agreement_is_weighted_jaccard():
     rng = np.random.default_rng(2)
     a = np.repeat(np.arange(60), rng.integers(1, 20, 60))
