@@ -122,6 +122,21 @@ def append_datasets(index: SearchIndex, points: DataFrame) -> SearchIndex:
     return finish(checkpointed(index.tree.unionByName(tree)), index.spec, index.f, index.threshold)
 
 
+def grow_datasets(index: SearchIndex, points: DataFrame) -> SearchIndex:
+    """The index with new points of known or new datasets; points whose (dataset_id, point_id) is there are left out.
+    Trees of datasets that grew are built anew and cleaned with the known threshold. Points that an earlier cleaning took
+    out are not in the index; if they come again they are judged again by that threshold."""
+    columns = ["dataset_id", "point_id", *(f"c{i}" for i in range(index.d))]
+    new = checkpointed(points.select(*columns).join(index.points.select("dataset_id", "point_id"), ["dataset_id", "point_id"], "left_anti"))
+    if not new.limit(1).count():
+        return index
+    grown = new.select("dataset_id").distinct()
+    tree = build_bottom(new.unionByName(index.points.select(*columns).join(grown, "dataset_id", "left_semi")), index.f)
+    if index.threshold is not None:
+        tree = remove_outliers(tree, index.threshold)
+    return finish(checkpointed(index.tree.join(grown, "dataset_id", "left_anti").unionByName(tree)), index.spec, index.f, index.threshold)
+
+
 def index_space(index: SearchIndex) -> DataFrame:
     """Rows and bytes (fixed widths plus paths) of each part."""
     rows = []

@@ -105,14 +105,12 @@ def stream_pairs(points: DataFrame, within: str, reach: float, lateness: str = "
 
 
 def stream_index_append(points: DataFrame, index_holder: list, checkpoint: str):
-    """A streaming query that adds each batch's new datasets to the index in index_holder[0]. A batch that is run again
-    after a failure finds its datasets there and adds nothing."""
-    from ..operators.index import append_datasets
+    """A streaming query that adds each batch's new points to the index in index_holder[0], whether their datasets are
+    known or new. A batch that is run again after a failure finds its points there and adds nothing."""
+    from ..operators.index import grow_datasets
 
     def add(batch: DataFrame, epoch: int) -> None:
-        new = batch.drop("ts").join(index_holder[0].roots, "dataset_id", "left_anti")
-        if new.limit(1).count():
-            index_holder[0] = append_datasets(index_holder[0], new)
+        index_holder[0] = grow_datasets(index_holder[0], batch.drop("ts"))
 
     return points.writeStream.foreachBatch(add).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 

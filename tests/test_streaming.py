@@ -69,6 +69,16 @@ def test_index_append(spark, points, batch, tmp_path):
     assert holder[0].roots.count() == batch.select("dataset_id").distinct().count() > known
 
 
+def test_index_append_keeps_points_of_later_batches(spark, points, batch, tmp_path):
+    few = ["1", "2", "3", "4"]
+    holder = [ix.build_index(batch.filter("dataset_id = '1'").limit(3), clean=False, spec=ix.GridSpec.from_extent(repository_extent(batch), 5))]
+    expected = {r["dataset_id"]: r["count"] for r in batch.filter(F.col("dataset_id").isin(few)).groupBy("dataset_id").count().collect()}
+    for run in ("a", "b"):  # the second run brings every point again
+        st.stream_index_append(points.filter(F.col("dataset_id").isin(few)), holder, str(tmp_path / run)).awaitTermination()
+        assert {r["dataset_id"]: r["n"] for r in holder[0].roots.collect()} == expected
+        assert {r["dataset_id"]: r["count"] for r in holder[0].points.groupBy("dataset_id").count().collect()} == expected
+
+
 def test_trips(points, batch):
     closed = st.to_memory(st.trip_state(points, 6 * 3_600_000), "append").collect()
     assert all(r["n"] > 0 and r["first_ms"] <= r["last_ms"] for r in closed) and {r["dataset_id"] for r in closed} <= {r[0] for r in batch.select("dataset_id").distinct().collect()}
