@@ -59,9 +59,10 @@ def stream_fences(points: DataFrame, boxes: DataFrame) -> DataFrame:
 
 
 def stream_gbo(points: DataFrame, spec: GridSpec, query_cells: DataFrame) -> DataFrame:
-    """Per dataset the number of the query's cells touched so far (complete or update mode)."""
+    """Per dataset the number of the query's cells touched so far (complete or update mode).
+    The state of a dataset is the set of them, at most the query's cells."""
     cells = points.select("dataset_id", z_id(vec("c", spec.d), spec).alias("cell"))
-    return cells.join(F.broadcast(query_cells.select("cell").distinct()), "cell").groupBy("dataset_id").agg(F.approx_count_distinct("cell", 0.01).alias("score"))
+    return cells.join(F.broadcast(query_cells.select("cell").distinct()), "cell").groupBy("dataset_id").agg(F.size(F.collect_set("cell")).cast("long").alias("score"))
 
 
 def trip_state(points: DataFrame, gap_ms: int) -> DataFrame:

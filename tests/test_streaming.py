@@ -45,6 +45,20 @@ def test_cells(points, batch):
     assert live.groupBy("dataset_id").agg(F.max("score")).count() > 0
 
 
+def test_gbo_counts_cells_exactly(spark, tmp_path):
+    side = 32
+    made = [(str(ds), i, i % side + 0.5, i // side + 0.5) for ds in range(1, 9) for i in range(side * side) if i % ds == 0]
+    path = str(tmp_path / "grid")
+    spark.createDataFrame(made + made, "dataset_id string, point_id long, c0 double, c1 double").withColumn("ts", F.timestamp_millis("point_id")).repartition(3).write.parquet(path)
+    grid = spark.read.parquet(path)
+    spec = ix.GridSpec((0.0, 0.0), (float(side), float(side)), 5)
+    cells = signatures(grid, spec)
+    query = cells.filter("dataset_id = '1'").select("cell")
+    live = st.to_memory(st.stream_gbo(st.stream_events(spark, path), spec, query), "complete")
+    got = {r["dataset_id"]: r["s"] for r in live.groupBy("dataset_id").agg(F.max("score").alias("s")).collect()}
+    assert got == {r["dataset_id"]: r["count"] for r in cells.join(query.distinct(), "cell").groupBy("dataset_id").count().collect()} and got["1"] == side * side
+
+
 @pytest.mark.parametrize("shape", [("1 day", None, None), ("1 day", "12 hours", None), (None, None, "6 hours")])
 def test_slices(points, batch, shape):
     rows = st.to_memory(st.stream_slices(points, *shape, lateness="400 days"), "complete" if not shape[2] else "append").collect()
