@@ -10,10 +10,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.geometry import ball_lower, ball_upper, box_overlap, boxes_meet, constants, dims, vec
+from ..checkpoints import checkpointed
+from ..functions.geometry import ball_lower, ball_upper, box_overlap, boxes_meet, constants, dims, euclid, vec
 from ..functions.zorder import signatures
 from ..model import Box
 from ..plans.waves import WavePlan
+from . import frontier
 from .index import SearchIndex
 from .kernels import Tree, best_first, build_tree, tree_from_rows
 from .outliers import remove_outliers
@@ -46,17 +48,51 @@ class Run:
     metrics: dict = field(default_factory=dict)
 
 
+@dataclass(frozen=True)
+class Outline:
+    """A query dataset of any size: its box, and its points and cells as frames."""
+
+    id: str
+    n: int
+    lo: tuple[float, ...]
+    hi: tuple[float, ...]
+    points: DataFrame
+    cells: DataFrame
+    member: bool
+
+
+def _frames(index: SearchIndex, query: str | DataFrame, clean: bool) -> tuple[DataFrame, DataFrame]:
+    """Points and cells of a query."""
+    if isinstance(query, str):
+        return index.points.filter(F.col("dataset_id") == query), index.cells.filter(F.col("dataset_id") == query).select("cell")
+    points = query
+    if clean and index.threshold is not None:
+        points = tree_points(remove_outliers(build_bottom(query, index.f), index.threshold))
+    return points, signatures(points, index.spec).select("cell").distinct()
+
+
+def as_outline(index: SearchIndex, query: str | DataFrame, clean: bool = True) -> Outline:
+    points, cells = _frames(index, query, clean)
+    d, member = index.d, isinstance(query, str)
+    if member:
+        got = index.roots.filter(F.col("dataset_id") == query).select("dataset_id", "n", *vec("lo", d), *vec("hi", d)).first()
+    else:
+        got = points.agg(F.min("dataset_id").alias("dataset_id"), F.count(F.lit(1)).alias("n"), *(g(f"c{i}").alias(f"{x}{i}") for i in range(d) for g, x in ((F.min, "lo"), (F.max, "hi")))).first()
+    if got is None or not got["n"]:
+        raise ValueError("the query dataset has no points")
+    return Outline(got["dataset_id"], got["n"], tuple(got[f"lo{i}"] for i in range(d)), tuple(got[f"hi{i}"] for i in range(d)), points, cells, member)
+
+
+def _ball(q: Outline, d: int) -> tuple[tuple[float, ...], float]:
+    """Mean and exact radius of the points, by aggregates."""
+    o = tuple(q.points.agg(*(F.avg(f"c{i}") for i in range(d))).first())
+    return o, q.points.agg(F.max(euclid(vec("c", d), constants(o)))).first()[0]
+
+
 def as_query(index: SearchIndex, query: str | DataFrame, clean: bool = True) -> Query:
     """Points of a query that is not in the index are cleaned like the index unless clean=False."""
     member = isinstance(query, str)
-    if member:
-        points = index.points.filter(F.col("dataset_id") == query)
-        cells = index.cells.filter(F.col("dataset_id") == query).select("cell")
-    else:
-        points = query
-        if clean and index.threshold is not None:
-            points = tree_points(remove_outliers(build_bottom(query, index.f), index.threshold))
-        cells = signatures(points, index.spec).select("cell").distinct()
+    points, cells = _frames(index, query, clean)
     d = index.d
     got = points.select("dataset_id", "point_id", *vec("c", d)).limit(MOST_QUERY_POINTS + 1).toPandas()
     if not len(got):
@@ -74,7 +110,7 @@ def _result(index: SearchIndex, q: str, rows: list[tuple[float, str]], measure:
     return index.spark.createDataFrame(made, f"query_id string, rank int, dataset_id string, {measure}, method string, data_variant string")
 
 
-def _others(df: DataFrame, q: Query, exclude_self: bool) -> DataFrame:
+def _others(df: DataFrame, q: Query | Outline, exclude_self: bool) -> DataFrame:
     return df.filter(F.col("dataset_id") != q.id) if q.member and exclude_self else df
 
 
@@ -119,7 +155,7 @@ def range_datasets_batch(index: SearchIndex, queries: DataFrame, most: int = 10_
 
 
 def topk_ia(index: SearchIndex, query: str | DataFrame, k: int = 10, include_zero: bool = False, exclude_self: bool = True) -> Run:
-    q = as_query(index, query)
+    q = as_outline(index, query)
     d, lo, hi = index.d, constants(q.lo), constants(q.hi)
     score = lambda: box_overlap(vec("lo", d), vec("hi", d), lo, hi)
 
@@ -136,7 +172,7 @@ def topk_ia(index: SearchIndex, query: str | DataFrame, k: int = 10, include_zer
 
 def topk_gbo(index: SearchIndex, query: str | DataFrame, k: int = 10, exclude_self: bool = True, plan: str = "tree") -> Run:
     """Datasets that share most cells with the query; none without a shared cell. plan="inverted" skips the tree."""
-    q = as_query(index, query)
+    q = as_outline(index, query)
     cells = F.broadcast(q.cells.distinct())
 
     def best(part: DataFrame) -> list[tuple[float, str]]:
@@ -186,19 +222,31 @@ def cut_trees(tree: DataFrame, eps: float) -> DataFrame:
     return inside.unionByName(stand_in)
 
 
+def _of(trees: DataFrame, ids: list[str]) -> DataFrame:
+    if len(ids) <= 500:
+        return trees.filter(F.col("dataset_id").isin(ids))
+    return trees.join(F.broadcast(trees.sparkSession.createDataFrame([(i,) for i in ids], "dataset_id string")), "dataset_id", "left_semi")
+
+
 def topk_hausdorff(index: SearchIndex, query: str | DataFrame, k: int = 10, mode: str = "exact", eps: float | None = None, exclude_self: bool = True, returns: str = "center", wave: int | None = None, clean_query: bool = True) -> Run:
     """The k datasets of smallest directed Hausdorff distance from the query.
 
     Balls of the upper leaves and roots leave the candidates; they are searched exactly (or to 2 eps) in waves of growing
-    size by increasing lower bound, until the next lower bound exceeds the k-th distance.
+    size by increasing lower bound, until the next lower bound exceeds the k-th distance. A query or a candidate of more
+    than MOST_QUERY_POINTS points is compared through the frontier, exactly in either mode and without counters.
     """
     if k < 1:
         raise ValueError("k must be at least 1")
     if mode not in ("exact", "approx"):
         raise ValueError("mode is exact or approx")
-    q = as_query(index, query, clean_query)
     d = index.d
-    o, r = constants(q.o), F.lit(q.radius)
+    whole = as_outline(index, query, clean_query)
+    if whole.n > MOST_QUERY_POINTS:
+        q, (centre, radius) = whole, _ball(whole, d)
+    else:
+        q = as_query(index, query, clean_query)
+        centre, radius = q.o, q.radius
+    o, r = constants(centre), F.lit(radius)
     slack = 2 * (eps if eps is not None else index.spec.epsilon()) if mode == "approx" else 0.0
     eps = index.spec.epsilon() if eps is None else eps
     bounds = _others(index.roots, q, exclude_self).select("dataset_id", ball_lower(o, vec("o", d), F.col("radius")).alias("lower"), ball_upper(o, r, vec("o", d), F.col("radius")).alias("upper"))
@@ -207,7 +255,9 @@ def topk_hausdorff(index: SearchIndex, query: str | DataFrame, k: int = 10, mode
     near = index.members.join(index.upper.filter(F.col("is_leaf") & (ball_lower(o, vec("o", d), F.col("radius")) <= tau)).select("path"), "path", "left_semi").select("dataset_id")
     open_ = bounds.filter(F.col("lower") <= tau).join(near, "dataset_id", "left_semi")
     trees = cut_trees(index.tree, eps) if mode == "approx" else index.tree
-    tree = build_tree(q.points, index.f)
+    tree = None if q is whole else build_tree(q.points, index.f)
+    giants = {x["dataset_id"] for x in index.roots.filter(F.col("n") > MOST_QUERY_POINTS).select("dataset_id").collect()}
+    q_tree = None
     size = wave or max(4 * k, 4 * index.spark.sparkContext.defaultParallelism)
     found: list[tuple[float, str]] = []
     metrics = {"evaluations": 0, "expansions": 0, "kernels": 0, "rounds": 0}
@@ -223,8 +273,16 @@ def topk_hausdorff(index: SearchIndex, query: str | DataFrame, k: int = 10, mode
             break
         last = (now[-1]["lower"], now[-1]["dataset_id"])
         ids = [x["dataset_id"] for x in now]
-        part = trees.filter(F.col("dataset_id").isin(ids)) if len(ids) <= 500 else trees.join(F.broadcast(index.spark.createDataFrame([(i,) for i in ids], "dataset_id string")), "dataset_id", "left_semi")
-        got = kernel_frame(part, tree, limit + slack, mode, eps, returns).collect()
+        large = ids if tree is None else [i for i in ids if i in giants]
+        small = [i for i in ids if tree is not None and i not in giants]
+        got = []
+        if small:
+            got = kernel_frame(_of(trees, small), tree, limit + slack, mode, eps, returns).collect()
+        if large:
+            if q_tree is None:
+                q_tree = checkpointed(index.tree.filter(F.col("dataset_id") == query) if whole.member else build_bottom(whole.points, index.f))
+            far = frontier.hausdorff(q_tree, _of(index.tree, large), None if limit == float("inf") else limit + slack).collect()
+            found += [(x["distance"], x["dataset_id"]) for x in far]
         metrics["rounds"] += 1
         metrics["kernels"] += len(got)
         metrics["evaluations"] += sum(x["evaluations"] for x in got)
@@ -249,9 +307,10 @@ def hausdorff_pair(index: SearchIndex, q_id: str, d_id: str, mode: str = "exact"
 
 def symmetric_topk(index: SearchIndex, query: str, k: int = 10) -> Run:
     """By the larger of both directions: the query's direction bounds from below, so its order drives the search."""
-    q = as_query(index, query)
+    whole = as_outline(index, query)
     n = index.roots.count()
-    tree, want = build_tree(q.points, index.f), k
+    tree, want = None if whole.n > MOST_QUERY_POINTS else build_tree(as_query(index, query).points, index.f), k
+    giants = {x["dataset_id"] for x in index.roots.filter(F.col("n") > MOST_QUERY_POINTS).select("dataset_id").collect()}
     while True:
         there = topk_hausdorff(index, query, min(want, n))
         ids = [i for _, i in there.rows]
@@ -262,7 +321,11 @@ def symmetric_topk(index: SearchIndex, query: str, k: int = 10) -> Run:
             t = tree_from_rows(table.column("path").to_pylist(), table.column("kind").to_numpy(), table.column("n").to_numpy(), table.column("radius").to_numpy(), table.column("is_leaf").to_pylist(), get("o"), get("lo"), get("hi"))
             return pa.table({"dataset_id": table.column("dataset_id")[:1], "distance": pa.array([best_first(t, tree).distance], pa.float64())})
 
-        rows = {r["dataset_id"]: r["distance"] for r in index.tree.filter(F.col("dataset_id").isin(ids)).groupBy("dataset_id").applyInArrow(back, "dataset_id string, distance double").collect()}
+        large = ids if tree is None else [i for i in ids if i in giants]
+        small = [i for i in ids if i not in large]
+        rows = {i: frontier.hausdorff(index.tree.filter(F.col("dataset_id") == i), index.tree.filter(F.col("dataset_id") == query)).first()["distance"] for i in large}
+        if small:
+            rows |= {r["dataset_id"]: r["distance"] for r in index.tree.filter(F.col("dataset_id").isin(small)).groupBy("dataset_id").applyInArrow(back, "dataset_id string, distance double").collect()}
         both = sorted((max(v, rows[i]), i) for v, i in there.rows)[:k]
         if len(there.rows) < want or both[-1][0] < there.rows[-1][0]:
             return Run(both, there.metrics | {"candidates": len(ids)})
