@@ -1,11 +1,10 @@
 """Byte-level BPE encoding and decoding by corpus-level merge replay.
 
-A block of text is a small corpus: its distinct pieces are laid end to end as byte tokens, an inverted index
-lists the positions of every adjacent token pair under the rank of its merge, and the merges are applied to the
-whole block in rank order; only the two neighbours of each applied merge are looked up again. Pieces do not
-touch each other, so the index is swept for all of them at once: a sweep applies to each piece the first entry
-that it has, which is the order of the ranks piece by piece. Long pieces, which would need many sweeps, take the
-entries one rank at a time. Encoded pieces stay in a bounded table of the worker.
+A block of text is a small corpus: its distinct pieces, of any length, are laid end to end as byte tokens, and an
+inverted index lists the places of every adjacent token pair under the rank of its merge. The index is worked off in
+rank order, a band of ranks at a time; only the two neighbours of each applied merge are looked up and entered again.
+Pieces do not touch each other, so one step applies to every piece that has entries in the band all places of its least
+rank. Encoded pieces stay in a bounded table of the worker.
 
 Null or empty text: no tokens, digests of the empty string. Rows are independent: ties, repeated rows and an
 empty table need no rule; whole texts are encoded however long.
@@ -15,7 +14,6 @@ from __future__ import annotations
 
 import base64
 import hashlib
-from heapq import heappop, heappush
 
 import numpy as np
 import regex
@@ -26,9 +24,10 @@ from . import textblocks as tb
 #: Pieces that a worker keeps encoded, twice; what falls out is encoded again when it returns, which costs time, not results.
 KEPT_PIECES = 60_000
 
-#: Bytes of a piece that sweeps encode.
-SHORT = 64
-NO_MERGE = 1 << 40
+#: Bands of ranks that the index of a block is kept in.
+BANDS = 16
+NO_MERGE = 1 << 30
+WALL, MERGED = -1, -2
 
 
 def read_ranks(data: bytes) -> dict[bytes, int]:
@@ -42,7 +41,8 @@ class MergeReplay:
         self.ranks, self.pattern = ranks, regex.compile(pattern)
         self.bytes_of = {i: b for b, i in ranks.items()}
         self.byte_ids = [ranks[bytes([b])] for b in range(256)]
-        self.merged: dict[int, int] = {}
+        #: Index entries made after the first ones, two at most for each merge.
+        self.updates = 0
         self.byte_pairs = np.array([ranks.get(bytes([a, b]), -1) for a in range(256) for b in range(256)], np.int32)
         self.id_of_byte = np.array(self.byte_ids, np.int64)
         # Every pair of tokens that merges, as one sorted number, with the rank of the merge.
@@ -53,144 +53,95 @@ class MergeReplay:
         self.kept: dict[str, tuple[str, bytes]] = {}
         self.older: dict[str, tuple[str, bytes]] = {}
 
-    def _merge(self, left: int, right: int) -> int:
-        """The rank of the merge of two neighbours, which is also the id that it makes; -1: there is none."""
-        rank = self.merged[left << 20 | right] = self.ranks.get(self.bytes_of[left] + self.bytes_of[right], -1)
-        return rank
-
     def encode_pieces(self, pieces: list[bytes]) -> list[list[int]]:
         """The ids of each piece; a piece that is a token itself is that token."""
         ranks = self.ranks
         out: list[list[int] | None] = [[ranks[p]] if p in ranks else None for p in pieces]
-        for part, encode in (([i for i, p in enumerate(pieces) if out[i] is None and len(p) <= SHORT], self._sweep), ([i for i, p in enumerate(pieces) if out[i] is None and len(p) > SHORT], self._by_rank)):
-            if part:
-                for i, ids in zip(part, encode([pieces[i] for i in part])):
-                    out[i] = ids
+        part = [i for i, p in enumerate(pieces) if out[i] is None]
+        if part:
+            for i, ids in zip(part, self._replay([pieces[i] for i in part])):
+                out[i] = ids
         return out
 
     def _rank_of(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """Rank of the merge of two neighbours, which is also the id that it makes; a wall (below 0) merges with nothing."""
         key = left << 20 | right
         at = np.minimum(np.searchsorted(self.pair_keys, key), len(self.pair_keys) - 1)
-        return np.where(self.pair_keys[at] == key, self.pair_ranks[at], NO_MERGE)
-
-    def _sweep(self, pieces: list[bytes]) -> list[list[int]]:
-        raw = np.frombuffer(b"".join(pieces), np.uint8)
-        sizes = np.array([len(p) for p in pieces])
-        piece, token = np.repeat(np.arange(len(pieces)), sizes), self.id_of_byte[raw]
-        rank = np.full(len(raw), NO_MERGE, np.int64)
-        inner = np.flatnonzero(piece[:-1] == piece[1:])
-        first = self.byte_pairs[raw[inner].astype(np.int32) << 8 | raw[inner + 1]].astype(np.int64)
-        rank[inner] = np.where(first >= 0, first, NO_MERGE)
-        done_token, done_piece = [], []
-        while len(token):
-            begin = np.flatnonzero(np.concatenate(([True], piece[1:] != piece[:-1])))
-            least = np.repeat(np.minimum.reduceat(rank, begin), np.diff(np.append(begin, len(piece))))
-            ended = least == NO_MERGE
-            if ended.any():
-                done_token.append(token[ended])
-                done_piece.append(piece[ended])
-                going = ~ended
-                token, piece, rank, least = token[going], piece[going], rank[going], least[going]
-                if not len(token):
-                    break
-            at = np.flatnonzero(rank == least)
-            at = at[np.concatenate(([True], piece[at][1:] != piece[at][:-1]))]  # the leftmost of each piece
-            token[at] = rank[at]
-            stay = np.ones(len(token), bool)
-            stay[at + 1] = False
-            rank[at] = NO_MERGE
-            token, piece, rank = token[stay], piece[stay], rank[stay]
-            at = at - np.arange(len(at))
-            for left in (at, at - 1):
-                left = left[(left >= 0) & (left + 1 < len(token))]
-                left = left[piece[left] == piece[left + 1]]
-                rank[left] = self._rank_of(token[left], token[left + 1])
-        token, piece = np.concatenate(done_token), np.concatenate(done_piece)
-        order = np.argsort(piece, kind="stable")
-        ids = token[order].tolist()
-        ends = np.cumsum(np.bincount(piece, minlength=len(pieces))).tolist()
-        return [ids[a:b] for a, b in zip([0, *ends], ends)]
-
-    def _by_rank(self, pieces: list[bytes]) -> list[list[int]]:
-        out: list[list[int] | None] = [None] * len(pieces)
-        todo = range(len(pieces))
-        sizes = np.array([len(pieces[i]) + 1 for i in todo])
+        return np.where((self.pair_keys[at] == key) & (left >= 0) & (right >= 0), self.pair_ranks[at], NO_MERGE)
+
+    def _replay(self, pieces: list[bytes]) -> list[list[int]]:
+        # Pieces end to end, each followed by a wall; tokens are linked to their neighbours by place.
+        sizes = np.array([len(p) + 1 for p in pieces])
         ends = np.cumsum(sizes)
-        starts = (ends - sizes).tolist()
-        # One byte more stands after each piece: a wall that no pair reaches over.
-        raw = np.frombuffer(b"\0".join([pieces[i] for i in todo]) + b"\0", np.uint8)
-        tokens = self.id_of_byte[raw]
-        tokens[ends - 1] = -1
-        pairs = self.byte_pairs[raw[:-1].astype(np.int32) << 8 | raw[1:]]
-        pairs[(tokens[:-1] < 0) | (tokens[1:] < 0)] = -1
-        places = np.flatnonzero(pairs >= 0)
-        places = places[np.argsort(pairs[places], kind="stable")]
-        values, cuts = np.unique(pairs[places], return_index=True)
-        at: dict[int, list[int]] = {r: p.tolist() for r, p in zip(values.tolist(), np.split(places, cuts[1:]))} if len(places) else {}
-        token = tokens.tolist()
-        after = list(range(1, len(token) + 1))
-        before = list(range(-1, len(token) - 1))
-        known, merge = self.merged.get, self._merge
-        due = sorted(at)
-        while due:
-            rank = heappop(due)
-            places = at.pop(rank, None)
-            if not places:
-                continue
-            places.sort()
-            for k, p in enumerate(places):
-                a = token[p]
-                if a < 0:
-                    continue
-                q = after[p]
-                b = token[q]
-                if b < 0:
-                    continue
-                r = known(a << 20 | b)
-                if (merge(a, b) if r is None else r) != rank:
-                    continue
-                token[p], token[q] = rank, -2
-                q = after[p] = after[q]
-                before[q] = p
-                lower = False
-                b = token[q]
-                if b >= 0:
-                    r = known(rank << 20 | b)
-                    if r is None:
-                        r = merge(rank, b)
-                    if r >= 0:
-                        if r in at:
-                            at[r].append(p)
-                        else:
-                            at[r] = [p]
-                            heappush(due, r)
-                        lower = r < rank
-                left = before[p]
-                if left >= 0 and (a := token[left]) >= 0:
-                    r = known(a << 20 | rank)
-                    if r is None:
-                        r = merge(a, rank)
-                    if r >= 0:
-                        if r in at:
-                            at[r].append(left)
-                        else:
-                            at[r] = [left]
-                            heappush(due, r)
-                        lower = lower or r < rank
-                if lower:  # an earlier merge has become possible; what is left of this one waits
-                    if rest := places[k + 1 :]:
-                        if rank in at:
-                            at[rank] += rest
-                        else:
-                            at[rank] = rest
-                            heappush(due, rank)
+        raw = np.frombuffer(b"\0".join(pieces) + b"\0", np.uint8)
+        token, piece = self.id_of_byte[raw], np.repeat(np.arange(len(pieces)), sizes)
+        token[ends - 1] = WALL
+        after, before = np.arange(1, len(raw) + 1), np.arange(-1, len(raw) - 1)
+        rank_at = np.full(len(raw), NO_MERGE, np.int64)
+        pairs = self.byte_pairs[raw[:-1].astype(np.int32) << 8 | raw[1:]].astype(np.int64)
+        rank_at[:-1] = np.where((pairs >= 0) & (token[:-1] >= 0) & (token[1:] >= 0), pairs, NO_MERGE)
+        # The index: places under their rank, as numbers rank << 32 | place, in bands of ranks that are worked off in order.
+        places = np.flatnonzero(rank_at < NO_MERGE)
+        entries = np.sort(rank_at[places] << 32 | places)
+        edges = np.unique(entries[:: max(1, len(entries) // BANDS)] >> 32)[1:]
+        due: list[list[np.ndarray]] = [[x] for x in np.split(entries, np.searchsorted(entries, edges << 32))]
+        least = np.empty(len(pieces), np.int64)
+        for band in range(len(due)):
+            top = edges[band] if band < len(edges) else NO_MERGE
+            open_, due[band] = np.unique(np.concatenate(due[band])), []
+            while len(open_):
+                rank, at = open_ >> 32, open_ & 0xFFFFFFFF
+                valid = rank_at[at] == rank
+                open_, rank, at = open_[valid], rank[valid], at[valid]
+                if not len(open_):
                     break
-        for i, p in zip(todo, starts):
-            ids = out[i] = []
-            while token[p] != -1:
-                ids.append(token[p])
-                p = after[p]
-        return out
+                own = piece[at]
+                least[own[::-1]] = rank[::-1]  # the first entry of each piece is written last
+                touched = self._apply(np.sort(at[rank == least[own]]), token, piece, after, before, rank_at)
+                new = touched[rank_at[touched] < NO_MERGE]
+                self.updates += len(new)
+                new = rank_at[new] << 32 | new
+                now = new >> 32 < top
+                open_ = np.unique(np.concatenate((open_, new[now])))
+                if not now.all():
+                    later = new[~now]
+                    where = np.searchsorted(edges, later >> 32, side="right")
+                    order = np.argsort(where, kind="stable")
+                    cuts = np.flatnonzero(np.diff(where[order])) + 1
+                    for part in np.split(order, cuts):
+                        due[where[part[0]]].append(later[part])
+        left = token >= 0
+        ids, stops = token[left].tolist(), np.cumsum(np.bincount(piece[left], minlength=len(pieces))).tolist()
+        return [ids[a:b] for a, b in zip([0, *stops], stops)]
+
+    def _apply(self, at: np.ndarray, token, piece, after, before, rank_at) -> np.ndarray:
+        """Merge at the places given, all of the least rank of their pieces, from left to right; the places whose pair changed.
+
+        Of places that overlap every other one merges. A piece stops after a merge that makes an earlier one possible;
+        its other places stay in the index.
+        """
+        if len(at) > 1:
+            i = np.arange(len(at))
+            begin = np.concatenate(([True], after[at[:-1]] != at[1:]))
+            at = at[(i - np.maximum.accumulate(np.where(begin, i, 0))) & 1 == 0]
+        rank, own = rank_at[at], piece[at]
+        same = own[1:] == own[:-1]
+        if same.any():
+            follows = np.concatenate(([False], after[after[at[:-1]]] == at[1:]))
+            before_it = np.where(follows, np.concatenate(([0], rank[:-1])), np.where(before[at] >= 0, token[before[at]], WALL))
+            lower = np.minimum(self._rank_of(before_it, rank), self._rank_of(rank, token[after[after[at]]])) < rank
+            seen = np.cumsum(lower) - lower
+            first = np.concatenate(([True], ~same))
+            at = at[seen == np.repeat(seen[first], np.diff(np.append(np.flatnonzero(first), len(at))))]
+            rank = rank_at[at]
+        gone = after[at]
+        token[at], token[gone], rank_at[gone] = rank, MERGED, NO_MERGE
+        after[at] = after[gone]
+        before[after[at]] = at
+        touched = before[at]
+        touched = np.unique(np.concatenate((at, touched[(touched >= 0)])))
+        rank_at[touched] = self._rank_of(token[touched], token[after[touched]])
+        return touched
 
     def pieces(self, texts: list[str]) -> list[list[str]]:
         """The pieces of each text, all of them encoded and kept."""
