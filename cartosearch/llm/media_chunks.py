@@ -2,9 +2,10 @@
 
 A text's UTF-8 bytes, padded with zero bytes to a positive multiple of 64, are the samples of an 8-bit mono
 WAVE file. A rolling gear hash over the last 32 bytes cuts the file where its low bits vanish, so equal
-passages give equal chunks wherever they stand. Groups of files keep each chunk once; across groups a join on
-chunk digests leaves each chunk with one owner, which sends it to the others that list it. Files are then
-rebuilt from their ordered chunk lists, checked against their digests, and only then read for features.
+passages give equal chunks wherever they stand. A join on chunk digests gives each chunk one owner among the groups of
+files that hold it; the owner writes it to the store, once, and every group writes the ordered chunk lists of its files.
+Both are read back, owners send chunks to the groups that list them, files are rebuilt from their lists, checked against
+their digests, and only then read for features.
 
 Null or empty text: 0 bytes, a payload of 64 zero bytes. Equal texts are one file. Null or repeated doc_ids are
 carried through. Files of any length are cut and rebuilt whole; an empty table gives no rows.
@@ -14,14 +15,16 @@ from __future__ import annotations
 
 import hashlib
 import struct
+import uuid
 import zlib
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from . import textblocks as tb
+from ..checkpoints import checkpoint_dir, checkpointed
 from . import unique_texts as ut
 
 UNIT = 64
@@ -91,6 +94,31 @@ def features(payload: bytes) -> str:
     return f"peak={int(np.abs(x).max())};sum={total};energy={square};crossings={crossings};range={int(x.max() - x.min())}"
 
 
+STORED = "p int, tkey binary, n_bytes long, media_sha256 binary, digests array<binary>, digest binary, chunk binary"
+READ = "tkey binary, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, n_chunks long"
+#: Groups that one shipped copy of a chunk serves.
+RELAY = 256
+#: Files of a store, however many groups there are.
+MOST_BUCKETS = 20_000
+
+
+@dataclass(frozen=True)
+class Store:
+    """What was written: rows of STORED, chunks (with digest, each digest once) and manifests (with tkey) of groups p, and
+    for each chunk the groups besides its owner that list it (digest, p, owner)."""
+
+    rows: DataFrame
+    wanted: DataFrame
+
+    @property
+    def chunks(self) -> DataFrame:
+        return self.rows.filter("tkey IS NULL").select("p", "digest", "chunk")
+
+    @property
+    def manifests(self) -> DataFrame:
+        return self.rows.filter("tkey IS NOT NULL").select("p", "tkey", "n_bytes", "media_sha256", "digests")
+
+
 def _files(table: pa.Table):
     """(keys, raw texts, files) of a group in slices."""
     keys, _, z = ut.read_group(table)
@@ -105,78 +133,107 @@ def _digests(table: pa.Table) -> pa.Table:
     return pa.table({"digest": pa.array(sorted(found), pa.binary()), "p": pa.array([table.column("p")[0].as_py()] * len(found), pa.int32())})
 
 
-def _ship(texts: pa.Table, wanted: pa.Table) -> pa.Table:
-    asked: dict[bytes, list[int]] = {}
-    for d, p in zip(wanted.column("digest").to_pylist(), wanted.column("wanted_by").to_pylist()):
-        asked.setdefault(d, []).append(p)
-    rows = []
-    if asked and texts.num_rows:
-        for _, _, files in _files(texts):
-            for chunks in chunked(files):
-                rows += [(p, d, c) for d, c in chunks if d in asked for p in asked.pop(d)]
-    p, d, c = zip(*rows) if rows else ((), (), ())
-    return pa.table({"p": pa.array(p, pa.int32()), "digest": pa.array(d, pa.binary()), "chunk": pa.array(c, pa.binary())})
+def _table(rows: list[tuple], names: list[str], kinds: tuple) -> pa.Table:
+    cols = list(zip(*rows)) or [()] * len(names)
+    return pa.table([pa.array(c, k) for c, k in zip(cols, kinds)], names=names)
 
 
-def _rebuild(texts: pa.Table, received: pa.Table) -> pa.Table:
-    foreign = dict(zip(received.column("digest").to_pylist(), received.column("chunk").to_pylist()))
-    rows = []
+def _keep(texts: pa.Table, foreign: pa.Table) -> pa.Table:
+    """The manifests of a group, and its chunks that no other group owns."""
+    rows, seen = [], set(foreign.column("digest").to_pylist())
     if texts.num_rows:
-        own: dict[bytes, bytes] = {}
-        manifests = []
+        p = texts.column("p")[0].as_py()
         for keys, raw, files in _files(texts):
             for key, text, media, chunks in zip(keys, raw, files, chunked(files)):
-                own.update((d, c) for d, c in chunks if d not in foreign and d not in own)
-                manifests.append((key, len(text), hashlib.sha256(media).digest(), [d for d, _ in chunks]))
-        for key, n, whole, listed in manifests:
-            media = b"".join(foreign[d] if d in foreign else own[d] for d in listed)
-            if hashlib.sha256(media).digest() != whole:
-                raise ValueError(f"chunks do not give back file {key.hex()}")
-            payload = samples(media)
-            rows.append((key, n, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-UNIT:]), len(media), whole.hex(), features(payload), len(listed)))
-    cols = list(zip(*rows)) or [()] * 9
-    kinds = (pa.binary(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64())
-    return pa.table([pa.array(c, k) for c, k in zip(cols, kinds)], names=["tkey", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "n_chunks"])
-
-
-def media_features(docs: DataFrame) -> DataFrame:
-    """One row per document: sizes and digests of payload and file as read back, and the features."""
-    keyed = ut.keyed(docs)
-    texts = ut.unique_texts(keyed.withColumn("doc_id", F.lit(None).cast("long")), ut.group_count(docs))
+                rows.append((p, key, len(text), hashlib.sha256(media).digest(), [d for d, _ in chunks], None, None))
+                for d, c in chunks:
+                    if d not in seen:
+                        seen.add(d)
+                        rows.append((p, None, None, None, None, d, c))
+    binary = pa.binary()
+    return _table(rows, [x.split()[0] for x in STORED.split(", ")], (pa.int32(), binary, pa.int64(), binary, pa.list_(binary), binary, binary))
+
+
+def write_store(docs: DataFrame) -> Store:
+    """Cut the file of every distinct text, write each chunk once and each file's ordered list of chunks.
+
+    Groups of texts meet by digests alone: a join on them gives a chunk that several groups hold one owner. The store is
+    a Parquet table in the checkpoint folder, bucketed by group, so that later stages read a group without moving it.
+    """
+    spark = docs.sparkSession
+    groups = ut.group_count(docs)
+    texts = ut.unique_texts(ut.keyed(docs).withColumn("doc_id", F.lit(None).cast("long")), groups)
     listed = texts.groupBy("p").applyInArrow(_digests, "digest binary, p int")
     owner = F.min(F.struct(F.xxhash64("digest", "p").alias("h"), F.col("p"))).getField("p")
     owners = listed.groupBy("digest").agg(owner.alias("owner"), F.count(F.lit(1)).alias("n")).filter("n > 1").select(F.col("digest").alias("_digest"), "owner")
-    wanted = listed.join(owners, F.col("digest") == F.col("_digest")).filter("p != owner").select(F.col("owner").alias("p"), "digest", F.col("p").alias("wanted_by"))
-    shipped = texts.groupBy("p").cogroup(wanted.groupBy("p")).applyInArrow(_ship, "p int, digest binary, chunk binary")
-    rebuilt = texts.groupBy("p").cogroup(shipped.groupBy("p")).applyInArrow(_rebuild, "tkey binary, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, n_chunks long")
-    return keyed.select("doc_id", F.col("tkey").alias("_key")).join(rebuilt, F.col("_key") == F.col("tkey")).drop("_key", "tkey")
+    wanted = checkpointed(listed.join(owners, F.col("digest") == F.col("_digest")).filter("p != owner").select("digest", "p", "owner"))
+    rows = texts.groupBy("p").cogroup(wanted.groupBy("p")).applyInArrow(_keep, STORED)
+    name = f"media_store_{uuid.uuid4().hex}"
+    rows.write.format("parquet").option("compression", "zstd").option("path", f"{checkpoint_dir(spark)}/{name}").bucketBy(min(groups, MOST_BUCKETS), "p").saveAsTable(name)
+    return Store(spark.table(name), wanted)
 
 
-def store(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(chunks: digest, chunk), each chunk once, and (manifests: doc_id, media_sha256, digests in order)."""
+def _ship(stored: pa.Table, asked: pa.Table) -> pa.Table:
+    """One row for each relay of each chunk that other groups want."""
+    rows = []
+    if asked.num_rows:
+        chunks = dict(zip(stored.column("digest").to_pylist(), stored.column("chunk").to_pylist()))
+        for d, relay, groups in zip(*(asked.column(c).to_pylist() for c in ("digest", "relay", "groups"))):
+            if d not in chunks:
+                raise ValueError(f"the store has no chunk {d.hex()}")
+            rows.append((d, relay, groups, chunks[d]))
+    return _table(rows, ["digest", "relay", "groups", "chunk"], (pa.binary(), pa.int32(), pa.list_(pa.int32()), pa.binary()))
+
+
+def _media(stored: pa.Table, received: pa.Table):
+    """(key, bytes of the text, file, number of chunks) of each file of a group, put together and verified."""
+    chunks = dict(zip(received.column("digest").to_pylist(), received.column("chunk").to_pylist()))
+    manifests = []
+    for key, n, whole, listed, d, c in zip(*(stored.column(x).to_pylist() for x in ("tkey", "n_bytes", "media_sha256", "digests", "digest", "chunk"))):
+        if key is None:
+            chunks[d] = c
+        else:
+            manifests.append((key, n, whole, listed))
+    for key, n, whole, listed in manifests:
+        try:
+            media = b"".join([chunks[d] for d in listed])
+        except KeyError as missing:
+            raise ValueError(f"the store has no chunk {missing.args[0].hex()} of file {key.hex()}") from None
+        if hashlib.sha256(media).digest() != whole:
+            raise ValueError(f"chunks do not give back file {key.hex()}")
+        yield key, n, media, len(listed)
+
+
+def _whole(stored: pa.Table, received: pa.Table) -> pa.Table:
+    return _table(list(_media(stored, received)), ["tkey", "n_bytes", "media", "n_chunks"], (pa.binary(), pa.int64(), pa.binary(), pa.int64()))
+
+
+def _read(stored: pa.Table, received: pa.Table) -> pa.Table:
+    rows = []
+    for key, n, media, chunks in _media(stored, received):
+        payload = samples(media)
+        rows.append((key, n, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-UNIT:]), len(media), hashlib.sha256(media).hexdigest(), features(payload), chunks))
+    return _table(rows, [x.split()[0] for x in READ.split(", ")], (pa.binary(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64()))
 
-    def make(part):
-        files = [wave(padded(t.encode())) for t in tb.texts(part)]
-        lists = chunked(files)
-        return {"doc_id": tb.column(part, "doc_id"), "media_sha256": [hashlib.sha256(f).hexdigest() for f in files], "digests": [[d for d, _ in c] for c in lists], "chunks": [[c for _, c in x] for x in lists]}
 
-    made = tb.per_slice(docs, make, "doc_id long, media_sha256 string, digests array<binary>, chunks array<binary>")
-    both = made.select(F.explode(F.arrays_zip("digests", "chunks")).alias("x")).select(F.col("x.digests").alias("digest"), F.col("x.chunks").alias("chunk"))
-    return both.groupBy("digest").agg(F.first("chunk").alias("chunk")), made.select("doc_id", "media_sha256", "digests")
+def _from_store(store: Store, make, schema: str) -> DataFrame:
+    """make(stored rows of a group, chunks that other groups sent it) for every group.
 
+    A chunk that many groups want goes out once for each RELAY of them and is multiplied behind the next exchange.
+    """
+    relay = F.floor(F.col("p") / RELAY).cast("int").alias("relay")
+    asked = store.wanted.groupBy(F.col("owner").alias("p"), "digest", relay).agg(F.collect_set("p").alias("groups"))
+    sent = store.chunks.groupBy("p").cogroup(asked.groupBy("p")).applyInArrow(_ship, "digest binary, relay int, groups array<int>, chunk binary")
+    received = sent.repartition("digest", "relay").select(F.explode("groups").alias("p"), "digest", "chunk")
+    return store.rows.groupBy("p").cogroup(received.groupBy("p")).applyInArrow(make, schema)
 
-def reconstruct(manifests: DataFrame, chunks: DataFrame) -> DataFrame:
-    """doc_id, media_sha256 and the file, for every manifest of distinct doc_id; a missing chunk or a digest that
-    does not fit stops the job."""
-    listed = manifests.select("doc_id", "media_sha256", F.posexplode("digests").alias("pos", "digest"))
-    joined = listed.join(chunks, "digest", "left").groupBy("doc_id", "media_sha256").agg(F.array_sort(F.collect_list(F.struct("pos", "chunk"))).alias("parts"))
 
-    def run(batches):
-        for b in batches:
-            media = [b"".join(x["chunk"] or b"" for x in parts) for parts in tb.column(b, "parts").to_pylist()]
-            for m, known in zip(media, tb.column(b, "media_sha256").to_pylist()):
-                if hashlib.sha256(m).hexdigest() != known:
-                    raise ValueError(f"chunks do not give back file {known}")
-            yield pa.RecordBatch.from_arrays([tb.column(b, "doc_id"), tb.column(b, "media_sha256"), pa.array(media, pa.binary())], names=["doc_id", "media_sha256", "media"])
+def reconstruct(store: Store) -> DataFrame:
+    """tkey, n_bytes, media and n_chunks of every file; a missing chunk or a digest that does not fit stops the job."""
+    return _from_store(store, _whole, "tkey binary, n_bytes long, media binary, n_chunks long")
 
-    return joined.mapInArrow(run, "doc_id long, media_sha256 string, media binary")
+
+def media_features(docs: DataFrame) -> DataFrame:
+    """One row per document: sizes and digests of payload and file as read back from the store, and the features."""
+    read = _from_store(write_store(docs), _read, READ)
+    return ut.keyed(docs).select("doc_id", F.col("tkey").alias("_key")).join(read, F.col("_key") == F.col("tkey")).drop("_key", "tkey")
