@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..checkpoints import checkpointed, ensure_checkpoint_dir
+from ..checkpoints import checkpoint_dir, checkpointed
 from . import textblocks as tb
 from . import unique_texts as ut
 
@@ -40,6 +40,9 @@ LEAST = 0.8
 #: Texts of a cluster, and runs of them (about 100 bytes each), that one task compares; larger clusters are cut first.
 MOST_IN_TASK = 20_000
 MOST_RUNS_IN_TASK = 3_000_000
+#: Edges of a node beyond which it counts as a hub, and edges / HUBS where those are more: a bound on the number of hubs.
+HUB_ROWS = 200
+HUBS = 5_000
 #: Items counted as frequent when large clusters are cut; they go to every task.
 FREQUENT = 65_536
 #: Bytes of pivot distances that a task keeps; those of further pivots are computed again.
@@ -144,19 +147,29 @@ def _banded(keyed: DataFrame) -> DataFrame:
     return keyed.select("text", "tkey").mapInArrow(run, schema)
 
 
+def _told(rows: DataFrame, least: DataFrame, total: int) -> DataFrame:
+    """rows joined with least (a, m, n) on a. Nodes of so many rows that they would fill a task, fewer than 2 * HUBS
+    of them by their degrees, are broadcast, so that rows of a hub stay where they are."""
+    hubs = F.broadcast(least.filter(F.col("n") > max(HUB_ROWS, total // HUBS)).select("a", F.col("m").alias("hub_m")))
+    marked = rows.join(hubs, "a", "left")
+    others = marked.filter("hub_m IS NULL").drop("hub_m").join(least.select("a", "m"), "a")
+    return marked.filter("hub_m IS NOT NULL").withColumnRenamed("hub_m", "m").unionByName(others)
+
+
 def components(edges: DataFrame, most_rounds: int = 40) -> DataFrame:
     """(node, root) for every node of edges (a, b): the smallest node of its connected component.
 
     Alternates the two star operations: every node tells its larger neighbours, then its smaller ones, of the
-    smallest node it knows. Rounds grow with the logarithm of the longest path; only a count reaches the driver.
+    smallest node it knows. Rounds grow with the logarithm of the longest path; only counts reach the driver.
     """
     state = checkpointed(edges.filter("a != b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
     for _ in range(most_rounds):
+        total = state.count()
         both = state.select("a", "b").union(state.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-        large = both.filter("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b"))
-        small_least = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(small_least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a != b").union(small_least.select("a", F.col("m").alias("b"))).distinct()
+        least = both.groupBy("a").agg(F.min("b").alias("m"), F.count(F.lit(1)).alias("n")).select("a", F.least("a", "m").alias("m"), "n")
+        large = _told(both.filter("b > a"), least, total).select(F.col("b").alias("a"), F.col("m").alias("b"))
+        small_least = large.groupBy("a").agg(F.min("b").alias("m"), F.count(F.lit(1)).alias("n"))
+        small = _told(large, small_least, total).select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a != b").union(small_least.select("a", F.col("m").alias("b"))).distinct()
         after = checkpointed(small)
         changed = after.exceptAll(state).limit(1).count() + state.exceptAll(after).limit(1).count()
         state = after
@@ -425,7 +438,7 @@ def in_blocks(rows: DataFrame, most: int, most_runs: int) -> DataFrame:
 
 def node_classes(docs: DataFrame, most: int = MOST_IN_TASK, most_runs: int = MOST_RUNS_IN_TASK) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(keyed documents with node, the texts' n_runs, (node, label) of texts that share a class with another)."""
-    ensure_checkpoint_dir(docs.sparkSession)
+    checkpoint_dir(docs.sparkSession)
     keyed = ut.keyed(docs).withColumn("node", F.substring("tkey", 1, 16))
     banded = checkpointed(_banded(keyed).groupBy("node").agg(F.max("n_runs").alias("n_runs"), F.first("bands").alias("bands")))
     shared = banded.select("node", F.explode("bands").alias("band"))
@@ -461,14 +474,14 @@ def near_duplicates(docs: DataFrame, most: int = MOST_IN_TASK) -> DataFrame:
 
 
 def one_of_each(docs: DataFrame) -> DataFrame:
-    """The rows of docs that stand for their class: the smallest doc_id, one row; columns as given."""
-    names = docs.columns
-    marked = docs.withColumn("_node", F.substring(F.unhex(F.sha2(F.coalesce(F.col("text"), F.lit("")), 256)), 1, 16))
+    """The rows of docs that stand for their class: the smallest doc_id, one row; columns as given, whatever their names."""
+    node = F.substring(F.unhex(F.sha2(F.coalesce(F.col("text"), F.lit("")), 256)), 1, 16)
+    # The row travels as one column, so that none of its names can meet one of ours.
+    marked = docs.select(F.struct("*").alias("row"), node.alias("node"), F.col("doc_id").cast("long").alias("id"))
     _, _, labels = node_classes(docs)
-    first = marked.groupBy("_node").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"))).alias("first"))
-    labelled = first.join(labels.withColumnRenamed("node", "_node"), "_node", "left").withColumn("label", F.coalesce("label", "_node"))
-    chosen = labelled.groupBy("label").agg(F.min(F.struct("first", "_node")).alias("c")).select(F.col("c._node").alias("_node"), F.col("c.first.id").alias("_id"))
+    first = marked.groupBy("node").agg(F.min(F.struct(F.col("id").isNull().alias("none"), F.col("id"))).alias("first"))
+    labelled = first.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    chosen = labelled.groupBy("label").agg(F.min(F.struct("first", "node")).alias("c")).select(F.col("c.node").alias("node"), F.coalesce(F.col("c.first.id").cast("string"), F.lit("")).alias("k"))
     # Rows that repeat both doc_id and text are one document; one of them stays.
-    marked = marked.withColumn("_k", F.coalesce(F.col("doc_id").cast("string"), F.lit("")))
-    chosen = chosen.select("_node", F.coalesce(F.col("_id").cast("string"), F.lit("")).alias("_k"))
-    return marked.dropDuplicates(["_node", "_k"]).join(chosen, ["_node", "_k"], "left_semi").select(*names)
+    rows = marked.select("row", "node", F.coalesce(F.col("id").cast("string"), F.lit("")).alias("k"))
+    return rows.dropDuplicates(["node", "k"]).join(chosen, ["node", "k"], "left_semi").select("row.*")
