@@ -45,7 +45,11 @@ def with_statistics(docs: DataFrame, text: str = "text") -> DataFrame:
         words = " AND ".join(f"get(_q_words, {x} + {d}) = get(_q_words, {y} + {d})" for d in range(3))
         return f"(coalesce(shiftright(get(_q_keys, {k}), _q_bits) = shiftright(x, _q_bits), false) AND {words})"
 
-    again = keys.withColumn("_q_again", _settled(F.expr(f"transform(filter(_q_keys, (x, k) -> {same('k - 1')} OR {same('k + 1')}), x -> x & (shiftleft(1L, _q_bits) - 1L))")))
+    # Windows of one hash but other words may stand between two equal ones; only then the whole list is looked through.
+    clash = "(coalesce(shiftright(get(_q_keys, {0}), _q_bits) = shiftright(x, _q_bits), false))"
+    other = " AND ".join(f"get(_q_words, {place.format('x')} + {d}) = get(_q_words, {place.format('y')} + {d})" for d in range(3))
+    anywhere = f"(({clash.format('k - 1')} OR {clash.format('k + 1')}) AND exists(_q_keys, y -> y != x AND {other}))"
+    again = keys.withColumn("_q_again", _settled(F.expr(f"transform(filter(_q_keys, (x, k) -> {same('k - 1')} OR {same('k + 1')} OR {anywhere}), x -> x & (shiftleft(1L, _q_bits) - 1L))")))
     stats = {
         "_q_n_words": _settled(F.col("_q_n").cast("long")),
         "_q_word_chars": F.length(F.array_join("_q_words", "")).cast("long"),
@@ -177,6 +181,7 @@ def judge(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """The rows of docs that are kept, columns as given."""
+    """The rows of docs that are kept, columns as given, whatever their names."""
     rules = learn(*labelled_rows(docs, labels))
-    return with_statistics(docs).filter(~base_failed() & verdict(rules)).select(*docs.columns)
+    whole = docs.select(F.struct("*").alias("row"), F.col("text").alias("text"))
+    return with_statistics(whole).filter(~base_failed() & verdict(rules)).select("row.*")
