@@ -3,14 +3,16 @@
 The automaton accepts every run of tokens of the phrases and notices below. A file streams through it once
 and gives matching statistics: the longest run ending at each word that occurs in some template. Phrases are
 read off the automaton (a phrase ends where its state lies on the suffix links of the current one). Long
-matches are chained in order along each notice; a chain that covers enough of the notice gives its label.
+matches are chained in order along each notice, the best chain by dynamic programming; a chain that covers enough of
+the notice gives its label and span.
 
-Null or empty text: no words, counts 0, first_word and last_word null, empty labels, score 0. Rows are
+Null or empty text: no words, counts 0, first_word and last_word null, empty labels and spans, score 0. Rows are
 independent, so ties, repeated rows and an empty table need no rule.
 """
 
 from __future__ import annotations
 
+from bisect import bisect_left
 from collections import defaultdict
 
 import numpy as np
@@ -124,54 +126,83 @@ class LicenceAutomaton:
                     hits.append((j - n + 1, i))
         return hits, matches
 
-    def chains(self, matches: list[tuple[int, int, int]], gap: int) -> dict[int, float]:
-        """The largest share of each notice that one chain of ordered, close matches covers."""
+    def chains(self, matches: list[tuple[int, int, int]], gap: int) -> dict[int, list[tuple[float, int, int]]]:
+        """For each notice its chains as (share of the notice that is covered, first word, word after the last), the best first.
+
+        A chain is a row of matches whose places grow in the text and in the notice, with at most `gap` words between two;
+        the best chain that ends in a match follows the best one of those in reach of its start. Chains of a notice that
+        are listed share no word.
+        """
         by: dict[int, list[tuple[int, int, int]]] = defaultdict(list)
         for start, end, state in matches:
             for t, j in self.ends[state]:
                 if t >= len(self.phrases):
                     by[t].append((start, j - (end - start) + 1, end - start))
-        best = {}
+        out = {}
         for t, found in by.items():
-            n, top, covered, text_end, at = len(self.notices[t - len(self.phrases)][0]), 0, 0, -1, -1
-            for start, place, size in sorted(found):
-                if covered and start <= text_end + gap and place + size > at and start + size > text_end and place >= at - size:
-                    covered += min(size, place + size - at, start + size - text_end)
-                else:
-                    covered = size
-                text_end, at = start + size, place + size
-                top = max(top, covered)
-            best[t - len(self.phrases)] = min(1.0, top / n)
-        return best
+            n = len(self.notices[t - len(self.phrases)][0])
+            found.sort()
+            best: list[tuple[int, int]] = []  # words covered, where the chain begins
+            low = 0
+            for i, (start, place, size) in enumerate(found):
+                while found[low][0] + n + gap < start:  # no match is longer than the notice
+                    low += 1
+                top = (size, start)
+                for j in range(low, i):
+                    s, p, m = found[j]
+                    if p < place and start <= s + m + gap:
+                        more = min(size, place + size - p - m, start + size - s - m)
+                        if more > 0 and best[j][0] + more > top[0]:
+                            top = (best[j][0] + more, best[j][1])
+                best.append(top)
+            listed: list[tuple[float, int, int]] = []
+            taken: list[tuple[int, int]] = []
+            for (covered, begin), (start, _, size) in sorted(zip(best, found), key=lambda x: (-x[0][0], x[0][1], x[1])):
+                at = bisect_left(taken, (begin, 0))
+                before, behind = taken[at - 1][1] if at else -1, taken[at][0] if at < len(taken) else start + size
+                if before <= begin and start + size <= behind:
+                    listed.append((min(1.0, covered / n), begin, start + size))
+                    taken.insert(at, (begin, start + size))
+            out[t - len(self.phrases)] = listed
+        return out
 
 
 AUTOMATON = LicenceAutomaton(PHRASES, NOTICES)
-SCHEMA = "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double"
+SCHEMA = "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, spans string"
+
+
+def scan_words(words: list[bytes], least_match: int = 4, gap: int = 12, cover: float = 0.7, a: LicenceAutomaton = AUTOMATON) -> tuple[list[tuple[int, int]], dict[int, list[tuple[float, int, int]]], list[tuple[int, int, str]]]:
+    """(phrase hits, chains of notices, spans) of lower-cased words; spans are (first word, word after the last, label) of
+    the phrases and of the chains that cover their notice."""
+    shortest = min(len(p) for p, _ in a.phrases)
+    ids = np.fromiter((a.ids.get(w, -1) for w in words), np.int32, len(words))
+    known = np.concatenate(([False], ids >= 0, [False]))
+    edges = np.flatnonzero(known[1:] != known[:-1])
+    hits, matches = [], []
+    for start, end in zip(edges[::2].tolist(), edges[1::2].tolist()):
+        if end - start >= shortest:
+            h, m = a.scan(ids[start:end].tolist(), least_match)
+            hits += [(start + s, i) for s, i in h]
+            matches += [(start + s, start + e, state) for s, e, state in m]
+    chains = a.chains(matches, gap) if matches else {}
+    spans = [(s, s + len(a.phrases[i][0]), a.phrases[i][1]) for s, i in hits]
+    spans += [(begin, end, a.notices[t][1]) for t, listed in chains.items() for share, begin, end in listed if share >= cover]
+    return hits, chains, sorted(spans)
 
 
 def scan(docs: DataFrame, least_match: int = 4, gap: int = 12, cover: float = 0.7) -> DataFrame:
     """One row per document. least_match: tokens of a match that counts towards a chain; gap: words between
     two matches of a chain; cover: share of a notice that gives its label. score: the largest share of any
-    notice that a chain covers, 1 where a phrase stands whole."""
+    notice that a chain covers, 1 where a phrase stands whole. spans: label:first:end in words, end exclusive, of all
+    phrases and covered notices, in order."""
     a = AUTOMATON
-    shortest = min(len(p) for p, _ in a.phrases)
 
     def one(words: list[bytes]) -> tuple:
-        ids = np.fromiter((a.ids.get(w, -1) for w in words), np.int32, len(words))
-        known = np.concatenate(([False], ids >= 0, [False]))
-        edges = np.flatnonzero(known[1:] != known[:-1])
-        hits, matches = [], []
-        for start, end in zip(edges[::2].tolist(), edges[1::2].tolist()):
-            if end - start >= shortest:
-                h, m = a.scan(ids[start:end].tolist(), least_match)
-                hits += [(start + s, i) for s, i in h]
-                matches += [(start + s, start + e, state) for s, e, state in m]
-        best = a.chains(matches, gap) if matches else {}
+        hits, chains, spans = scan_words(words, least_match, gap, cover)
         base = {a.phrases[i][1] for _, i in hits}
-        more = {a.notices[t][1] for t, share in best.items() if share >= cover}
         starts = [s for s, _ in hits]
-        score = 1.0 if hits else max(best.values(), default=0.0)
-        return len(words), len(hits), min(starts, default=None), max(starts, default=None), ",".join(sorted(base)), ",".join(sorted(base | more)), score
+        score = 1.0 if hits else max((x[0][0] for x in chains.values()), default=0.0)
+        return len(words), len(hits), min(starts, default=None), max(starts, default=None), ",".join(sorted(base)), ",".join(sorted({x for _, _, x in spans})), score, ",".join(f"{x}:{s}:{e}" for s, e, x in spans)
 
     def make(part):
         data, offsets = tb.flat_bytes(part)
