@@ -9,6 +9,7 @@ slot by skipping whole shards and a multiple of the stride.
 A record: doc_id (8 bytes, little-endian; the least number for null), number of the record in its document (4), tokens used
 (4), then the ids as 16-bit numbers, padded with PAD. Null or empty text: one record without tokens. Repeated
 rows are separate records. An empty table gives no shards.
+Records are numbered by document, not by place in a file, so every layout of the input gives the same order.
 """
 
 from __future__ import annotations
@@ -17,7 +18,7 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..checkpoints import checkpointed
@@ -30,6 +31,8 @@ PAD = 50256
 HEAD = 16
 STRIDE = HEAD + 2 * TOKENS
 SHARD = 4096
+#: Documents of a cell when records are numbered.
+CELL_ROWS = 65_536
 NO_ID = -(1 << 63)
 
 
@@ -95,36 +98,48 @@ def record(doc_id: int | None, number: int, ids: np.ndarray) -> bytes:
     return (NO_ID if doc_id is None else doc_id).to_bytes(8, "little", signed=True) + number.to_bytes(4, "little") + len(ids).to_bytes(4, "little") + body.tobytes()
 
 
-def shards(docs: DataFrame, key: int = 20240607, path: str | None = None) -> DataFrame:
-    """(shard, records, bytes) in slot order, one row per shard.
+def numbered(docs: DataFrame, path: str | None = None) -> tuple[DataFrame, int]:
+    """(doc_id, records, z, first) with the number of each document's first record, and the number of all records.
 
-    Records are numbered by their place in the checkpointed token table: one count per partition of that table goes
-    to the driver, and each task numbers its own records from there.
+    Documents are ordered by cell, doc_id and content, so numbers do not depend on how the input lies in files. Cells are
+    few enough for one task to add up their counts and to be broadcast: one for CELL_ROWS documents.
     """
     tokens = checkpointed(token_rows(docs, path))
-    counts = dict(tokens.groupBy(F.spark_partition_id().alias("p")).agg(F.sum("records")).collect())
-    total, first = 0, {}
-    for p in sorted(counts):
-        first[p], total = total, total + counts[p]
+    n, total = tokens.agg(F.count(F.lit(1)), F.coalesce(F.sum("records"), F.lit(0))).first()
+    celled = tokens.withColumn("hash", F.xxhash64("z")).withColumn("cell", F.pmod(F.xxhash64("doc_id", "hash"), F.lit(max(16, -(-n // CELL_ROWS)))))
+    along = Window.orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
+    starts = celled.groupBy("cell").agg(F.sum("records").alias("n")).select("cell", F.coalesce(F.sum("n").over(along), F.lit(0)).alias("start"))
+    inside = Window.partitionBy("cell").orderBy("doc_id", "hash", "records").rowsBetween(Window.unboundedPreceding, -1)
+    ahead = celled.withColumn("ahead", F.coalesce(F.sum("records").over(inside), F.lit(0)))
+    return ahead.join(F.broadcast(starts), "cell").select("doc_id", "records", "z", (F.col("start") + F.col("ahead")).alias("first")), int(total)
+
+
+def shards(docs: DataFrame, key: int = 20240607, path: str | None = None) -> DataFrame:
+    """(shard, records, bytes) in slot order, one row per shard."""
+    tokens, total = numbered(docs, path)
+    return shards_of(tokens, total, key)
+
+
+def shards_of(tokens: DataFrame, total: int, key: int, begin: int = 0, end: int | None = None) -> DataFrame:
+    """The shards begin..end of numbered documents: records of other shards leave before the exchange."""
     order = Feistel(max(total, 1), key)
-    n_shards = max(1, -(-total // SHARD))
-    parts = min(n_shards, max(1, tokens.rdd.getNumPartitions()))
+    n_shards = -(-total // SHARD)
+    end = n_shards if end is None else min(end, n_shards)
+    parts = max(1, min(end - begin, tokens.rdd.getNumPartitions()))
 
     def number(batches):
-        at = None
         for b in batches:
-            if at is None and b.num_rows:
-                at = first[tb.column(b, "p")[0].as_py()]
             for start in range(0, b.num_rows, 500):
                 part = b.slice(start, 500)
-                rows = []
-                for doc, n, z in zip(*(tb.column(part, c).to_pylist() for c in ("doc_id", "records", "z"))):
+                rows, numbers = [], []
+                for doc, n, z, first in zip(*(tb.column(part, c).to_pylist() for c in ("doc_id", "records", "z", "first"))):
                     ids = np.frombuffer(unsqueeze(z), np.uint16)
                     rows += [record(doc, k, ids[k * TOKENS : (k + 1) * TOKENS]) for k in range(n)]
-                slot = order.forward(np.arange(at, at + len(rows)))
-                at += len(rows)
+                    numbers.append(np.arange(first, first + n))
+                slot = order.forward(np.concatenate([*numbers, np.zeros(0, np.int64)]))
                 shard = slot // SHARD
-                yield pa.RecordBatch.from_arrays([pa.array((shard * parts // n_shards).astype(np.int32)), pa.array(slot), pa.array(rows, pa.binary())], names=["part", "slot", "record"])
+                here = np.flatnonzero((shard >= begin) & (shard < end))
+                yield pa.RecordBatch.from_arrays([pa.array(((shard[here] - begin) * parts // max(1, end - begin)).astype(np.int32)), pa.array(slot[here]), pa.array([rows[i] for i in here], pa.binary())], names=["part", "slot", "record"])
 
     def gather(batches):
         held, shard = [], None
@@ -138,7 +153,7 @@ def shards(docs: DataFrame, key: int = 20240607, path: str | None = None) -> Dat
         if held:
             yield _shard_row(shard, held)
 
-    records = tokens.select(F.spark_partition_id().alias("p"), "doc_id", "records", "z").mapInArrow(number, "part int, slot long, record binary")
+    records = tokens.mapInArrow(number, "part int, slot long, record binary")
     ranged = records.repartitionById(parts, F.col("part")).sortWithinPartitions("slot")
     return ranged.select("slot", "record").mapInArrow(gather, "shard long, records long, bytes binary")
 
@@ -169,6 +184,25 @@ def read_records(made: DataFrame, start: int = 0) -> DataFrame:
     return made.filter(F.col("shard") >= start // SHARD).mapInArrow(run, schema)
 
 
-def write_shards(made: DataFrame, path: str) -> None:
-    """One row per shard, files in shard order; a finished path is read again without recomputing."""
-    made.write.mode("overwrite").parquet(path)
+def _finished(spark: SparkSession, path: str) -> bool:
+    """Whether a job has written this folder to its end."""
+    done = spark._jvm.org.apache.hadoop.fs.Path(f"{path}/_SUCCESS")
+    return done.getFileSystem(spark._jsc.hadoopConfiguration()).exists(done)
+
+
+def write_shards(docs: DataFrame, path: str, key: int = 20240607, rounds: int = 1, ranks: str | None = None) -> DataFrame:
+    """The shards as written below path, in `rounds` folders of consecutive shards, files in shard order.
+
+    A folder that is finished is read and not made again, so a run that was stopped goes on with the next one.
+    Documents and key have to be the same; the numbers of records do not depend on the files of the input.
+    """
+    spark = docs.sparkSession
+    folders = [f"{path}/round={r}" for r in range(rounds)]
+    todo = [r for r in range(rounds) if not _finished(spark, folders[r])]
+    if todo:
+        tokens, total = numbered(docs, ranks)
+        n_shards = -(-total // SHARD)
+        for r in todo:
+            made = shards_of(tokens, total, key, r * n_shards // rounds, (r + 1) * n_shards // rounds)
+            made.write.mode("overwrite").option("compression", "zstd").parquet(folders[r])
+    return spark.read.schema("shard long, records long, bytes binary").parquet(*folders)
