@@ -6,7 +6,8 @@ smaller id. Three steps keep this within memory and disk.
 1. Each window of DEPTH words has an anchor, the run of ANCHOR words in it with the smallest hash. Equal
    windows have equal anchors, so only windows whose anchor occurs in two texts can repeat; the rest are
    dropped. Each group of texts sends its distinct anchor hashes once.
-2. The surviving windows are sent, as word segments around their anchors, to the group of their anchor. There
+2. The surviving windows are sent, as word segments around their anchors, to the group of their anchor; of an anchor that
+   very many texts share, window by window to the groups of their whole words, so that no prefix fills a task. There
    prefixes of as many words as needed split the suffixes into parts of bounded size; each part is sorted
    with its common prefix lengths, which is its suffix tree, and the nodes of depth DEPTH are the repeats, each
    with its smallest document. Words are compared as such there, hashes only chose the candidates.
@@ -35,6 +36,8 @@ DEPTH = 13
 ANCHOR = 5
 #: Suffixes that are sorted together.
 PART = 250_000
+#: Texts, as far as groups tell, beyond which windows are dealt by all their words and not by their anchor.
+HEAVY = 2_000
 
 
 class Windows:
@@ -49,6 +52,7 @@ class Windows:
         self.text = np.zeros(0, np.int64)
         self.place = np.zeros(0, np.int64)
         self.hash = np.zeros(0, np.uint64)
+        self.whole = np.zeros(0, np.uint64)
         if len(words) >= depth:
             runs = tb.shingle_hashes(words, anchor)
             span = depth - anchor + 1
@@ -58,14 +62,16 @@ class Windows:
             self.at, least = at[whole], least[whole]
             self.text, self.place = text[self.at], self.at + least
             self.hash = runs[self.place]
+            self.whole = tb.shingle_hashes(words, depth)[self.at]
 
-    def segments(self, use: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """First window (an index into at) and number of windows of the runs of `use` around one anchor."""
+    def segments(self, use: np.ndarray, alone: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """First window (an index into at) and number of windows of the runs of `use` around one anchor; windows `alone`
+        are one each."""
         index = np.flatnonzero(use)
         if not len(index):
             return index, index
         new = np.ones(len(index), bool)
-        new[1:] = (np.diff(index) != 1) | (np.diff(self.place[index]) != 0) | (np.diff(self.text[index]) != 0)
+        new[1:] = (np.diff(index) != 1) | (np.diff(self.place[index]) != 0) | (np.diff(self.text[index]) != 0) | alone[index[1:]]
         first = np.flatnonzero(new)
         return index[first], np.diff(np.append(first, len(index)))
 
@@ -93,44 +99,57 @@ def _anchors(buckets: int):
         order = np.lexsort((t, h))
         h, t = h[order], t[order]
         begin = np.flatnonzero(np.concatenate(([True], h[1:] != h[:-1]))) if len(h) else np.zeros(0, np.int64)
-        several = t[np.append(begin[1:], len(h)) - 1] != t[begin] if len(h) else np.zeros(0, bool)
+        # Texts of the group that hold the anchor, up to what a byte tells.
+        other = np.concatenate(([True], (h[1:] != h[:-1]) | (t[1:] != t[:-1]))) if len(h) else np.zeros(0, bool)
+        held = np.minimum(np.add.reduceat(other, begin), 255).astype(np.uint8) if len(h) else np.zeros(0, np.uint8)
         distinct = h[begin]
         cuts = np.searchsorted(bucket_of(distinct, buckets), np.arange(buckets + 1)) if len(distinct) else np.zeros(buckets + 1, np.int64)
         full = [b for b in range(buckets) if cuts[b] < cuts[b + 1]]
-        return pa.table({"b": pa.array(full, pa.int32()), "p": pa.array([p] * len(full), pa.int32()), "hashes": pa.array([distinct[cuts[b] : cuts[b + 1]].tobytes() for b in full], pa.binary()), "several": pa.array([several[cuts[b] : cuts[b + 1]].tobytes() for b in full], pa.binary())})
+        return pa.table({"b": pa.array(full, pa.int32()), "p": pa.array([p] * len(full), pa.int32()), "hashes": pa.array([distinct[cuts[b] : cuts[b + 1]].tobytes() for b in full], pa.binary()), "held": pa.array([held[cuts[b] : cuts[b + 1]].tobytes() for b in full], pa.binary())})
 
     return run
 
 
-def _repeated(table: pa.Table) -> pa.Table:
-    hashes = [np.frombuffer(x, np.uint64) for x in table.column("hashes").to_pylist()]
-    several = [np.frombuffer(x, bool) for x in table.column("several").to_pylist()]
-    everything = np.concatenate(hashes)
-    values, inverse, counts = np.unique(everything, return_inverse=True, return_counts=True)
-    again = counts > 1
-    again[inverse[np.concatenate(several)]] = True
-    again = again[inverse]
-    out, at = [], 0
-    for h in hashes:
-        out.append(h[again[at : at + len(h)]].tobytes())
-        at += len(h)
-    n = table.num_rows
-    return pa.table({"p": table.column("p"), "kind": pa.array([0] * n, pa.int32()), "b": table.column("b"), "payload": pa.array(out, pa.binary())})
-
-
-def _kept_windows(raw: list[bytes], repeated: np.ndarray, buckets: int):
-    """(windows, segments as (bucket, words, first window, windows)) of the texts that may repeat."""
+def _repeated(heavy: int):
+    def run(table: pa.Table) -> pa.Table:
+        """For each group its anchors that occur in two texts (kind 0), and those of them that occur in more than `heavy` (kind 2)."""
+        hashes = [np.frombuffer(x, np.uint64) for x in table.column("hashes").to_pylist()]
+        held = np.concatenate([np.frombuffer(x, np.uint8) for x in table.column("held").to_pylist()])
+        _, inverse = np.unique(np.concatenate(hashes), return_inverse=True)
+        texts = np.bincount(inverse, held)[inverse]
+        out, at = [], 0
+        for h, p, b in zip(hashes, table.column("p").to_pylist(), table.column("b").to_pylist()):
+            n = texts[at : at + len(h)]
+            at += len(h)
+            out += [(p, 0, b, h[n > 1].tobytes()), (p, 2, b, h[n > heavy].tobytes())]
+        cols = list(zip(*(r for r in out if r[3]))) or [()] * 4
+        return pa.table([pa.array(c, t) for c, t in zip(cols, (pa.int32(), pa.int32(), pa.int32(), pa.binary()))], names=["p", "kind", "b", "payload"])
+
+    return run
+
+
+def _among(values: np.ndarray, known: np.ndarray) -> np.ndarray:
+    """Which values are among the sorted known ones."""
+    if not len(known):
+        return np.zeros(len(values), bool)
+    return known[np.minimum(np.searchsorted(known, values), len(known) - 1)] == values
+
+
+def _kept_windows(raw: list[bytes], repeated: np.ndarray, heavy: np.ndarray, buckets: int):
+    """(windows, segments as (bucket, words, first window, windows)) of the texts that may repeat.
+
+    The prefix that deals them is the anchor, or for a heavy anchor, whose windows would not fit a task, all words of the window.
+    """
     w = Windows(raw)
-    use = np.zeros(len(w.hash), bool)
-    if len(repeated):
-        use = repeated[np.minimum(np.searchsorted(repeated, w.hash), len(repeated) - 1)] == w.hash
-    first, count = w.segments(use)
-    where = bucket_of(w.hash[first], buckets).astype(np.int64).tolist() if len(first) else []
+    use, alone = _among(w.hash, repeated), _among(w.hash, heavy)
+    first, count = w.segments(use, alone)
+    prefix = np.where(alone[first], w.whole[first], w.hash[first])
+    where = bucket_of(prefix, buckets).astype(np.int64).tolist() if len(first) else []
     return w, [(b, w.words_of(f, c), f, c) for b, f, c in zip(where, first.tolist(), count.tolist())]
 
 
-def _repeated_hashes(table: pa.Table) -> np.ndarray:
-    found = [np.frombuffer(x, np.uint64) for k, x in zip(table.column("kind").to_pylist(), table.column("payload").to_pylist()) if k == 0]
+def _told_hashes(table: pa.Table, kind: int) -> np.ndarray:
+    found = [np.frombuffer(x, np.uint64) for k, x in zip(table.column("kind").to_pylist(), table.column("payload").to_pylist()) if k == kind]
     return np.sort(np.concatenate([*found, np.zeros(0, np.uint64)]))
 
 
@@ -138,11 +157,11 @@ def _segments(buckets: int):
     def run(texts: pa.Table, told: pa.Table) -> pa.Table:
         out: dict[int, dict[tuple[bytes, int], int]] = {}
         if texts.num_rows:
-            p, repeated = texts.column("p")[0].as_py(), _repeated_hashes(told)
+            p, repeated, heavy = texts.column("p")[0].as_py(), _told_hashes(told, 0), _told_hashes(told, 2)
             _, ids, z = ut.read_group(texts)
             z, ids = [x for x, d in zip(z, ids) if d is not None], [d for d in ids if d is not None]
             for start, raw in ut.group_slices(z):
-                w, found = _kept_windows(raw, repeated, buckets)
+                w, found = _kept_windows(raw, repeated, heavy, buckets)
                 for b, words, first, count in found:
                     doc, own = ids[start + w.text[first]], out.setdefault(b, {})
                     own[words, count] = min(doc, own.get((words, count), doc))
@@ -222,18 +241,18 @@ def _subtrees(table: pa.Table) -> pa.Table:
     return pa.table({"p": table.column("p"), "kind": pa.array([1] * len(out), pa.int32()), "b": table.column("b"), "payload": pa.array(out, pa.binary())})
 
 
-def _removal(buckets: int):
+def _removal(buckets: int, with_text: bool):
     def run(texts: pa.Table, told: pa.Table) -> pa.Table:
         rows = []
         if texts.num_rows:
-            repeated = _repeated_hashes(told)
+            repeated, heavy = _told_hashes(told, 0), _told_hashes(told, 2)
             minima = {b: np.frombuffer(x, np.int64) for k, b, x in zip(told.column("kind").to_pylist(), told.column("b").to_pylist(), told.column("payload").to_pylist()) if k == 1}
             keys, ids, z = ut.read_group(texts)
             sources = [i for i, d in enumerate(ids) if d is not None]
             marks: dict[int, list[tuple[int, int, bytes, int]]] = {}
             segments: dict[int, set[tuple[bytes, int]]] = {}
             for start, raw in ut.group_slices([z[i] for i in sources]):
-                w, found = _kept_windows(raw, repeated, buckets)
+                w, found = _kept_windows(raw, repeated, heavy, buckets)
                 for b, words, first, count in found:
                     t = int(w.text[first])
                     segments.setdefault(b, set()).add((words, count))
@@ -255,10 +274,13 @@ def _removal(buckets: int):
                 gone = np.cumsum(gone[:-1]) > 0
                 kept = b" ".join([x for x, g in zip(words, gone.tolist()) if not g])
                 whole = b" ".join(words)
-                rows.append((key, doc, len(words), int(gone.sum()), hashlib.sha256(kept).hexdigest(), hashlib.sha256(whole).hexdigest()))
+                if with_text:
+                    rows.append((key, doc, len(words), int(gone.sum()), kept.decode(), whole.decode()))
+                else:
+                    rows.append((key, doc, len(words), int(gone.sum()), hashlib.sha256(kept).hexdigest(), hashlib.sha256(whole).hexdigest()))
         cols = list(zip(*rows)) or [()] * 6
         kinds = (pa.binary(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string())
-        return pa.table([pa.array(c, k) for c, k in zip(cols, kinds)], names=["tkey", "first_doc", "n_words", "n_removed", "kept_sha256", "whole_sha256"])
+        return pa.table([pa.array(c, k) for c, k in zip(cols, kinds)], names=["tkey", "first_doc", "n_words", "n_removed", "kept", "whole"])
 
     return run
 
@@ -268,29 +290,39 @@ def unspaced(text: bytes) -> list[bytes]:
     return text.split()
 
 
-def remove_repeats(docs: DataFrame) -> DataFrame:
-    """doc_id, n_words, n_removed and kept_sha256, one row per document."""
+def _results(docs: DataFrame, with_text: bool, heavy: int) -> DataFrame:
+    """doc_id, n_words, n_removed and kept: the words that stay, or their digest."""
     keyed = ut.keyed(docs)
     groups = ut.group_count(docs)
     texts = ut.unique_texts(keyed, groups)
-    anchors = texts.groupBy("p").applyInArrow(_anchors(groups), "b int, p int, hashes binary, several binary")
+    anchors = texts.groupBy("p").applyInArrow(_anchors(groups), "b int, p int, hashes binary, held binary")
     told = "p int, kind int, b int, payload binary"
-    repeated = anchors.groupBy("b").applyInArrow(_repeated, told)
+    repeated = anchors.groupBy("b").applyInArrow(_repeated(heavy), told)
     segments = texts.groupBy("p").cogroup(repeated.groupBy("p")).applyInArrow(_segments(groups), "b int, p int, docs binary, counts binary, words binary")
     minima = segments.groupBy("b").applyInArrow(_subtrees, told)
-    results = texts.groupBy("p").cogroup(repeated.union(minima).groupBy("p")).applyInArrow(_removal(groups), "tkey binary, first_doc long, n_words long, n_removed long, kept_sha256 string, whole_sha256 string")
+    results = texts.groupBy("p").cogroup(repeated.union(minima).groupBy("p")).applyInArrow(_removal(groups, with_text), "tkey binary, first_doc long, n_words long, n_removed long, kept string, whole string")
     r = results.withColumnRenamed("tkey", "_key")
     joined = keyed.select("doc_id", "tkey").join(r, F.col("tkey") == F.col("_key"))
     copy = (F.col("doc_id") != F.col("first_doc")) & (F.col("n_words") >= DEPTH)
-    nothing = hashlib.sha256(b"").hexdigest()
+    nothing = "" if with_text else hashlib.sha256(b"").hexdigest()
     return joined.select(
         "doc_id",
         "n_words",
         F.when(F.col("doc_id").isNull(), F.lit(0)).when(copy, F.col("n_words")).otherwise(F.col("n_removed")).cast("long").alias("n_removed"),
-        F.when(F.col("doc_id").isNull(), F.col("whole_sha256")).when(copy, F.lit(nothing)).otherwise(F.col("kept_sha256")).alias("kept_sha256"),
+        F.when(F.col("doc_id").isNull(), F.col("whole")).when(copy, F.lit(nothing)).otherwise(F.col("kept")).alias("kept"),
     )
 
 
+def remove_repeats(docs: DataFrame, heavy: int = HEAVY) -> DataFrame:
+    """doc_id, n_words, n_removed and kept_sha256, one row per document."""
+    return _results(docs, False, heavy).withColumnRenamed("kept", "kept_sha256")
+
+
+def deduplicated(docs: DataFrame, heavy: int = HEAVY) -> DataFrame:
+    """doc_id, n_words, n_removed and text, the words that stay joined by one space, one row per document."""
+    return _results(docs, True, heavy).withColumnRenamed("kept", "text")
+
+
 def sql(documents: str = "documents") -> str:
     """The same in SQL, over a table of documents."""
     return rf"""
