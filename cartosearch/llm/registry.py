@@ -22,7 +22,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_secret_scan": lambda s, d: secret_scan.scan(documents(s, d)),
         "op2_license_scan": lambda s, d: license_scan.scan(documents(s, d)),
         "op3_substring_dedup": lambda s, d: substring_dedup.remove_repeats(documents(s, d)),
-        "op4_url_filter": lambda s, d: url_filter.match(url_filter.captures(table(s, d, "pages")), url_filter.entries(s)),
+        "op4_url_filter": lambda s, d: url_filter.match(url_filter.captures(table(s, d, "pages")), url_filter.entries(s).unionByName(url_filter.listed_hosts(table(s, d, "pages")))),
         "op5_training_order": lambda s, d: training_order.read_records(training_order.shards(documents(s, d))),
         "op6_near_dedup": lambda s, d: near_dedup.near_duplicates(documents(s, d)),
         "op7_bpe_replay": lambda s, d: bpe_replay.digests(documents(s, d)),
