@@ -57,7 +57,7 @@ def rows(request):
 def docs(spark, rows):
     """Extra columns carry names that the operators use inside."""
     df = spark.createDataFrame(rows, "doc_id long, text string, source string")
-    return df.selectExpr("*", "'en' AS lang", "length(text) AS n_chars", "1 AS size", "2 AS p", "'k' AS tkey", "3 AS _n", "4 AS node", "5 AS kept", "6 AS _k", "7 AS copies").repartition(3)
+    return df.selectExpr("*", "'en' AS lang", "length(text) AS n_chars", "1 AS size", "2 AS p", "'k' AS tkey", "3 AS _n", "4 AS node", "5 AS kept", "6 AS _k", "7 AS copies", "'n' AS _node", "9 AS _size", "array('q') AS _q_words", "10 AS alike", "11 AS `row`", "12 AS nth", "13 AS label").repartition(3)
 
 
 def multiset(frame, *columns):
@@ -102,6 +102,40 @@ def test_structural_confirmation():
     assert masked == "a [jwt] b [assign] c"
 
 
+def test_keys_in_many_forms(spark):
+    """Each form of each key is found at its place, and the spans column holds base and confirmed findings in order."""
+    rng = random.Random(7)
+    number = lambda n: _tlv(2, b"\x01" + rng.randbytes(n))
+    field = lambda b: len(b).to_bytes(4, "big") + b
+    rsa = _tlv(0x30, _tlv(2, b"\0") + b"".join(number(70 + i) for i in range(8)))
+    keys = [
+        rsa,
+        _tlv(0x30, _tlv(2, b"\0") + b"".join(number(40 + i) for i in range(5))),
+        _tlv(0x30, _tlv(2, b"\1") + _tlv(4, rng.randbytes(32))),
+        _tlv(0x30, _tlv(0x30, _tlv(6, bytes.fromhex("2a864886f70d01050d")) + _tlv(0x30, b"")) + _tlv(4, rng.randbytes(48))),
+        _tlv(0x30, _tlv(2, b"\0") + _tlv(0x30, _tlv(6, bytes.fromhex("2a864886f70d010101")) + _tlv(5, b"")) + _tlv(4, rsa)),
+        b"openssh-key-v1\0" + field(b"none") + field(b"none") + field(b"") + (1).to_bytes(4, "big") + field(b"p" * 51) + field(b"q" * 137),
+    ]
+    for key in keys:
+        whole = base64.b64encode(key).decode()
+        lines = "\n".join(whole[i : i + 64] for i in range(0, len(whole), 64))
+        mixed = "".join(c.upper() if i % 3 else c for i, c in enumerate(key.hex()))
+        for before, form, kind in (("x ", whole, "key"), ("path/", whole, "key"), ("x\n", lines, "key"), ('{"k":"', lines.replace("\n", "\\n"), "key"), ("f", key.hex(), "hexkey"), ("", mixed, "hexkey")):
+            assert (len(before), len(before) + len(form), kind) in secret_scan.confirmed_spans(f"{before}{form} y"), (form, kind)
+        assert not secret_scan.confirmed_spans(base64.b64encode(key[:-1]).decode() + " " + key[:-1].hex())
+    digest = _tlv(0x30, _tlv(0x30, _tlv(6, bytes.fromhex("2b0e03021a")) + _tlv(5, b"")) + _tlv(4, rng.randbytes(20)))
+    assert not secret_scan.confirmed_spans(base64.b64encode(digest).decode())
+    part = lambda x: base64.urlsafe_b64encode(x.encode()).decode().rstrip("=")
+    for header in ('{"alg":"HS256"}', '{ "alg":"HS256"}', '{\n "alg": "RS256"}'):
+        token = f"{part(header)}.{part('{}')}.{part('signature')}"
+        for before in ("", "newsletter-ewx_", "some-longish-name-here."):
+            assert secret_scan.confirmed_spans(before + token) == [(len(before), len(before) + len(token), "jwt")]
+    text = f"password=hunter22 {keys[2].hex()} é {base64.b64encode(keys[2]).decode()}"
+    row = secret_scan.scan(spark.createDataFrame([(1, text)], "doc_id long, text string")).first()
+    n, m = len(keys[2].hex()), len(base64.b64encode(keys[2]))
+    assert row["spans"] == f"assign:0:17,hex:18:{18 + n},hexkey:18:{18 + n},key:{21 + n}:{21 + n + m}" and row["n_confirmed"] == 2
+
+
 def test_license_scan(docs, rows):
     phrases = {k: v for k, v in license_scan.PHRASES.items()}
 
@@ -135,7 +169,60 @@ def test_licence_automaton_matching_statistics():
     text = license_scan.NOTICES["mit-notice"].split()
     gap = text[:20] + ["qqq"] + text[20:40] + ["zzz"] + text[40:]
     _, matches = a.scan([a.ids.get(w.encode(), -1) for w in gap], 4)
-    assert a.chains(matches, 12)[[label for _, label in a.notices].index("mit-notice")] > 0.95
+    mit = [label for _, label in a.notices].index("mit-notice")
+    assert a.chains(matches, 12)[mit][0][0] > 0.95
+    # A stray run of the same notice in between takes nothing away.
+    stray = text[:20] + text[40:45] + text[20:]
+    _, matches = a.scan([a.ids[w.encode()] if isinstance(w, str) else a.ids[w] for w in stray], 4)
+    assert a.chains(matches, 12)[mit][0][0] >= 0.95
+
+
+def test_licence_chains_against_all_chains():
+    """The best chain of a notice against every row of matches that is allowed."""
+    a, rng = license_scan.AUTOMATON, random.Random(12)
+
+    def brute(found, gap):
+        best = 0
+
+        def go(i, covered):
+            nonlocal best
+            best = max(best, covered)
+            s, p, m = found[i]
+            for j in range(i + 1, len(found)):
+                t, q, n = found[j]
+                more = min(n, q + n - p - m, t + n - s - m)
+                if q > p and t <= s + m + gap and more > 0:
+                    go(j, covered + more)
+
+        for i, x in enumerate(found):
+            go(i, x[2])
+        return best
+
+    for _ in range(60):
+        t = rng.randrange(len(a.notices))
+        w, text = a.notices[t][0], []
+        for _ in range(rng.randrange(1, 6)):
+            i = rng.randrange(len(w))
+            text += [a.ids[x] for x in w[i : i + rng.randrange(4, 15)]] + [-1] * rng.randrange(0, 9)
+        _, matches = a.scan(text, 4)
+        own = sorted((s, j - (e - s) + 1, e - s) for s, e, state in matches for k, j in a.ends[state] if k == t + len(a.phrases))
+        if own and len(own) <= 14:
+            assert a.chains(matches, 6)[t][0][0] == min(1.0, brute(own, 6) / len(w))
+
+
+def test_licence_labels_and_spans_of_made_files(spark):
+    mit, isc = license_scan.NOTICES["mit-notice"], license_scan.NOTICES["isc-notice"]
+    half = " ".join(mit.split()[: len(mit.split()) // 2])
+    made = [(1, f"Copyright X. {mit.upper()}. End {isc}, and again: {mit}"), (2, f"so {half} no more"), (3, "Released under the MIT License."), (4, "permission is nothing")]
+    df = spark.createDataFrame(made, "doc_id long, text string")
+    got = {r["doc_id"]: r for r in license_scan.scan(df).collect()}
+    n, k = len(mit.split()), len(isc.split())
+    first, second = 2, 2 + n + 1 + k + 2
+    assert got[1]["labels"] == "isc-notice,mit-notice" and got[1]["score"] == 1.0
+    assert got[1]["spans"] == f"mit-notice:{first}:{first + n},isc-notice:{first + n + 1}:{first + n + 1 + k},mit-notice:{second}:{second + n}"
+    assert got[2]["labels"] == "" and 0.4 < got[2]["score"] < 0.6
+    assert got[3]["labels"] == "mit,mit-line" and got[3]["spans"] == "mit-line:0:5,mit:3:5"
+    assert (got[4]["labels"], got[4]["spans"], got[4]["score"]) == ("", "", 0.0)
 
 
 def test_substring_dedup(docs, rows):
@@ -154,6 +241,33 @@ def test_substring_dedup(docs, rows):
     assert multiset(substring_dedup.remove_repeats(docs), "doc_id", "n_words", "n_removed", "kept_sha256") == expected
 
 
+def test_substring_dedup_of_a_hot_anchor(spark, monkeypatch):
+    """One run of five words in every text, other words around it, and few windows that do repeat."""
+    rng = random.Random(8)
+    made = []
+    for i in range(400):
+        w = [f"w{rng.randrange(10**6)}" for _ in range(40)]
+        w[20:25] = "once upon a time there".split()
+        made.append((i, " ".join(w), "s"))
+    made += [(1000 + i, "x y " + made[7 * i][1], "s") for i in range(20)]
+    df = spark.createDataFrame(made, "doc_id long, text string, source string")
+    monkeypatch.setattr(substring_dedup.ut, "group_count", lambda docs: 16)
+    plain = multiset(substring_dedup.remove_repeats(df), "doc_id", "n_removed", "kept_sha256")
+    assert multiset(substring_dedup.remove_repeats(df, heavy=5), "doc_id", "n_removed", "kept_sha256") == plain
+    assert {d: n for (d, n, _) in plain if n} == {1000 + i: 40 for i in range(20)}
+    assert {r["doc_id"]: r["text"] for r in substring_dedup.deduplicated(df).collect()}[1003] == "x y"
+    # Windows of the heavy anchor are spread over the buckets.
+    raw = [t.encode() for _, t, _ in made[:400]]
+    w = substring_dedup.Windows(raw)
+    anchors, n = np.unique(w.hash, return_counts=True)
+    hot = anchors[n == n.max()]
+    _, found = substring_dedup._kept_windows(raw, hot, hot, 16)
+    sizes = Counter(b for b, *_ in found)
+    assert len(found) == n.max() and max(sizes.values()) < 3 * len(found) / 16
+    _, found = substring_dedup._kept_windows(raw, hot, hot[:0], 16)
+    assert len({b for b, *_ in found}) == 1
+
+
 def test_prefix_parts_and_nodes():
     rng = np.random.default_rng(5)
     seq = rng.integers(0, 3, 500)
@@ -321,6 +435,16 @@ def test_bpe_random_strings():
         assert replay.encode(t) == library.encode_ordinary(t), repr(t)
 
 
+def test_bpe_index_is_only_touched_at_merges():
+    import public_tokenizers
+
+    replay, rng = bpe_replay.MergeReplay(bpe_replay.read_ranks(bpe_replay.rank_file()), public_tokenizers.PATTERN), random.Random(6)
+    pieces = ["".join(rng.choice("etaoinshrdlu") for _ in range(n)).encode() for n in (3, 9, 40, 500, 30_000) for _ in range(5)] + [b"a" * 5_000, b"ab" * 3_000]
+    ids = replay.encode_pieces(pieces)
+    merges = sum(map(len, pieces)) - sum(map(len, ids))
+    assert [replay.decode(x) for x in ids] == pieces and 0 < replay.updates <= 2 * merges
+
+
 def test_quality_statistics(docs, rows, spark):
     def brute(t):
         t, w = text_of(t), words(t)
@@ -339,6 +463,15 @@ def test_quality_statistics(docs, rows, spark):
     assert not none.filter("kept = base_failed").count()
 
 
+def test_quality_verdict_is_the_list_read_in_order(spark):
+    larger = "/root/testdata/sf0.01"
+    docs, labels = spark.read.parquet(f"{larger}/documents.parquet"), spark.read.parquet(f"{larger}/labels.parquet")
+    rules = quality_rules.learn(*quality_rules.labelled_rows(docs, labels))
+    numbers = quality_rules.with_statistics(docs.select("doc_id", "text")).select("doc_id", quality_rules.base_failed().alias("failed"), *(c.alias(k) for k, c in quality_rules.measures().items()))
+    expected = {r["doc_id"]: not r["failed"] and not any(all(c.holds(r) for c in rule) for rule in rules) for r in numbers.collect()}
+    assert rules and {r["doc_id"]: r["kept"] for r in quality_rules.judge(docs, labels).collect()} == expected
+
+
 def test_quality_list_on_held_out_labels(spark):
     big = "/root/testdata/sf0.1"
     docs, labels = spark.read.parquet(f"{big}/documents.parquet"), spark.read.parquet(f"{big}/labels.parquet")
@@ -387,6 +520,24 @@ def test_mixing(docs, rows, spark):
     assert out == +taken
 
 
+def test_mixing_of_a_hot_key(spark):
+    """A third of the rows without doc_id and of one size, ids in steps of 64."""
+    made = [(None, "w w w", "a", i) for i in range(300)] + [(64 * i, "w " * (1 + i % 7), "ab"[i % 2], i) for i in range(600)]
+    df = spark.createDataFrame(made, "doc_id long, text string, source string, tag long")
+    got = mixing.mix(df).collect()
+    by_source = defaultdict(int)
+    for r in got:
+        by_source[r["target"]] += r["taken"]
+    assert len(got) == 900 and all(abs(v - t) <= 14 for t, v in by_source.items())
+    out = mixing.repeated(df).collect()
+    assert sum(len(words(r["text"])) for r in out) == sum(r["taken"] for r in got)
+    assert max(Counter(r["tag"] for r in out if r["doc_id"] is None).values()) <= 2
+
+
+def test_mixing_cells_grow_with_the_table():
+    assert [mixing.cell_count(n) for n in (0, 10**6, 64 * 65_536, 64 * 65_536 + 1, 10**10)] == [64, 64, 64, 128, 262_144]
+
+
 def test_media(docs, rows):
     def brute(t):
         b = text_of(t).encode()
@@ -403,10 +554,22 @@ def test_media_store_round_trip(spark):
     parts = [" ".join(f"{rng.randrange(10**6)}" for _ in range(900)) for _ in range(4)]
     made = [(i, f"{i} " + " ".join(rng.sample(parts, 3)), "s") for i in range(40)]
     df = spark.createDataFrame(made, "doc_id long, text string, source string")
-    chunks, manifests = media_chunks.store(df)
-    back = {r["doc_id"]: bytes(r["media"]) for r in media_chunks.reconstruct(manifests, chunks).collect()}
-    assert {d: media_chunks.samples(m).rstrip(b"\0").decode() for d, m in back.items()} == {d: t for d, t, _ in made}
-    assert sum(len(r["chunk"]) for r in chunks.collect()) < sum(map(len, back.values())) / 2
+    media_chunks.ut.group_count, whole = lambda docs: 5, media_chunks.ut.group_count
+    try:
+        store = media_chunks.write_store(df)
+    finally:
+        media_chunks.ut.group_count = whole
+    chunks = store.chunks.collect()
+    assert len({bytes(r["digest"]) for r in chunks}) == len(chunks) and store.wanted.count()
+    assert len({r["p"] for r in store.manifests.collect()}) == 5
+    back = {bytes(r["tkey"]): bytes(r["media"]) for r in media_chunks.reconstruct(store).collect()}
+    assert {k: media_chunks.samples(m).rstrip(b"\0").decode() for k, m in back.items()} == {hashlib.sha256(t.encode()).digest(): t for _, t, _ in made}
+    assert sum(len(r["chunk"]) for r in chunks) < sum(map(len, back.values())) / 2
+    # What is read back comes from the store: without one of its chunks nothing is.
+    for gone in (chunks[0], next(r for r in chunks if store.wanted.filter(media_chunks.F.col("digest") == bytes(r["digest"])).count())):
+        holed = media_chunks.Store(store.rows.filter(media_chunks.F.col("digest").isNull() | (media_chunks.F.col("digest") != bytes(gone["digest"]))), store.wanted)
+        with pytest.raises(Exception, match="no chunk"):
+            media_chunks.reconstruct(holed).collect()
     ends = lambda x: {x[: e][-64:] for e in media_chunks.cut([x])[0][:-1]}
     noise = rng.randbytes(20_000)
     assert len(ends(noise) & ends(b"shifted" + noise)) > 0.8 * len(ends(noise))
@@ -430,6 +593,27 @@ def test_training_order(docs, rows):
     assert {r["slot"] for r in training_order.read_records(made, half).collect()} == set(range(half, len(got)))
 
 
+def test_shards_are_written_once_and_read_back(spark, tmp_path, monkeypatch):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").limit(60)
+    monkeypatch.setattr(training_order, "SHARD", 16)
+    expected = Counter(tuple(r) for r in training_order.read_records(training_order.shards(docs.repartition(7))).collect())
+    path = str(tmp_path / "shards")
+    made = training_order.write_shards(docs.repartition(2), path, rounds=3)
+    # The order does not depend on the layout, and a reader may start anywhere.
+    assert Counter(tuple(r) for r in training_order.read_records(made).collect()) == expected
+    assert {r["slot"] for r in training_order.read_records(made, 37).collect()} == set(range(37, len(expected)))
+    assert all(len(r["bytes"]) == r["records"] * training_order.STRIDE for r in made.collect())
+    # A run that was stopped makes only what is not finished.
+    import os
+    import shutil
+
+    times = {r: os.path.getmtime(f"{path}/round={r}/_SUCCESS") for r in (0, 2)}
+    shutil.rmtree(f"{path}/round=1")
+    again = training_order.write_shards(docs, path, rounds=3)
+    assert Counter(tuple(r) for r in training_order.read_records(again).collect()) == expected
+    assert times == {r: os.path.getmtime(f"{path}/round={r}/_SUCCESS") for r in (0, 2)}
+
+
 def test_feistel_is_a_permutation():
     for n in (1, 2, 3, 17, 1000, 4097):
         f = training_order.Feistel(n, 9)
@@ -449,11 +633,19 @@ def test_url_filter(spark):
 
 
 def test_stages_on_any_rows(spark, docs, rows):
+    """Columns come back with their values, also those of names that stages use inside."""
     import corpus_pipeline
 
+    extra = [c for c in docs.columns if c not in ("doc_id", "text", "source", "n_chars")]
+    values = {tuple(map(str, r)) for r in docs.select(*extra).collect()}
     for i, (_, stage) in enumerate(corpus_pipeline.STAGES):
         got = stage(spark, docs, SF)
-        assert i == 4 or got.columns == docs.columns
+        if i < 4:
+            assert got.schema.simpleString() == docs.schema.simpleString()
+            found = got.collect()
+            assert {tuple(str(r[c]) for c in extra) for r in found} <= values
+            if i != 2:
+                assert {(r["doc_id"], r["text"], r["source"]) for r in found} <= set(rows)
         assert got.count() <= 2 * len(rows)
 
 
