@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from . import textblocks as tb
 
 #: Pieces that a worker keeps encoded, twice; what falls out is encoded again when it returns, which costs time, not results.
-KEPT_PIECES = 60_000
+KEPT_PIECES = 120_000
 
 #: Bands of ranks that the index of a block is kept in.
 BANDS = 16
@@ -88,10 +88,11 @@ class MergeReplay:
         least = np.empty(len(pieces), np.int64)
         for band in range(len(due)):
             top = edges[band] if band < len(edges) else NO_MERGE
-            open_, due[band] = np.unique(np.concatenate(due[band])), []
+            open_, due[band] = np.sort(np.concatenate(due[band])), []
             while len(open_):
                 rank, at = open_ >> 32, open_ & 0xFFFFFFFF
                 valid = rank_at[at] == rank
+                valid[1:] &= open_[1:] != open_[:-1]
                 open_, rank, at = open_[valid], rank[valid], at[valid]
                 if not len(open_):
                     break
@@ -102,14 +103,14 @@ class MergeReplay:
                 self.updates += len(new)
                 new = rank_at[new] << 32 | new
                 now = new >> 32 < top
-                open_ = np.unique(np.concatenate((open_, new[now])))
+                open_ = np.sort(np.concatenate((open_, new[now])), kind="stable")
                 if not now.all():
                     later = new[~now]
                     where = np.searchsorted(edges, later >> 32, side="right")
                     order = np.argsort(where, kind="stable")
                     cuts = np.flatnonzero(np.diff(where[order])) + 1
-                    for part in np.split(order, cuts):
-                        due[where[part[0]]].append(later[part])
+                    for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), len(order)]):
+                        due[where[order[a]]].append(later[order[a:b]])
         left = token >= 0
         ids, stops = token[left].tolist(), np.cumsum(np.bincount(piece[left], minlength=len(pieces))).tolist()
         return [ids[a:b] for a, b in zip([0, *stops], stops)]
@@ -138,8 +139,10 @@ class MergeReplay:
         token[at], token[gone], rank_at[gone] = rank, MERGED, NO_MERGE
         after[at] = after[gone]
         before[after[at]] = at
-        touched = before[at]
-        touched = np.unique(np.concatenate((at, touched[(touched >= 0)])))
+        left = before[at]
+        new = left >= 0
+        new[1:] &= left[1:] != at[:-1]  # it has merged itself
+        touched = np.concatenate((at, left[new]))
         rank_at[touched] = self._rank_of(token[touched], token[after[touched]])
         return touched
 
