@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..checkpoints import checkpoint_dir, checkpointed
+from ..checkpoints import checkpoint_dir
 from . import unique_texts as ut
 
 UNIT = 64
@@ -94,8 +94,8 @@ def features(payload: bytes) -> str:
     return f"peak={int(np.abs(x).max())};sum={total};energy={square};crossings={crossings};range={int(x.max() - x.min())}"
 
 
-STORED = "p int, tkey binary, n_bytes long, media_sha256 binary, digests array<binary>, digest binary, chunk binary"
-READ = "tkey binary, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, n_chunks long"
+STORED = "p int, tkey binary, n_bytes long, media_sha256 binary, digests array<binary>, digest binary, chunk binary, owner int"
+READ = "tkey binary, n_bytes long, payload_bytes long, payload_sha256 binary, tail_crc32 long, media_bytes long, media_sha256 binary, feature string, n_chunks long"
 #: Groups that one shipped copy of a chunk serves.
 RELAY = 256
 #: Files of a store, however many groups there are.
@@ -104,26 +104,29 @@ MOST_BUCKETS = 20_000
 
 @dataclass(frozen=True)
 class Store:
-    """What was written: rows of STORED, chunks (with digest, each digest once) and manifests (with tkey) of groups p, and
-    for each chunk the groups besides its owner that list it (digest, p, owner)."""
+    """What was written, rows of STORED in groups p: chunks, each digest once, manifests, and for each chunk that a group
+    lists but does not keep the group that owns it."""
 
     rows: DataFrame
-    wanted: DataFrame
 
     @property
     def chunks(self) -> DataFrame:
-        return self.rows.filter("tkey IS NULL").select("p", "digest", "chunk")
+        return self.rows.filter("chunk IS NOT NULL").select("p", "digest", "chunk")
 
     @property
     def manifests(self) -> DataFrame:
         return self.rows.filter("tkey IS NOT NULL").select("p", "tkey", "n_bytes", "media_sha256", "digests")
 
+    @property
+    def wanted(self) -> DataFrame:
+        return self.rows.filter("owner IS NOT NULL").select("p", "digest", "owner")
+
 
 def _files(table: pa.Table):
     """(keys, raw texts, files) of a group in slices."""
-    keys, _, z = ut.read_group(table)
-    for start, raw in ut.group_slices(z):
-        yield keys[start : start + len(raw)], raw, [wave(padded(t)) for t in raw]
+    group = ut.Group(table)
+    for numbers, raw in group.slices():
+        yield [group.keys[k] for k in numbers], raw, [wave(padded(t)) for t in raw]
 
 
 def _digests(table: pa.Table) -> pa.Table:
@@ -143,15 +146,16 @@ def _keep(texts: pa.Table, foreign: pa.Table) -> pa.Table:
     rows, seen = [], set(foreign.column("digest").to_pylist())
     if texts.num_rows:
         p = texts.column("p")[0].as_py()
+        rows += [(p, None, None, None, None, d, None, owner) for d, owner in zip(foreign.column("digest").to_pylist(), foreign.column("owner").to_pylist())]
         for keys, raw, files in _files(texts):
             for key, text, media, chunks in zip(keys, raw, files, chunked(files)):
-                rows.append((p, key, len(text), hashlib.sha256(media).digest(), [d for d, _ in chunks], None, None))
+                rows.append((p, key, len(text), hashlib.sha256(media).digest(), [d for d, _ in chunks], None, None, None))
                 for d, c in chunks:
                     if d not in seen:
                         seen.add(d)
-                        rows.append((p, None, None, None, None, d, c))
+                        rows.append((p, None, None, None, None, d, c, None))
     binary = pa.binary()
-    return _table(rows, [x.split()[0] for x in STORED.split(", ")], (pa.int32(), binary, pa.int64(), binary, pa.list_(binary), binary, binary))
+    return _table(rows, [x.split()[0] for x in STORED.split(", ")], (pa.int32(), binary, pa.int64(), binary, pa.list_(binary), binary, binary, pa.int32()))
 
 
 def write_store(docs: DataFrame) -> Store:
@@ -162,15 +166,17 @@ def write_store(docs: DataFrame) -> Store:
     """
     spark = docs.sparkSession
     groups = ut.group_count(docs)
-    texts = ut.unique_texts(ut.keyed(docs).withColumn("doc_id", F.lit(None).cast("long")), groups)
+    texts = ut.grouped_texts(ut.keyed(docs).withColumn("doc_id", F.lit(None).cast("long")), groups)
     listed = texts.groupBy("p").applyInArrow(_digests, "digest binary, p int")
     owner = F.min(F.struct(F.xxhash64("digest", "p").alias("h"), F.col("p"))).getField("p")
     owners = listed.groupBy("digest").agg(owner.alias("owner"), F.count(F.lit(1)).alias("n")).filter("n > 1").select(F.col("digest").alias("_digest"), "owner")
-    wanted = checkpointed(listed.join(owners, F.col("digest") == F.col("_digest")).filter("p != owner").select("digest", "p", "owner"))
+    wanted = listed.join(owners, F.col("digest") == F.col("_digest")).filter("p != owner").select("digest", "p", "owner")
     rows = texts.groupBy("p").cogroup(wanted.groupBy("p")).applyInArrow(_keep, STORED)
     name = f"media_store_{uuid.uuid4().hex}"
-    rows.write.format("parquet").option("compression", "zstd").option("path", f"{checkpoint_dir(spark)}/{name}").bucketBy(min(groups, MOST_BUCKETS), "p").saveAsTable(name)
-    return Store(spark.table(name), wanted)
+    # With fewer buckets than shuffle partitions the planner would move the store again.
+    buckets = max(min(groups, MOST_BUCKETS), int(spark.conf.get("spark.sql.shuffle.partitions")))
+    rows.write.format("parquet").option("compression", "zstd").option("parquet.compression.codec.zstd.level", "6").option("path", f"{checkpoint_dir(spark)}/{name}").bucketBy(buckets, "p").saveAsTable(name)
+    return Store(spark.table(name))
 
 
 def _ship(stored: pa.Table, asked: pa.Table) -> pa.Table:
@@ -190,10 +196,10 @@ def _media(stored: pa.Table, received: pa.Table):
     chunks = dict(zip(received.column("digest").to_pylist(), received.column("chunk").to_pylist()))
     manifests = []
     for key, n, whole, listed, d, c in zip(*(stored.column(x).to_pylist() for x in ("tkey", "n_bytes", "media_sha256", "digests", "digest", "chunk"))):
-        if key is None:
-            chunks[d] = c
-        else:
+        if key is not None:
             manifests.append((key, n, whole, listed))
+        elif c is not None:
+            chunks[d] = c
     for key, n, whole, listed in manifests:
         try:
             media = b"".join([chunks[d] for d in listed])
@@ -212,8 +218,8 @@ def _read(stored: pa.Table, received: pa.Table) -> pa.Table:
     rows = []
     for key, n, media, chunks in _media(stored, received):
         payload = samples(media)
-        rows.append((key, n, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-UNIT:]), len(media), hashlib.sha256(media).hexdigest(), features(payload), chunks))
-    return _table(rows, [x.split()[0] for x in READ.split(", ")], (pa.binary(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64()))
+        rows.append((key, n, len(payload), hashlib.sha256(payload).digest(), zlib.crc32(payload[-UNIT:]), len(media), hashlib.sha256(media).digest(), features(payload), chunks))
+    return _table(rows, [x.split()[0] for x in READ.split(", ")], (pa.binary(), pa.int64(), pa.int64(), pa.binary(), pa.int64(), pa.int64(), pa.binary(), pa.string(), pa.int64()))
 
 
 def _from_store(store: Store, make, schema: str) -> DataFrame:
@@ -236,4 +242,5 @@ def reconstruct(store: Store) -> DataFrame:
 def media_features(docs: DataFrame) -> DataFrame:
     """One row per document: sizes and digests of payload and file as read back from the store, and the features."""
     read = _from_store(write_store(docs), _read, READ)
-    return ut.keyed(docs).select("doc_id", F.col("tkey").alias("_key")).join(read, F.col("_key") == F.col("tkey")).drop("_key", "tkey")
+    joined = ut.keyed(docs).select("doc_id", F.col("tkey").alias("_key")).join(read, F.col("_key") == F.col("tkey")).drop("_key", "tkey")
+    return joined.withColumns({c: F.lower(F.hex(c)) for c in ("payload_sha256", "media_sha256")})

@@ -446,7 +446,7 @@ def node_classes(docs: DataFrame, most: int = MOST_IN_TASK, most_runs: int = MOS
     edges = shared.join(hubs, "band").filter("node != hub").select(F.col("node").alias("a"), F.col("hub").alias("b")).distinct()
     members = components(edges)
     # Each text once per input partition, compressed, however many rows repeat it.
-    sent = ut.unique_texts(keyed.select(F.lit(None).cast("long").alias("doc_id"), "text", "tkey"), 1).select(F.substring("tkey", 1, 16).alias("node"), "z")
+    sent = ut.unique_texts(keyed.select(F.lit(None).cast("long").alias("doc_id"), "text", "tkey")).select(F.substring("tkey", 1, 16).alias("node"), "z")
     rows = sent.join(members, "node").select("root", "node", "z")
     large = _large(members.join(banded, "node"), most, most_runs).select("root")
     if large.limit(1).count():

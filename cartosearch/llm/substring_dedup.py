@@ -87,14 +87,14 @@ def bucket_of(hashes: np.ndarray, buckets: int) -> np.ndarray:
 def _anchors(buckets: int):
     def run(table: pa.Table) -> pa.Table:
         p = table.column("p")[0].as_py()
-        _, ids, z = ut.read_group(table)
+        group = ut.Group(table)
         hashes, owners = [], []
-        for first, raw in ut.group_slices([x for x, d in zip(z, ids) if d is not None]):
+        for numbers, raw in group.slices(lambda k: group.ids[k] is not None):
             w = Windows(raw)
             new = np.ones(len(w.place), bool)
             new[1:] = (np.diff(w.place) != 0) | (np.diff(w.text) != 0)
             hashes.append(w.hash[new])
-            owners.append(w.text[new] + first)
+            owners.append(np.array(numbers)[w.text[new]])
         h, t = np.concatenate([*hashes, np.zeros(0, np.uint64)]), np.concatenate([*owners, np.zeros(0, np.int64)])
         order = np.lexsort((t, h))
         h, t = h[order], t[order]
@@ -158,12 +158,11 @@ def _segments(buckets: int):
         out: dict[int, dict[tuple[bytes, int], int]] = {}
         if texts.num_rows:
             p, repeated, heavy = texts.column("p")[0].as_py(), _told_hashes(told, 0), _told_hashes(told, 2)
-            _, ids, z = ut.read_group(texts)
-            z, ids = [x for x, d in zip(z, ids) if d is not None], [d for d in ids if d is not None]
-            for start, raw in ut.group_slices(z):
+            group = ut.Group(texts)
+            for numbers, raw in group.slices(lambda k: group.ids[k] is not None):
                 w, found = _kept_windows(raw, repeated, heavy, buckets)
                 for b, words, first, count in found:
-                    doc, own = ids[start + w.text[first]], out.setdefault(b, {})
+                    doc, own = group.ids[numbers[w.text[first]]], out.setdefault(b, {})
                     own[words, count] = min(doc, own.get((words, count), doc))
         rows = []
         for b, own in out.items():
@@ -247,24 +246,23 @@ def _removal(buckets: int, with_text: bool):
         if texts.num_rows:
             repeated, heavy = _told_hashes(told, 0), _told_hashes(told, 2)
             minima = {b: np.frombuffer(x, np.int64) for k, b, x in zip(told.column("kind").to_pylist(), told.column("b").to_pylist(), told.column("payload").to_pylist()) if k == 1}
-            keys, ids, z = ut.read_group(texts)
-            sources = [i for i, d in enumerate(ids) if d is not None]
+            group = ut.Group(texts)
             marks: dict[int, list[tuple[int, int, bytes, int]]] = {}
             segments: dict[int, set[tuple[bytes, int]]] = {}
-            for start, raw in ut.group_slices([z[i] for i in sources]):
+            for numbers, raw in group.slices(lambda k: group.ids[k] is not None):
                 w, found = _kept_windows(raw, repeated, heavy, buckets)
                 for b, words, first, count in found:
                     t = int(w.text[first])
                     segments.setdefault(b, set()).add((words, count))
-                    marks.setdefault(sources[start + t], []).append((b, int(w.at[first] - w.rows[t]), words, count))
+                    marks.setdefault(numbers[t], []).append((b, int(w.at[first] - w.rows[t]), words, count))
             places: dict[int, dict[tuple[bytes, int], int]] = {}
             for b, own in segments.items():
                 at = 0
                 for s in sorted(own):
                     places.setdefault(b, {})[s] = at
                     at += s[1]
-            for i, (key, doc, data) in enumerate(zip(keys, ids, z)):
-                words = unspaced(ut.unsqueeze(data))
+            for i, data in (x for numbers, raw in group.slices() for x in zip(numbers, raw)):
+                key, doc, words = group.keys[i], group.ids[i], unspaced(data)
                 gone = np.zeros(len(words) + 1, np.int64)
                 for b, at, segment, count in marks.get(i, ()):
                     k = places[b][segment, count]
@@ -294,7 +292,7 @@ def _results(docs: DataFrame, with_text: bool, heavy: int) -> DataFrame:
     """doc_id, n_words, n_removed and kept: the words that stay, or their digest."""
     keyed = ut.keyed(docs)
     groups = ut.group_count(docs)
-    texts = ut.unique_texts(keyed, groups)
+    texts = ut.grouped_texts(keyed, groups)
     anchors = texts.groupBy("p").applyInArrow(_anchors(groups), "b int, p int, hashes binary, held binary")
     told = "p int, kind int, b int, payload binary"
     repeated = anchors.groupBy("b").applyInArrow(_repeated(heavy), told)

@@ -368,7 +368,7 @@ def test_near_dedup_of_dissimilar_texts_in_one_cluster(spark):
     assert labels.groupBy("label").count().count() == 24
     # Texts of one cluster that no pivot and no head takes apart still go to tasks of bounded size, each pair to one.
     keyed = near_dedup.ut.keyed(df).withColumn("node", near_dedup.F.substring("tkey", 1, 16))
-    rows = near_dedup.ut.unique_texts(keyed, 1).selectExpr("X'00' AS root", "substring(tkey, 1, 16) AS node", "z", "96L AS n_runs")
+    rows = near_dedup.ut.unique_texts(keyed).selectExpr("X'00' AS root", "substring(tkey, 1, 16) AS node", "z", "96L AS n_runs")
     dealt = near_dedup.in_blocks(rows, 80, 10**6).select("part", "node").collect()
     parts = defaultdict(set)
     for r in dealt:
@@ -567,7 +567,7 @@ def test_media_store_round_trip(spark):
     assert sum(len(r["chunk"]) for r in chunks) < sum(map(len, back.values())) / 2
     # What is read back comes from the store: without one of its chunks nothing is.
     for gone in (chunks[0], next(r for r in chunks if store.wanted.filter(media_chunks.F.col("digest") == bytes(r["digest"])).count())):
-        holed = media_chunks.Store(store.rows.filter(media_chunks.F.col("digest").isNull() | (media_chunks.F.col("digest") != bytes(gone["digest"]))), store.wanted)
+        holed = media_chunks.Store(store.rows.filter(media_chunks.F.col("chunk").isNull() | (media_chunks.F.col("digest") != bytes(gone["digest"]))))
         with pytest.raises(Exception, match="no chunk"):
             media_chunks.reconstruct(holed).collect()
     ends = lambda x: {x[: e][-64:] for e in media_chunks.cut([x])[0][:-1]}
