@@ -98,8 +98,9 @@ def record(doc_id: int | None, number: int, ids: np.ndarray) -> bytes:
     return (NO_ID if doc_id is None else doc_id).to_bytes(8, "little", signed=True) + number.to_bytes(4, "little") + len(ids).to_bytes(4, "little") + body.tobytes()
 
 
-def numbered(docs: DataFrame, path: str | None = None) -> tuple[DataFrame, int]:
-    """(doc_id, records, z, first) with the number of each document's first record, and the number of all records.
+def numbered(docs: DataFrame, path: str | None = None) -> tuple[DataFrame, int, int]:
+    """(doc_id, records, z, first) with the number of each document's first record, the number of all records, and of partitions
+    of the token table.
 
     Documents are ordered by cell, doc_id and content, so numbers do not depend on how the input lies in files. Cells are
     few enough for one task to add up their counts and to be broadcast: one for CELL_ROWS documents.
@@ -111,21 +112,21 @@ def numbered(docs: DataFrame, path: str | None = None) -> tuple[DataFrame, int]:
     starts = celled.groupBy("cell").agg(F.sum("records").alias("n")).select("cell", F.coalesce(F.sum("n").over(along), F.lit(0)).alias("start"))
     inside = Window.partitionBy("cell").orderBy("doc_id", "hash", "records").rowsBetween(Window.unboundedPreceding, -1)
     ahead = celled.withColumn("ahead", F.coalesce(F.sum("records").over(inside), F.lit(0)))
-    return ahead.join(F.broadcast(starts), "cell").select("doc_id", "records", "z", (F.col("start") + F.col("ahead")).alias("first")), int(total)
+    return ahead.join(F.broadcast(starts), "cell").select("doc_id", "records", "z", (F.col("start") + F.col("ahead")).alias("first")), int(total), tokens.rdd.getNumPartitions()
 
 
 def shards(docs: DataFrame, key: int = 20240607, path: str | None = None) -> DataFrame:
     """(shard, records, bytes) in slot order, one row per shard."""
-    tokens, total = numbered(docs, path)
-    return shards_of(tokens, total, key)
+    tokens, total, parts = numbered(docs, path)
+    return shards_of(tokens, total, parts, key)
 
 
-def shards_of(tokens: DataFrame, total: int, key: int, begin: int = 0, end: int | None = None) -> DataFrame:
+def shards_of(tokens: DataFrame, total: int, parts: int, key: int, begin: int = 0, end: int | None = None) -> DataFrame:
     """The shards begin..end of numbered documents: records of other shards leave before the exchange."""
     order = Feistel(max(total, 1), key)
     n_shards = -(-total // SHARD)
     end = n_shards if end is None else min(end, n_shards)
-    parts = max(1, min(end - begin, tokens.rdd.getNumPartitions()))
+    parts = max(1, min(end - begin, parts))
 
     def number(batches):
         for b in batches:
@@ -200,9 +201,9 @@ def write_shards(docs: DataFrame, path: str, key: int = 20240607, rounds: int =
     folders = [f"{path}/round={r}" for r in range(rounds)]
     todo = [r for r in range(rounds) if not _finished(spark, folders[r])]
     if todo:
-        tokens, total = numbered(docs, ranks)
+        tokens, total, parts = numbered(docs, ranks)
         n_shards = -(-total // SHARD)
         for r in todo:
-            made = shards_of(tokens, total, key, r * n_shards // rounds, (r + 1) * n_shards // rounds)
+            made = shards_of(tokens, total, parts, key, r * n_shards // rounds, (r + 1) * n_shards // rounds)
             made.write.mode("overwrite").option("compression", "zstd").parquet(folders[r])
     return spark.read.schema("shard long, records long, bytes binary").parquet(*folders)
