@@ -32,7 +32,7 @@ HEAD = 16
 STRIDE = HEAD + 2 * TOKENS
 SHARD = 4096
 #: Documents of a cell when records are numbered.
-CELL_ROWS = 65_536
+CELL_ROWS = 8_192
 NO_ID = -(1 << 63)
 
 
@@ -107,7 +107,7 @@ def numbered(docs: DataFrame, path: str | None = None) -> tuple[DataFrame, int,
     """
     tokens = checkpointed(token_rows(docs, path))
     n, total = tokens.agg(F.count(F.lit(1)), F.coalesce(F.sum("records"), F.lit(0))).first()
-    celled = tokens.withColumn("hash", F.xxhash64("z")).withColumn("cell", F.pmod(F.xxhash64("doc_id", "hash"), F.lit(max(16, -(-n // CELL_ROWS)))))
+    celled = tokens.withColumn("hash", F.xxhash64("z")).withColumn("cell", F.pmod(F.xxhash64("doc_id", "hash"), F.lit(max(64, -(-n // CELL_ROWS)))))
     along = Window.orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
     starts = celled.groupBy("cell").agg(F.sum("records").alias("n")).select("cell", F.coalesce(F.sum("n").over(along), F.lit(0)).alias("start"))
     inside = Window.partitionBy("cell").orderBy("doc_id", "hash", "records").rowsBetween(Window.unboundedPreceding, -1)
