@@ -40,16 +40,18 @@ def with_statistics(docs: DataFrame, text: str = "text") -> DataFrame:
     keys = counted.withColumn("_q_keys", _settled(F.expr(f"CASE WHEN _q_n >= 3 THEN sort_array(transform(sequence(0, _q_n - 3), i -> coalesce(shiftleft({triple}, _q_bits) | cast(i AS BIGINT), 0L))) ELSE cast(array() AS array<bigint>) END")))
     place = "cast({0} & (shiftleft(1L, _q_bits) - 1L) AS INT)"
 
-    def same(k: str) -> str:
-        x, y = place.format("x"), place.format(f"get(_q_keys, {k})")
-        words = " AND ".join(f"get(_q_words, {x} + {d}) = get(_q_words, {y} + {d})" for d in range(3))
-        return f"(coalesce(shiftright(get(_q_keys, {k}), _q_bits) = shiftright(x, _q_bits), false) AND {words})"
+    place_x, place_y = place.format("x"), place.format("y")
+
+    def alike(other: str) -> str:
+        return "(" + " AND ".join(f"get(_q_words, {place_x} + {d}) = get(_q_words, {other} + {d})" for d in range(3)) + ")"
+
+    def beside(k: str) -> str:
+        return f"coalesce(shiftright(get(_q_keys, {k}), _q_bits) = shiftright(x, _q_bits), false)"
 
     # Windows of one hash but other words may stand between two equal ones; only then the whole list is looked through.
-    clash = "(coalesce(shiftright(get(_q_keys, {0}), _q_bits) = shiftright(x, _q_bits), false))"
-    other = " AND ".join(f"get(_q_words, {place.format('x')} + {d}) = get(_q_words, {place.format('y')} + {d})" for d in range(3))
-    anywhere = f"(({clash.format('k - 1')} OR {clash.format('k + 1')}) AND exists(_q_keys, y -> y != x AND {other}))"
-    again = keys.withColumn("_q_again", _settled(F.expr(f"transform(filter(_q_keys, (x, k) -> {same('k - 1')} OR {same('k + 1')} OR {anywhere}), x -> x & (shiftleft(1L, _q_bits) - 1L))")))
+    near = f"(({beside('k - 1')} AND {alike(place.format('get(_q_keys, k - 1)'))}) OR ({beside('k + 1')} AND {alike(place.format('get(_q_keys, k + 1)'))}))"
+    found = f"({beside('k - 1')} OR {beside('k + 1')}) AND ({near} OR exists(_q_keys, y -> y != x AND {alike(place_y)}))"
+    again = keys.withColumn("_q_again", _settled(F.expr(f"transform(filter(_q_keys, (x, k) -> {found}), x -> x & (shiftleft(1L, _q_bits) - 1L))")))
     stats = {
         "_q_n_words": _settled(F.col("_q_n").cast("long")),
         "_q_word_chars": F.length(F.array_join("_q_words", "")).cast("long"),
