@@ -61,16 +61,21 @@ def bulk_tree(points: np.ndarray, f: int) -> Tree:
     while len(current) > 1:
         current = [add("n", np.array(current[i : i + max(2, f)])) for i in range(0, len(current), max(2, f))]
     m = len(nodes)
-    turn = lambda i: m - 1 - i  # the root first
+    turn = lambda i: m - 1 - i  # the root first, children of a node side by side
     ordered = nodes[::-1]
-    down = [x["below"] + m if x["kind"] == "p" else np.array([turn(i) for i in x["below"]]) for x in ordered]
-    lo, hi = np.array([x["lo"] for x in ordered]), np.array([x["hi"] for x in ordered])
-    leaf_of = np.zeros(n, np.int64)
+    leaf = np.array([x["kind"] == "p" for x in ordered])
+    first, last, held, at = np.zeros(m, np.int64), np.zeros(m, np.int64), [], m
     for i, x in enumerate(ordered):
         if x["kind"] == "p":
-            leaf_of[x["below"]] = i
+            first[i], last[i] = at, at + len(x["below"])
+            held.append(x["below"])
+            at = last[i]
+        else:
+            first[i], last[i] = turn(x["below"][-1]), turn(x["below"][0]) + 1
+    lo, hi = np.array([x["lo"] for x in ordered]), np.array([x["hi"] for x in ordered])
+    place = np.concatenate(held)
     half = np.sqrt(((hi - lo) ** 2).sum(axis=1)) / 2
-    return Tree([str(i) for i in range(m)], np.array([x["n"] for x in ordered]), half, (lo + hi) / 2, lo, hi, np.full(m, -1), np.full(m, np.nan), np.array([x["kind"] == "p" for x in ordered]), down, points, leaf_of, np.zeros(n))
+    return Tree([str(i) for i in range(m)], np.array([x["n"] for x in ordered]), half, (lo + hi) / 2, lo, hi, leaf, first, last, points[place], place, np.zeros(n))
 
 
 def box_incremental_topk(index: SearchIndex, query: str, k: int = 10) -> Run:

@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import pyarrow.compute  # noqa: F401  (pa.compute)
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..checkpoints import checkpointed
-from ..functions.geometry import dims, euclid, vec
-from .kernels import MAX_DEPTH, build_tree
+from ..functions.geometry import dims, vec
+from .kernels import MAX_DEPTH, build_tree, pack, tree_from_rows
 
 
 def tree_schema(d: int) -> str:
@@ -39,15 +42,15 @@ def build_groups(points: DataFrame, f: int, splitter: str = "midpoint") -> DataF
 
     def run(table: pa.Table) -> pa.Table:
         p = np.column_stack([table.column(f"c{i}").to_numpy() for i in range(d)])
-        t = build_tree(p, f, splitter)
-        m, k = len(t.path), len(p)
+        t = build_tree(p, f, splitter, table.column("point_id").to_numpy(zero_copy_only=False).astype(np.int64))
+        m, k, p = len(t.path), len(p), t.points
         leaf_path = np.array(t.path, dtype=object)[t.point_leaf]
         none = np.full(k, np.nan)
         columns = {
             "dataset_id": pa.array([table.column("dataset_id")[0].as_py()] * (m + k)),
             "kind": pa.array([0] * m + [1] * k, pa.int32()),
             "path": pa.array(t.path + leaf_path.tolist()),
-            "point_id": pa.array([None] * m + table.column("point_id").to_pylist(), pa.int64()),
+            "point_id": pa.array([None] * m + t.ids.tolist(), pa.int64()),
             "n": pa.array(np.concatenate((t.n, np.ones(k, np.int64))), pa.int64()),
             "radius": pa.array(np.concatenate((t.radius, t.point_distance))),
             "is_leaf": pa.array(t.leaf.tolist() + [None] * k, pa.bool_()),
@@ -84,19 +87,31 @@ def build_levels(points: DataFrame, f: int, every: int = 4) -> DataFrame:
 
 
 def tree_rows(placed: DataFrame) -> DataFrame:
-    """Tree rows of points whose leaf path is known: nodes are aggregates over the prefixes of the paths. Of a node
-    whose points all went one way, the split is unknown and left null; is_leaf says that no path goes on."""
+    """Tree rows of points whose leaf path is known. Leaves are aggregates of their points, nodes above are aggregates of
+    leaves over the prefixes of their paths; only a node's radius asks for points again, and those meet each of their
+    nodes on (dataset, path) in partial aggregates. Of a node whose points all went one way, the split is unknown and
+    left null; is_leaf says that no path goes on."""
     d = dims(placed)
-    above = placed.withColumn("leaf", F.col("path")).withColumn("path", F.explode(F.transform(F.sequence(F.lit(0), F.length("leaf")), lambda i: F.substring("leaf", F.lit(1), i))))
-    nodes = above.groupBy("dataset_id", "path").agg(F.count(F.lit(1)).alias("n"), F.max(F.length("leaf")).alias("deepest"), *(F.avg(f"c{i}").alias(f"o{i}") for i in range(d)), *(F.min(f"c{i}").alias(f"lo{i}") for i in range(d)), *(F.max(f"c{i}").alias(f"hi{i}") for i in range(d)))
-    away = euclid(vec("c", d), vec("o", d))
-    joined = above.join(nodes, ["dataset_id", "path"])
-    far = joined.groupBy("dataset_id", "path").agg(F.max(away).alias("radius"))
-    whole = nodes.join(far, ["dataset_id", "path"]).withColumn("is_leaf", F.col("deepest") == F.length("path"))
+    leaves = placed.groupBy("dataset_id", F.col("path").alias("leaf")).agg(F.count(F.lit(1)).alias("n"), *(F.sum(f"c{i}").alias(f"s{i}") for i in range(d)), *(F.min(f"c{i}").alias(f"lo{i}") for i in range(d)), *(F.max(f"c{i}").alias(f"hi{i}") for i in range(d)))
+    prefixes = F.transform(F.sequence(F.lit(0), F.length("leaf")), lambda i: F.substring("leaf", F.lit(1), i))
+    above = leaves.withColumn("path", F.explode(prefixes))
+    nodes = above.groupBy("dataset_id", "path").agg(F.sum("n").alias("n"), F.max(F.length("leaf")).alias("deepest"), *((F.sum(f"s{i}") / F.sum("n")).alias(f"o{i}") for i in range(d)), *(F.min(f"lo{i}").alias(f"lo{i}") for i in range(d)), *(F.max(f"hi{i}").alias(f"hi{i}") for i in range(d)))
+    # The centres above a leaf travel with it, once per leaf; its points then know their distance from each.
+    centres = above.select("dataset_id", "leaf", "path").join(nodes.select("dataset_id", "path", *vec("o", d)), ["dataset_id", "path"])
+    chains = centres.groupBy("dataset_id", "leaf").agg(F.collect_list(F.struct("path", *vec("o", d))).alias("chain"))
+    met = placed.withColumnRenamed("path", "leaf").join(chains, ["dataset_id", "leaf"])
+
+    def away(x) -> Column:
+        return F.sqrt(reduce(lambda a, b: a + b, [(F.col(f"c{i}") - x[f"o{i}"]) * (F.col(f"c{i}") - x[f"o{i}"]) for i in range(d)]))
+
+    # Farthest distances within a leaf first, per place in its chain; then over the leaves below each node.
+    far = met.select("dataset_id", "leaf", F.posexplode(F.transform("chain", lambda x: F.struct(x["path"].alias("path"), away(x).alias("away")))).alias("k", "x")).groupBy("dataset_id", "leaf", "x.path").agg(F.max("x.away").alias("away"))
+    radii = far.groupBy("dataset_id", "path").agg(F.max("away").alias("radius"))
+    whole = nodes.join(radii, ["dataset_id", "path"]).withColumn("is_leaf", F.col("deepest") == F.length("path"))
     out_nodes = whole.select("dataset_id", F.lit(0).alias("kind"), "path", F.lit(None).cast("long").alias("point_id"), "n", "radius", "is_leaf", F.lit(-1).alias("split_dim"), F.lit(None).cast("double").alias("split_at"), *vec("o", d), *vec("lo", d), *vec("hi", d))
     none = [F.lit(None).cast("double").alias(f"{n}{i}") for n in ("lo", "hi") for i in range(d)]
-    own = joined.filter(F.col("leaf") == F.col("path"))
-    out_points = own.select("dataset_id", F.lit(1).alias("kind"), "path", "point_id", F.lit(1).cast("long").alias("n"), away.alias("radius"), F.lit(None).cast("boolean").alias("is_leaf"), F.lit(-1).alias("split_dim"), F.lit(None).cast("double").alias("split_at"), *(F.col(f"c{i}").alias(f"o{i}") for i in range(d)), *none)
+    own = F.element_at(F.filter("chain", lambda x: x["path"] == F.col("leaf")), 1)
+    out_points = met.withColumn("own", own).select("dataset_id", F.lit(1).alias("kind"), F.col("leaf").alias("path"), "point_id", F.lit(1).cast("long").alias("n"), away(F.col("own")).alias("radius"), F.lit(None).cast("boolean").alias("is_leaf"), F.lit(-1).alias("split_dim"), F.lit(None).cast("double").alias("split_at"), *(F.col(f"c{i}").alias(f"o{i}") for i in range(d)), *none)
     return out_nodes.unionByName(out_points)
 
 
@@ -106,6 +121,20 @@ def tree_points(tree: DataFrame) -> DataFrame:
     return tree.filter("kind = 1").select("dataset_id", "point_id", F.col("path").alias("leaf_path"), F.col("radius").alias("leaf_distance"), *(F.col(f"o{i}").alias(f"c{i}") for i in range(d)))
 
 
+def packed_trees(tree: DataFrame) -> DataFrame:
+    """dataset_id and its tree as one value, see kernels.pack."""
+    d = dims(tree, "o")
+
+    def run(table: pa.Table) -> pa.Table:
+        get = lambda n: np.column_stack([table.column(f"{n}{i}").to_numpy(zero_copy_only=False) for i in range(d)])
+        ids = pa.compute.fill_null(table.column("point_id"), -1).to_numpy()
+        t = tree_from_rows(table.column("path").to_pylist(), table.column("kind").to_numpy(), table.column("n").to_numpy(), table.column("radius").to_numpy(), table.column("is_leaf").to_pylist(), get("o"), get("lo"), get("hi"), ids)
+        return pa.table({"dataset_id": table.column("dataset_id")[:1], "tree": pa.array([pack(t)], pa.binary())})
+
+    columns = ["dataset_id", "kind", "path", "point_id", "n", "radius", "is_leaf", *(f"{n}{i}" for n in ("o", "lo", "hi") for i in range(d))]
+    return tree.select(*columns).groupBy("dataset_id").applyInArrow(run, "dataset_id string, tree binary")
+
+
 def dataset_roots(tree: DataFrame) -> DataFrame:
     d = dims(tree, "o")
     return tree.filter("kind = 0 AND path = ''").select("dataset_id", "n", "radius", *vec("o", d), *vec("lo", d), *vec("hi", d))

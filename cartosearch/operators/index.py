@@ -2,23 +2,27 @@
 
 from __future__ import annotations
 
+import functools
 import json
 from dataclasses import asdict, dataclass
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..checkpoints import checkpointed
-from ..functions.geometry import dims
+from ..functions.geometry import dims, vec
 from ..functions.zorder import signatures
 from ..model import GridSpec
 from ..sources.repositories import repository_extent
-from .bottom_index import build_bottom, dataset_roots, tree_points
+from .bottom_index import build_bottom, dataset_roots, packed_trees, tree_points
 from .outliers import knee_threshold, leaf_radii, remove_outliers
 from .upper_index import build_upper, upper_nodes, upper_signatures
 
 #: Nodes of the upper tree that a search orders on the driver.
 MOST_NODES = 100_000
+#: Points of a dataset that one task takes; larger ones are compared through the frontier.
+MOST_TASK_POINTS = 100_000
 FRAMES = ("tree", "roots", "cells", "upper", "members", "upper_cells")
 
 
@@ -48,14 +52,37 @@ class SearchIndex:
     def spark(self) -> SparkSession:
         return self.tree.sparkSession
 
+    @functools.cached_property
+    def packed(self) -> DataFrame:
+        """dataset_id, path (its upper leaf), n, radius, o.., lo.., hi.. and its tree as one value; datasets of more points than
+        one task takes have none. Searches read it in place of tree rows: a dataset is one row and is never moved."""
+        most = MOST_TASK_POINTS
+        small = self.roots.filter(F.col("n") <= most).select("dataset_id")
+        some_large = self.roots.filter(F.col("n") > most).limit(1).count()
+        trees = packed_trees(self.tree.join(small, "dataset_id", "left_semi") if some_large else self.tree)
+        return checkpointed(self.roots.join(self.members, "dataset_id").join(trees, "dataset_id", "left"))
+
+    @functools.cached_property
+    def top(self) -> dict[str, np.ndarray]:
+        """The nodes at which searches stop on the way down, at most MOST_NODES of them, as arrays for the driver."""
+        leaf = F.col("is_leaf")
+        frontier = leaf if self.cut is None else (F.col("depth") == self.cut) | (leaf & (F.col("depth") < self.cut))
+        got = self.upper.filter(frontier).select("path", "n_datasets", "radius", *vec("o", self.d), *vec("lo", self.d), *vec("hi", self.d)).toPandas()
+        stack = lambda n: got[[f"{n}{i}" for i in range(self.d)]].to_numpy()
+        return {"path": got["path"].to_numpy(), "n": got["n_datasets"].to_numpy(), "radius": got["radius"].to_numpy(), "o": stack("o"), "lo": stack("lo"), "hi": stack("hi")}
+
     @property
     def points(self) -> DataFrame:
         return tree_points(self.tree)
 
     def where(self, datasets: DataFrame) -> SearchIndex:
-        """The index of the datasets named in a frame with dataset_id: metadata filters before a search."""
-        keep = lambda df: df.join(datasets.select("dataset_id").distinct(), "dataset_id", "left_semi")
-        return finish(keep(self.tree), self.spec, self.f, self.threshold)
+        """The index of the datasets named in a frame with dataset_id: metadata filters before a search. Trees, cells and places
+        in the upper tree stay as they are; only the upper nodes are aggregated again, over the roots that are left."""
+        named = checkpointed(datasets.select("dataset_id").distinct())
+        keep = lambda df: df.join(named, "dataset_id", "left_semi")
+        roots, cells, members = keep(self.roots), keep(self.cells), keep(self.members)
+        nodes = checkpointed(upper_nodes(roots, members))
+        return SearchIndex(keep(self.tree), roots, cells, nodes, members, upper_signatures(members, cells), self.spec, self.f, self.threshold, cut_depth(nodes))
 
 
 def build_index(points: DataFrame, f: int = 10, theta: int = 5, clean: bool = True, spec: GridSpec | None = None, strategy: str = "auto", splitter: str = "midpoint", scope: str = "repository", threshold: float | None = None, order: str = "desc", chord_span: str = "count", on_empty: str = "keep") -> SearchIndex:

@@ -3,7 +3,10 @@ isolation scores. Each works on one dataset, or one pair, of bounded size."""
 
 from __future__ import annotations
 
+import functools
 import heapq
+import itertools
+from collections import deque
 from dataclasses import dataclass
 
 import numpy as np
@@ -13,7 +16,8 @@ MAX_DEPTH = 64
 
 @dataclass
 class Tree:
-    """Nodes in order of creation (0 is the root); points follow as balls of radius 0 numbered from len(path)."""
+    """Nodes level by level (0 is the root); points follow as balls of radius 0 numbered from len(path), leaf by leaf. The
+    children of node i are the balls first[i] to last[i] - 1."""
 
     path: list[str]
     n: np.ndarray
@@ -21,35 +25,85 @@ class Tree:
     centre: np.ndarray
     lo: np.ndarray
     hi: np.ndarray
-    split_dim: np.ndarray
-    split_at: np.ndarray
     leaf: np.ndarray
-    children: list[np.ndarray]
+    first: np.ndarray
+    last: np.ndarray
     points: np.ndarray
-    point_leaf: np.ndarray
+    ids: np.ndarray
     point_distance: np.ndarray
+    split_dim: np.ndarray | None = None
+    split_at: np.ndarray | None = None
 
-    @property
+    @functools.cached_property
     def balls(self) -> np.ndarray:
         return np.vstack((self.centre, self.points))
 
-    @property
+    @functools.cached_property
     def radii(self) -> np.ndarray:
         return np.concatenate((self.radius, np.zeros(len(self.points))))
 
+    @property
+    def point_leaf(self) -> np.ndarray:
+        at = np.flatnonzero(self.leaf)
+        return np.repeat(at, (self.last - self.first)[at])
+
     def below(self, ball: int) -> np.ndarray:
-        return self.children[ball]
+        return np.arange(self.first[ball], self.last[ball])
+
+    def below_all(self, nodes: np.ndarray) -> np.ndarray:
+        """The children of all of the nodes."""
+        sizes = self.last[nodes] - self.first[nodes]
+        return np.repeat(self.first[nodes] - np.concatenate(([0], np.cumsum(sizes)[:-1])), sizes) + np.arange(sizes.sum())
+
+
+def linked(path: list[str], leaf: np.ndarray, point_leaf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(first, last, order of the points) of nodes that stand level by level; point_leaf is each point's node."""
+    m = len(path)
+    of = {p: i for i, p in enumerate(path)}
+    first, last = np.zeros(m, np.int64), np.zeros(m, np.int64)
+    if m > 1:
+        parent = np.array([of[p[:-1]] for p in path[1:]])
+        values, begin, count = np.unique(parent, return_index=True, return_counts=True)
+        first[values], last[values] = begin + 1, begin + 1 + count
+    order = np.argsort(point_leaf, kind="stable")
+    at = np.flatnonzero(leaf)
+    count = np.bincount(point_leaf, minlength=m)[at]
+    last[at] = m + np.cumsum(count)
+    first[at] = last[at] - count
+    return first, last, order
+
+
+def pack(t: Tree) -> bytes:
+    """The tree as one value: a header, then its arrays end to end."""
+    d = t.points.shape[1]
+    head = np.array([len(t.path), len(t.points), d], np.int64)
+    arrays = [t.n.astype(np.int64), t.radius, t.centre, t.lo, t.hi, t.leaf.astype(np.int64), t.first, t.last, t.points, t.ids.astype(np.int64), t.point_distance]
+    return b"".join(np.ascontiguousarray(x).tobytes() for x in (head, *arrays))
+
+
+def unpack(data: bytes) -> Tree:
+    m, k, d = np.frombuffer(data, np.int64, 3).tolist()
+    at = 24
+
+    def take(rows: int, columns: int, kind) -> np.ndarray:
+        nonlocal at
+        got = np.frombuffer(data, kind, rows * columns, at)
+        at += 8 * rows * columns
+        return got.reshape(rows, columns) if columns > 1 else got
 
+    i, x = np.int64, np.float64
+    n, radius, centre, lo, hi = take(m, 1, i), take(m, 1, x), take(m, d, x), take(m, d, x), take(m, d, x)
+    leaf, first, last, points, ids, away = take(m, 1, i) > 0, take(m, 1, i), take(m, 1, i), take(k, d, x), take(k, 1, i), take(k, 1, x)
+    return Tree([""] * m, n, radius, centre, lo, hi, leaf, first, last, points, ids, away)
 
-def build_tree(points: np.ndarray, f: int = 10, splitter: str = "midpoint") -> Tree:
+
+def build_tree(points: np.ndarray, f: int = 10, splitter: str = "midpoint", ids: np.ndarray | None = None) -> Tree:
     """Halve the widest dimension at its midpoint (or median, or by the two far ends) until at most f points are left.
     Points of no extent stay together however many they are."""
     nodes, leaf_of, dist = [], np.zeros(len(points), np.int64), np.zeros(len(points))
-    todo = [(np.arange(len(points)), "", -1)]
-    children: list[list[int]] = []
-    members: dict[int, np.ndarray] = {}
+    todo = deque([(np.arange(len(points)), "")])
     while todo:
-        index, path, parent = todo.pop()
+        index, path = todo.popleft()
         p = points[index]
         lo, hi, centre = p.min(axis=0), p.max(axis=0), p.mean(axis=0)
         away = np.sqrt(((p - centre) ** 2).sum(axis=1))
@@ -68,36 +122,28 @@ def build_tree(points: np.ndarray, f: int = 10, splitter: str = "midpoint") -> T
                 up = p[:, dim] > at
             is_leaf = not up.any() or up.all()
         nodes.append((path, len(index), away.max(), centre, lo, hi, -1 if is_leaf else dim, at, is_leaf))
-        children.append([])
-        if parent >= 0:
-            children[parent].append(me)
         if is_leaf:
             leaf_of[index], dist[index] = me, away
-            members[me] = index
         else:
-            todo += [(index[up], path + "1", me), (index[~up], path + "0", me)]
+            todo += [(index[~up], path + "0"), (index[up], path + "1")]
     path, n, radius, centre, lo, hi, dim, at, leaf = zip(*nodes)
-    m = len(nodes)
-    down = [members[i] + m if i in members else np.array(c) for i, c in enumerate(children)]
-    return Tree(list(path), np.array(n), np.array(radius), np.array(centre), np.array(lo), np.array(hi), np.array(dim), np.array(at), np.array(leaf), down, points, leaf_of, dist)
+    leaf = np.array(leaf)
+    first, last, order = linked(list(path), leaf, leaf_of)
+    ids = np.arange(len(points)) if ids is None else ids
+    return Tree(list(path), np.array(n), np.array(radius), np.array(centre), np.array(lo), np.array(hi), leaf, first, last, points[order], ids[order], dist[order], np.array(dim), np.array(at))
 
 
-def tree_from_rows(path: list[str], kind: np.ndarray, n: np.ndarray, radius: np.ndarray, is_leaf: list, o: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> Tree:
+def tree_from_rows(path: list[str], kind: np.ndarray, n: np.ndarray, radius: np.ndarray, is_leaf: list, o: np.ndarray, lo: np.ndarray, hi: np.ndarray, ids: np.ndarray | None = None) -> Tree:
     """A stored tree: nodes (kind 0) and points (kind 1) in any order."""
     node = np.flatnonzero(kind == 0)
-    node = node[np.argsort([path[i] for i in node], kind="stable")]
-    of = {path[i]: k for k, i in enumerate(node)}
+    node = np.array(sorted(node.tolist(), key=lambda i: (len(path[i]), path[i])), np.int64)
+    of = {path[i]: k for k, i in enumerate(node.tolist())}
     point = np.flatnonzero(kind == 1)
-    m = len(node)
-    down: list[list[int]] = [[] for _ in node]
-    for k, i in enumerate(node):
-        if path[i]:
-            parent = path[i][:-1]
-            down[of[parent]].append(k)
-    leaf = np.array([of[path[i]] for i in point], np.int64)
-    for k, l in enumerate(leaf):
-        down[l].append(m + k)
-    return Tree([path[i] for i in node], n[node], radius[node], o[node], lo[node], hi[node], np.full(m, -1), np.full(m, np.nan), np.array([bool(is_leaf[i]) for i in node]), [np.array(x, np.int64) for x in down], o[point], leaf, radius[point])
+    leaf = np.array([bool(is_leaf[i]) for i in node.tolist()])
+    paths = [path[i] for i in node.tolist()]
+    first, last, order = linked(paths, leaf, np.array([of[path[i]] for i in point.tolist()], np.int64))
+    point = point[order]
+    return Tree(paths, n[node], radius[node], o[node], lo[node], hi[node], leaf, first, last, o[point], np.arange(len(point)) if ids is None else ids[point], radius[point])
 
 
 @dataclass
@@ -112,9 +158,10 @@ def best_first(q: Tree, d: Tree, tau: float = np.inf, mode: str = "exact", eps:
     """Directed Hausdorff distance from q to d.
 
     Q parts wait by decreasing upper bound of their points' distance to D; each keeps the D parts that its
-    points may be nearest to. The head's larger side is split until the head is a point and its nearest part too
-    (exact), or both are narrower than eps (approx). D parts are ordered by the lower bound that holds for the
-    whole of D, and dropped only where the gap between the two balls (or boxes) exceeds the head's upper bound.
+    points may be nearest to. The head's larger side is split until the head is a point and its D parts are points
+    (exact), or it and its nearest part are narrower than eps (approx). D parts are ordered by the lower bound that holds
+    for the whole of D, and dropped only where the gap between the two balls (or boxes) exceeds the head's upper bound.
+    All D parts of the head that are wider than it are split in one step, and children are bounded as one block.
     """
     qb, qr, db, dr = q.balls, q.radii, d.balls, d.radii
     qn, dn = len(q.path), len(d.path)
@@ -122,54 +169,61 @@ def best_first(q: Tree, d: Tree, tau: float = np.inf, mode: str = "exact", eps:
         qlo, qhi = np.vstack((q.lo, q.points)), np.vstack((q.hi, q.points))
         dlo, dhi = np.vstack((d.lo, d.points)), np.vstack((d.hi, d.points))
     evaluations = expansions = 0
+    number = itertools.count()
+    heap: list = []
 
-    def measure(i: int, parts: np.ndarray):
-        """(upper bound, order, gap) of Q part i against D parts."""
+    def push(parts_of_q: np.ndarray, parts: np.ndarray) -> None:
+        """Bound each Q part against the D parts, all at once, and queue it with those it may be nearest to."""
         nonlocal evaluations
-        evaluations += len(parts)
+        evaluations += len(parts_of_q) * len(parts)
         if bounds == "box":
-            gap = np.sqrt((np.maximum(0, np.maximum(qlo[i] - dhi[parts], dlo[parts] - qhi[i])) ** 2).sum(axis=1))
-            reach = np.maximum(np.abs(qlo[i] - dhi[parts]), np.abs(qhi[i] - dlo[parts]))
-            return np.sqrt((reach**2).sum(axis=1)), gap, gap
-        far = np.sqrt(((db[parts] - qb[i]) ** 2).sum(axis=1))
-        r = dr[parts]
-        return np.sqrt(far * far + r * r) + qr[i], np.maximum(far - r, 0), np.maximum(far - r - qr[i], 0)
-
-    def entry(i: int, parts: np.ndarray):
-        upper, order, gap = measure(i, parts)
-        best = upper.min()
-        keep = gap <= best
-        return -best, i, parts[keep], order[keep], gap[keep], upper[keep]
-
-    heap = [entry(0, np.array([0]))]
+            a, b = qlo[parts_of_q][:, None], qhi[parts_of_q][:, None]
+            gap = np.sqrt((np.maximum(0, np.maximum(a - dhi[parts], dlo[parts] - b)) ** 2).sum(axis=2))
+            upper = np.sqrt((np.maximum(np.abs(a - dhi[parts]), np.abs(b - dlo[parts])) ** 2).sum(axis=2))
+            order = gap
+        else:
+            square = ((qb[parts_of_q][:, None] - db[parts]) ** 2).sum(axis=2)
+            far, r, own = np.sqrt(square), dr[parts], qr[parts_of_q][:, None]
+            upper, order, gap = np.sqrt(square + r * r) + own, np.maximum(far - r, 0), np.maximum(far - r - own, 0)
+        best = upper.min(axis=1)
+        keep = gap <= best[:, None]
+        for i, u, k, o, g, w in zip(parts_of_q.tolist(), best.tolist(), keep, order, gap, upper):
+            heapq.heappush(heap, (-u, next(number), i, parts[k], o[k], g[k], w[k]))
+
+    push(np.array([0]), np.array([0]))
     while True:
-        minus, i, parts, order, gap, upper = heapq.heappop(heap)
+        head = heapq.heappop(heap)
+        minus, _, i, parts, order, gap, upper = head
         if gap.min() > tau:
             return Outcome(None, evaluations, expansions, [])
         k = int(np.lexsort((-dr[parts], order))[0])
         j = int(parts[k])
         q_point, d_point = i >= qn, j >= dn
-        if q_point and d_point:
-            heapq.heappush(heap, (minus, i, parts, order, gap, upper))
-            return Outcome(-minus, evaluations, expansions, heap)
+        if q_point and (parts >= dn).all():
+            heapq.heappush(heap, head)
+            return Outcome(-minus, evaluations, expansions, [(e[0], e[2], e[3]) for e in heap])
         if mode == "approx" and qr[i] < eps and dr[j] < eps:
-            heapq.heappush(heap, (minus, i, parts, order, gap, upper))
+            heapq.heappush(heap, head)
             distance = float(np.sqrt(((db[j] - qb[i]) ** 2).sum())) if returns == "center" else -minus
-            return Outcome(distance, evaluations, expansions, heap)
+            return Outcome(distance, evaluations, expansions, [(e[0], e[2], e[3]) for e in heap])
         expansions += 1
-        if q_point or (not d_point and dr[j] > qr[i]):
-            parts = np.concatenate((np.delete(parts, k), d.below(j)))
-            heapq.heappush(heap, entry(i, parts))
+        # D parts wider than the Q part are replaced together, else the Q part is: by its children, each with all D parts.
+        wide = (parts < dn) & (q_point | (dr[parts] > qr[i]))
+        if mode == "approx":
+            wide &= (dr[parts] >= eps) | (parts == j)
+        if wide.any() and (q_point or not d_point):
+            push(np.array([i]), np.concatenate((parts[~wide], d.below_all(parts[wide]))))
+        elif q_point:
+            push(np.array([i]), np.concatenate((parts[parts >= dn], d.below_all(parts[parts < dn]))))
         else:
-            for c in q.below(i):
-                heapq.heappush(heap, entry(int(c), parts))
+            push(q.below(i), parts)
 
 
 def drain(q: Tree, d: Tree, frontier: list) -> np.ndarray:
     """For every point of q its nearest point of d, from the parts that a best-first run has left."""
     nearest = np.zeros(len(q.points), np.int64)
     qn, dn = len(q.path), len(d.path)
-    stack = [(e[1], e[2]) for e in frontier]
+    stack = [(e[1], e[2]) for e in frontier]  # (upper bound, Q part, D parts)
     below_d: dict[int, np.ndarray] = {}
 
     def points_below(tree: Tree, ball: int, n: int) -> np.ndarray:
@@ -177,7 +231,7 @@ def drain(q: Tree, d: Tree, frontier: list) -> np.ndarray:
             return np.array([ball - n])
         return np.concatenate([points_below(tree, int(c), n) for c in tree.below(ball)])
 
-    order = np.lexsort(d.points.T[::-1])
+    order = np.lexsort((d.ids, *d.points.T[::-1]))
     rank = np.empty(len(order), np.int64)
     rank[order] = np.arange(len(order))
     for ball, parts in stack:
@@ -188,6 +242,57 @@ def drain(q: Tree, d: Tree, frontier: list) -> np.ndarray:
     return nearest
 
 
+def nearest_in_tree(q: np.ndarray, d: Tree, k: int, block: int = 64) -> tuple[np.ndarray, np.ndarray, int]:
+    """(places in d.points, distances, evaluations) of the k nearest points for each point of q; ties by coordinates, then
+    id. Neighbouring points go down the tree as a ball: nodes whose gap exceeds the bound that enough points lie within go."""
+    order = np.lexsort((d.ids, *d.points.T[::-1]))
+    rank = np.empty(len(order), np.int64)
+    rank[order] = np.arange(len(order))
+    dn, k_there = len(d.path), min(k, len(d.points))
+    index, dist = np.zeros((len(q), k_there), np.int64), np.zeros((len(q), k_there))
+    evaluations = 0
+    todo = [np.arange(len(q))] if len(q) else []
+    while todo:
+        rows = todo.pop()
+        p = q[rows]
+        if len(rows) > block:
+            wide = int((p.max(axis=0) - p.min(axis=0)).argmax())
+            by = np.argsort(p[:, wide], kind="stable")
+            todo += [rows[by[: len(by) // 2]], rows[by[len(by) // 2 :]]]
+            continue
+        centre = p.mean(axis=0)
+        radius = np.sqrt(((p - centre) ** 2).sum(axis=1)).max()
+        parts = np.array([0])
+        while True:
+            far = np.sqrt(((d.centre[parts] - centre) ** 2).sum(axis=1))
+            evaluations += len(parts)
+            r = d.radius[parts]
+            by = np.argsort(far + r, kind="stable")
+            enough = np.searchsorted(np.cumsum(d.n[parts[by]]), k_there)
+            limit = (far + r)[by[min(enough, len(by) - 1)]] + radius
+            parts = parts[far - r - radius <= limit * (1 + 1e-12)]
+            inner = ~d.leaf[parts]
+            if not inner.any():
+                break
+            parts = np.concatenate((parts[~inner], d.below_all(parts[inner])))
+        points = d.below_all(parts) - dn
+        for start in range(0, len(rows), max(1, 2_000_000 // max(1, len(points)))):
+            own = rows[start : start + max(1, 2_000_000 // max(1, len(points)))]
+            square = ((q[own][:, None] - d.points[points]) ** 2).sum(axis=2)
+            evaluations += square.size
+            away = np.sqrt(square)
+            best = np.lexsort((np.broadcast_to(rank[points], away.shape), away), axis=1)[:, :k_there] if k_there > 1 else _first(away, rank[points])
+            index[own] = points[best]
+            dist[own] = np.take_along_axis(away, best, axis=1)
+    return index, dist, evaluations
+
+
+def _first(away: np.ndarray, rank: np.ndarray) -> np.ndarray:
+    """The column of the least distance of each row, of the least rank among equals."""
+    least = away.min(axis=1, keepdims=True)
+    return np.where(away == least, rank, np.iinfo(np.int64).max).argmin(axis=1)[:, None]
+
+
 def early_break(q: np.ndarray, d: np.ndarray, k: int = 1) -> tuple[np.ndarray, np.ndarray, int]:
     """(indexes, distances, coordinates looked at): scan D for each q, dimension by dimension, giving a point up
     as soon as its partial distance is beyond the k-th best so far."""

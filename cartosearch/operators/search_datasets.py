@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass, field
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -17,11 +18,13 @@ from ..model import Box
 from ..plans.waves import WavePlan
 from . import frontier
 from .index import SearchIndex
-from .kernels import Tree, best_first, build_tree, tree_from_rows
+from .kernels import Tree, best_first, build_tree, tree_from_rows, unpack
 from .outliers import remove_outliers
 from .bottom_index import build_bottom, tree_points
 
+#: Points of a query dataset that go to every task, and of all queries that go together; more are compared in another way.
 MOST_QUERY_POINTS = 100_000
+MOST_BATCH_POINTS = 1_000_000
 
 
 @dataclass(frozen=True)
@@ -38,6 +41,7 @@ class Query:
     ids: list[int]
     cells: DataFrame
     member: bool
+    tree: Tree | None = None
 
 
 @dataclass
@@ -143,14 +147,20 @@ def range_datasets(index: SearchIndex, box: Box) -> DataFrame:
 
 
 def range_datasets_batch(index: SearchIndex, queries: DataFrame, most: int = 10_000) -> DataFrame:
-    """The same for many rectangles (query_id, qlo.., qhi..): upper leaves are met first, then members are joined."""
+    """The same for many rectangles (query_id, qlo.., qhi..): upper leaves are met first, then members are joined. Up to
+    `most` rectangles are broadcast; more, and the leaves, meet in cells of the grid's first dimension that they cover."""
     d = index.d
-    if queries.limit(most + 1).count() > most:
-        raise ValueError(f"more than {most} rectangles; run them in parts")
-    q = F.broadcast(queries)
     leaves = index.upper.filter("is_leaf").select("path", *(F.col(f"{n}{i}").alias(f"u{n}{i}") for n in ("lo", "hi") for i in range(d)))
-    hit = leaves.join(q, boxes_meet(vec("ulo", d), vec("uhi", d), vec("qlo", d), vec("qhi", d))).select("path", "query_id", *vec("qlo", d), *vec("qhi", d))
-    near = hit.join(index.members, "path").join(index.roots, "dataset_id")
+    meet = boxes_meet(vec("ulo", d), vec("uhi", d), vec("qlo", d), vec("qhi", d))
+    if queries.limit(most + 1).count() <= most:
+        hit = leaves.join(F.broadcast(queries), meet)
+    else:
+        lo, width = index.spec.lo[0], index.spec.widths[0] or 1.0
+        cell = lambda c: F.greatest(F.least(F.floor((F.col(c) - lo) / width), F.lit((1 << index.spec.theta) - 1)), F.lit(0)).cast("long")
+        cover = lambda df, a, b: df.withColumn("first", cell(a)).withColumn("cell", F.explode(F.sequence(F.col("first"), cell(b))))
+        a, b = cover(leaves, "ulo0", "uhi0").withColumnRenamed("first", "a"), cover(queries, "qlo0", "qhi0").withColumnRenamed("first", "b")
+        hit = a.join(b, "cell").filter(meet & (F.col("cell") == F.greatest("a", "b")))
+    near = hit.select("path", "query_id", *vec("qlo", d), *vec("qhi", d)).join(index.members, "path").join(index.roots, "dataset_id")
     return near.filter(boxes_meet(vec("lo", d), vec("hi", d), vec("qlo", d), vec("qhi", d))).select("query_id", "dataset_id")
 
 
@@ -208,124 +218,237 @@ def kernel_frame(tree_rows: DataFrame, q: Tree, tau: float, mode: str, eps: floa
     return tree_rows.groupBy("dataset_id").applyInArrow(run, "dataset_id string, distance double, evaluations long, expansions long")
 
 
-def cut_trees(tree: DataFrame, eps: float) -> DataFrame:
-    """Trees cut at the first nodes narrower than eps, so that an approximate search reads no points below them. Such
-    a node stays as a leaf with one ball of its own: its centre at radius 0 is never reached, as the search stops there."""
-    d = dims(tree, "o")
-    small = tree.filter((F.col("kind") == 0) & (F.col("radius") < eps)).select("dataset_id", "path")
-    firsts = small.groupBy("dataset_id").agg(F.collect_set("path").alias("paths"))
-    covered = F.exists("paths", lambda p: F.startswith(F.col("path"), p) & (F.col("path") != p))
-    at = F.array_contains("paths", F.col("path"))
-    nodes = tree.join(firsts, "dataset_id", "left").withColumn("paths", F.coalesce("paths", F.array().cast("array<string>")))
-    inside = nodes.filter(~covered & ~((F.col("kind") == 1) & at)).withColumn("is_leaf", F.when((F.col("kind") == 0) & at, F.lit(True)).otherwise(F.col("is_leaf"))).drop("paths")
-    stand_in = nodes.filter((F.col("kind") == 0) & at & ~covered).select("dataset_id", F.lit(1).alias("kind"), "path", F.lit(None).cast("long").alias("point_id"), "n", F.lit(0.0).alias("radius"), F.lit(None).cast("boolean").alias("is_leaf"), "split_dim", "split_at", *vec("o", d), *vec("lo", d), *vec("hi", d))
-    return inside.unionByName(stand_in)
-
-
 def _of(trees: DataFrame, ids: list[str]) -> DataFrame:
     if len(ids) <= 500:
         return trees.filter(F.col("dataset_id").isin(ids))
     return trees.join(F.broadcast(trees.sparkSession.createDataFrame([(i,) for i in ids], "dataset_id string")), "dataset_id", "left_semi")
 
 
+def _task_query(index: SearchIndex, query: str | DataFrame, clean: bool) -> Query | None:
+    """The query with its points, or None if they are too many to go to every task."""
+    if isinstance(query, str):
+        d = index.d
+        got = index.packed.filter(F.col("dataset_id") == query).select("n", "radius", "tree", *vec("o", d), *vec("lo", d), *vec("hi", d)).first()
+        if got is None:
+            raise ValueError(f"no dataset {query}")
+        if got["n"] > MOST_QUERY_POINTS or got["tree"] is None:
+            return None
+        t = unpack(bytes(got["tree"]))
+        vector = lambda n: tuple(got[f"{n}{i}"] for i in range(d))
+        return Query(query, got["n"], vector("o"), got["radius"], vector("lo"), vector("hi"), t.points, t.ids.tolist(), _frames(index, query, clean)[1], True, t)
+    if query.limit(MOST_QUERY_POINTS + 1).count() > MOST_QUERY_POINTS:
+        return None
+    return as_query(index, query, clean)
+
+
+def _kernels(queries: list[dict], mode: str, eps: float, returns: str, k: int, slack: float):
+    """Rows of packed trees to (number of the query, dataset_id or null, distance, evaluations, expansions, kernels): of each batch the k
+    nearest datasets of each query, datasets without a packed tree, and a row of counters."""
+
+    def run(batches):
+        for b in batches:
+            if not b.num_rows:
+                continue
+            ids, trees, sizes = (b.column(b.schema.get_field_index(c)).to_pylist() for c in ("dataset_id", "tree", "n"))
+            radius = b.column(b.schema.get_field_index("radius")).to_numpy()
+            d = len(queries[0]["o"])
+            o = np.column_stack([b.column(b.schema.get_field_index(f"o{i}")).to_numpy() for i in range(d)])
+            opened: dict[int, Tree] = {}
+            out = []
+            for number, q in enumerate(queries):
+                lower = np.maximum(np.sqrt(((o - np.array(q["o"])) ** 2).sum(axis=1)) - radius, 0)
+                limit, best, evaluations, expansions, kernels = q["limit"], [], 0, 0, 0
+                for i in np.argsort(lower, kind="stable").tolist():
+                    if lower[i] > limit + slack:
+                        break
+                    if ids[i] == q["skip"]:
+                        continue
+                    if trees[i] is None or sizes[i] > q["most"]:
+                        out.append((number, ids[i], None, 0, 0, 0))
+                        continue
+                    if i not in opened:
+                        opened[i] = unpack(trees[i])
+                    got = best_first(q["tree"], opened[i], limit + slack, mode, eps, returns)
+                    evaluations, expansions, kernels = evaluations + got.evaluations, expansions + got.expansions, kernels + 1
+                    if got.distance is not None:
+                        best = sorted([*best, (got.distance, ids[i])])[:k]
+                        if len(best) == k:
+                            limit = min(limit, best[-1][0])
+                out += [(number, i, v, 0, 0, 0) for v, i in best]
+                out.append((number, None, None, evaluations, expansions, kernels))
+            kinds = (pa.int32(), pa.string(), pa.float64(), pa.int64(), pa.int64(), pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), kinds)], names=["q", "dataset_id", "distance", "evaluations", "expansions", "kernels"])
+
+    return run
+
+
+def topk_hausdorff_many(index: SearchIndex, queries: list[Query], k: int = 10, mode: str = "exact", eps: float | None = None, exclude_self: bool = True, returns: str = "center", wave: int | None = None) -> list[Run]:
+    """The k datasets of smallest directed Hausdorff distance from each query, all queries in the same waves.
+
+    The upper tree's nodes are bounded on the driver: a node of enough datasets gives a first limit, and nodes beyond the
+    limit are never read. A wave reads the packed trees below the nearest open nodes of each query; a task takes its
+    datasets by increasing lower bound and tightens the limit as it goes. Waves grow until no open node is within the k-th distance.
+    """
+    d, top = index.d, index.top
+    slack = 2 * (eps if eps is not None else index.spec.epsilon()) if mode == "approx" else 0.0
+    eps = index.spec.epsilon() if eps is None else eps
+    size = wave or max(4 * k, 4 * index.spark.sparkContext.defaultParallelism)
+    most = MOST_QUERY_POINTS
+    state = []
+    for q in queries:
+        far = np.sqrt(((top["o"] - np.array(q.o)) ** 2).sum(axis=1))
+        lower, upper = np.maximum(far - top["radius"], 0), far + top["radius"] + q.radius
+        need = k + (1 if q.member and exclude_self else 0)
+        by = np.argsort(upper, kind="stable")
+        enough = int(np.searchsorted(np.cumsum(top["n"][by]), need))
+        limit = float(upper[by[enough]]) * (1 + 1e-12) if enough < len(by) else float("inf")
+        state.append({"limit": limit, "lower": lower, "order": np.argsort(lower, kind="stable"), "at": 0, "found": [], "metrics": {"evaluations": 0, "expansions": 0, "kernels": 0, "rounds": 0, "nodes_visited": 0}})
+    while True:
+        wanted: dict[str, None] = {}
+        active = []
+        for number, x in enumerate(state):
+            seen, begin = 0, x["at"]
+            while x["at"] < len(x["order"]) and seen < size and x["lower"][x["order"][x["at"]]] <= x["limit"] + slack:
+                node = x["order"][x["at"]]
+                wanted[top["path"][node]] = None
+                seen += int(top["n"][node])
+                x["at"] += 1
+            if x["at"] > begin:
+                active.append((number, set(top["path"][x["order"][begin : x["at"]]].tolist())))
+                x["metrics"]["rounds"] += 1
+                x["metrics"]["nodes_visited"] += x["at"] - begin
+        if not active:
+            break
+        for (number, datasets), rows in _wave(index, [(n, p, queries[n], state[n]["limit"]) for n, p in active], list(wanted), mode, eps, returns, k, slack, exclude_self, most).items():
+            x = state[number]
+            for key in ("evaluations", "expansions", "kernels"):
+                x["metrics"][key] += rows[key]
+            found = x["found"] + rows["best"]
+            if rows["large"]:
+                found += _beyond(index, queries[number], rows["large"], x["limit"] + slack)
+            x["found"] = sorted(found)[:k]
+            if len(x["found"]) == k:
+                x["limit"] = min(x["limit"], x["found"][-1][0])
+        size *= 4
+    return [Run(x["found"], x["metrics"]) for x in state]
+
+
+def _wave(index: SearchIndex, active: list, paths: list[str], mode: str, eps: float, returns: str, k: int, slack: float, exclude_self: bool, most: int) -> dict:
+    """{(query, None): its k best, its large datasets and counters} over the datasets below the nodes."""
+    d = index.d
+    at = F.col("path") if index.cut is None else F.substring("path", 1, index.cut)
+    rows = index.packed.select(at.alias("path"), "dataset_id", "n", "radius", "tree", *vec("o", d))
+    if len(paths) <= 200:
+        rows = rows.filter(F.col("path").isin(paths))
+    elif len(paths) < len(index.top["path"]):
+        rows = rows.join(F.broadcast(index.spark.createDataFrame([(p,) for p in paths], "path string")), "path", "left_semi")
+    shared = [{"o": q.o, "limit": limit, "skip": q.id if q.member and exclude_self else None, "most": most, "tree": q.tree or build_tree(q.points, index.f)} for _, _, q, limit in active]
+    near = [ball_lower(constants(q.o), vec("o", d), F.col("radius")) <= F.lit(limit + slack) for _, _, q, limit in active]
+    if len(near) <= 20:
+        rows = rows.filter(reduce(lambda a, b: a | b, near))
+    got = rows.drop("path").mapInArrow(_kernels(shared, mode, eps, returns, k, slack), "q int, dataset_id string, distance double, evaluations long, expansions long, kernels long").collect()
+    out = {(n, None): {"best": [], "large": [], "evaluations": 0, "expansions": 0, "kernels": 0} for n, _, _, _ in active}
+    for r in got:
+        x = out[(active[r["q"]][0], None)]
+        if r["dataset_id"] is None:
+            for key in ("evaluations", "expansions", "kernels"):
+                x[key] += r[key]
+        elif r["distance"] is None:
+            x["large"].append(r["dataset_id"])
+        else:
+            x["best"].append((r["distance"], r["dataset_id"]))
+    # A dataset below a node of another query's wave may come twice.
+    for x in out.values():
+        x["best"], x["large"] = sorted(set(x["best"])), sorted(set(x["large"]))
+    return out
+
+
+def _beyond(index: SearchIndex, q: Query, large: list[str], limit: float) -> list[tuple[float, str]]:
+    """Distances to datasets of more points than a task takes."""
+    q_tree = checkpointed(index.tree.filter(F.col("dataset_id") == q.id) if q.member else build_bottom(_points_frame(index, q), index.f))
+    got = frontier.hausdorff(q_tree, _of(index.tree, large), None if limit == float("inf") else limit).collect()
+    return [(x["distance"], x["dataset_id"]) for x in got]
+
+
+def _points_frame(index: SearchIndex, q: Query) -> DataFrame:
+    return index.spark.createDataFrame([(q.id, int(i), *map(float, p)) for i, p in zip(q.ids, q.points)], "dataset_id string, point_id long, " + ", ".join(f"c{i} double" for i in range(index.d)))
+
+
 def topk_hausdorff(index: SearchIndex, query: str | DataFrame, k: int = 10, mode: str = "exact", eps: float | None = None, exclude_self: bool = True, returns: str = "center", wave: int | None = None, clean_query: bool = True) -> Run:
-    """The k datasets of smallest directed Hausdorff distance from the query.
+    """The k datasets of smallest directed Hausdorff distance from the query, exactly or to 2 eps.
 
-    Balls of the upper leaves and roots leave the candidates; they are searched exactly (or to 2 eps) in waves of growing
-    size by increasing lower bound, until the next lower bound exceeds the k-th distance. A query or a candidate of more
-    than MOST_QUERY_POINTS points is compared through the frontier, exactly in either mode and without counters.
+    A query or a candidate of more than MOST_QUERY_POINTS points is compared through the frontier, exactly in either
+    mode and without counters.
     """
     if k < 1:
         raise ValueError("k must be at least 1")
     if mode not in ("exact", "approx"):
         raise ValueError("mode is exact or approx")
+    q = _task_query(index, query, clean_query)
+    if q is not None:
+        return topk_hausdorff_many(index, [q], k, mode, eps, exclude_self, returns, wave)[0]
+    return _large_query(index, as_outline(index, query, clean_query), query, k, exclude_self, wave)
+
+
+def _large_query(index: SearchIndex, whole: Outline, query: str | DataFrame, k: int, exclude_self: bool, wave: int | None) -> Run:
+    """The search for a query that no task takes: candidates by increasing lower bound, each wave through the frontier."""
     d = index.d
-    whole = as_outline(index, query, clean_query)
-    if whole.n > MOST_QUERY_POINTS:
-        q, (centre, radius) = whole, _ball(whole, d)
-    else:
-        q = as_query(index, query, clean_query)
-        centre, radius = q.o, q.radius
+    centre, radius = _ball(whole, d)
     o, r = constants(centre), F.lit(radius)
-    slack = 2 * (eps if eps is not None else index.spec.epsilon()) if mode == "approx" else 0.0
-    eps = index.spec.epsilon() if eps is None else eps
-    bounds = _others(index.roots, q, exclude_self).select("dataset_id", ball_lower(o, vec("o", d), F.col("radius")).alias("lower"), ball_upper(o, r, vec("o", d), F.col("radius")).alias("upper"))
+    bounds = _others(index.roots, whole, exclude_self).select("dataset_id", ball_lower(o, vec("o", d), F.col("radius")).alias("lower"), ball_upper(o, r, vec("o", d), F.col("radius")).alias("upper"))
     first = [x["upper"] for x in bounds.orderBy("upper").limit(k).collect()]
     tau = first[-1] * (1 + 1e-12) if len(first) == k else float("inf")
-    near = index.members.join(index.upper.filter(F.col("is_leaf") & (ball_lower(o, vec("o", d), F.col("radius")) <= tau)).select("path"), "path", "left_semi").select("dataset_id")
-    open_ = bounds.filter(F.col("lower") <= tau).join(near, "dataset_id", "left_semi")
-    trees = cut_trees(index.tree, eps) if mode == "approx" else index.tree
-    tree = None if q is whole else build_tree(q.points, index.f)
-    giants = {x["dataset_id"] for x in index.roots.filter(F.col("n") > MOST_QUERY_POINTS).select("dataset_id").collect()}
-    q_tree = None
-    size = wave or max(4 * k, 4 * index.spark.sparkContext.defaultParallelism)
-    found: list[tuple[float, str]] = []
-    metrics = {"evaluations": 0, "expansions": 0, "kernels": 0, "rounds": 0}
-    last: tuple[float, str] | None = None
+    q_tree = checkpointed(index.tree.filter(F.col("dataset_id") == query) if whole.member else build_bottom(whole.points, index.f))
+    size, found, last, rounds = wave or max(4 * k, 4 * index.spark.sparkContext.defaultParallelism), [], None, 0
     while True:
         limit = found[k - 1][0] if len(found) >= k else tau
-        # With an error of up to 2 eps on either side, a dataset is out only if its bound is beyond both.
-        rest = open_.filter(F.col("lower") <= limit + slack)
+        rest = bounds.filter(F.col("lower") <= limit)
         if last is not None:
             rest = rest.filter((F.col("lower") > last[0]) | ((F.col("lower") == last[0]) & (F.col("dataset_id") > last[1])))
         now = rest.orderBy("lower", "dataset_id").limit(size).select("dataset_id", "lower").collect()
         if not now:
-            break
-        last = (now[-1]["lower"], now[-1]["dataset_id"])
-        ids = [x["dataset_id"] for x in now]
-        large = ids if tree is None else [i for i in ids if i in giants]
-        small = [i for i in ids if tree is not None and i not in giants]
-        got = []
-        if small:
-            got = kernel_frame(_of(trees, small), tree, limit + slack, mode, eps, returns).collect()
-        if large:
-            if q_tree is None:
-                q_tree = checkpointed(index.tree.filter(F.col("dataset_id") == query) if whole.member else build_bottom(whole.points, index.f))
-            far = frontier.hausdorff(q_tree, _of(index.tree, large), None if limit == float("inf") else limit + slack).collect()
-            found += [(x["distance"], x["dataset_id"]) for x in far]
-        metrics["rounds"] += 1
-        metrics["kernels"] += len(got)
-        metrics["evaluations"] += sum(x["evaluations"] for x in got)
-        metrics["expansions"] += sum(x["expansions"] for x in got)
-        found = sorted(found + [(x["distance"], x["dataset_id"]) for x in got if x["distance"] is not None])[:k]
-        if len(now) < size:
-            break
+            return Run(found, {"rounds": rounds, "evaluations": 0, "expansions": 0, "kernels": 0})
+        rounds, last = rounds + 1, (now[-1]["lower"], now[-1]["dataset_id"])
+        far = frontier.hausdorff(q_tree, _of(index.tree, [x["dataset_id"] for x in now]), None if limit == float("inf") else limit).collect()
+        found = sorted(found + [(x["distance"], x["dataset_id"]) for x in far])[:k]
         size *= 2
-    return Run(found, metrics)
 
 
 def hausdorff_pair(index: SearchIndex, q_id: str, d_id: str, mode: str = "exact", eps: float | None = None, returns: str = "center", bounds: str = "ball") -> Run:
-    """The distance from one member to another, with the kernel's counters."""
-    q = as_query(index, q_id)
+    """The distance from one member to another, with the kernel's counters; beyond the points of a task through the frontier."""
     eps = index.spec.epsilon() if eps is None else eps
-    tree = build_tree(q.points, index.f)
-    got = kernel_frame(index.tree.filter(F.col("dataset_id") == d_id), tree, float("inf"), mode, eps, returns, bounds).collect()
-    if not got:
-        raise ValueError(f"no dataset {d_id}")
-    return Run([(got[0]["distance"], d_id)], {"evaluations": got[0]["evaluations"], "expansions": got[0]["expansions"]})
+    got = {r["dataset_id"]: r for r in index.packed.filter(F.col("dataset_id").isin([q_id, d_id])).select("dataset_id", "n", "tree").collect()}
+    if set(got) != {q_id, d_id}:
+        raise ValueError(f"no dataset {({q_id, d_id} - set(got)).pop()}")
+    if any(r["tree"] is None or r["n"] > MOST_QUERY_POINTS for r in got.values()):
+        far = frontier.hausdorff(*(index.tree.filter(F.col("dataset_id") == i) for i in (q_id, d_id))).first()
+        return Run([(far["distance"], d_id)], {"evaluations": 0, "expansions": 0})
+    x = best_first(unpack(bytes(got[q_id]["tree"])), unpack(bytes(got[d_id]["tree"])), float("inf"), mode, eps, returns, bounds)
+    return Run([(x.distance, d_id)], {"evaluations": x.evaluations, "expansions": x.expansions})
 
 
 def symmetric_topk(index: SearchIndex, query: str, k: int = 10) -> Run:
     """By the larger of both directions: the query's direction bounds from below, so its order drives the search."""
-    whole = as_outline(index, query)
-    n = index.roots.count()
-    tree, want = None if whole.n > MOST_QUERY_POINTS else build_tree(as_query(index, query).points, index.f), k
-    giants = {x["dataset_id"] for x in index.roots.filter(F.col("n") > MOST_QUERY_POINTS).select("dataset_id").collect()}
+    q = _task_query(index, query, True)
+    n, want = index.roots.count(), k
+
     while True:
         there = topk_hausdorff(index, query, min(want, n))
         ids = [i for _, i in there.rows]
-        d = index.d
-
-        def back(table: pa.Table) -> pa.Table:
-            get = lambda x: np.column_stack([table.column(f"{x}{i}").to_numpy(zero_copy_only=False) for i in range(d)])
-            t = tree_from_rows(table.column("path").to_pylist(), table.column("kind").to_numpy(), table.column("n").to_numpy(), table.column("radius").to_numpy(), table.column("is_leaf").to_pylist(), get("o"), get("lo"), get("hi"))
-            return pa.table({"dataset_id": table.column("dataset_id")[:1], "distance": pa.array([best_first(t, tree).distance], pa.float64())})
-
-        large = ids if tree is None else [i for i in ids if i in giants]
-        small = [i for i in ids if i not in large]
-        rows = {i: frontier.hausdorff(index.tree.filter(F.col("dataset_id") == i), index.tree.filter(F.col("dataset_id") == query)).first()["distance"] for i in large}
-        if small:
-            rows |= {r["dataset_id"]: r["distance"] for r in index.tree.filter(F.col("dataset_id").isin(small)).groupBy("dataset_id").applyInArrow(back, "dataset_id string, distance double").collect()}
+        rows: dict[str, float] = {}
+        if q is not None:
+            shared = q.tree
+
+            def back(batches):
+                for b in batches:
+                    out = [(i, best_first(unpack(t), shared).distance) for i, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist())]
+                    yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in out], pa.string()), pa.array([v for _, v in out], pa.float64())], names=["dataset_id", "distance"])
+
+            small = _of(index.packed, ids).filter((F.col("n") <= MOST_QUERY_POINTS) & F.col("tree").isNotNull())
+            rows = {r["dataset_id"]: r["distance"] for r in small.select("dataset_id", "tree").mapInArrow(back, "dataset_id string, distance double").collect()}
+        for i in ids:
+            if i not in rows:
+                rows[i] = frontier.hausdorff(index.tree.filter(F.col("dataset_id") == i), index.tree.filter(F.col("dataset_id") == query)).first()["distance"]
         both = sorted((max(v, rows[i]), i) for v, i in there.rows)[:k]
         if len(there.rows) < want or both[-1][0] < there.rows[-1][0]:
             return Run(both, there.metrics | {"candidates": len(ids)})
@@ -389,14 +512,39 @@ def gbo_batch(index: SearchIndex, query_ids: list[str], k: int = 10) -> DataFram
     return _best_per_query(scored, k)
 
 
+def hausdorff_batch(index: SearchIndex, query_ids: list[str], k: int = 10, mode: str = "exact", eps: float | None = None) -> dict[str, Run]:
+    """Runs of many members, in waves that all queries share; as many go together as have MOST_BATCH_POINTS points."""
+    d, out = index.d, {}
+    rows = _of(index.packed, query_ids).select("dataset_id", "n", "radius", "tree", *vec("o", d), *vec("lo", d), *vec("hi", d))
+    sizes = {r["dataset_id"]: r["n"] for r in rows.select("dataset_id", "n").collect()}
+    parts: list[list[str]] = [[]]
+    for i in query_ids:
+        if i not in sizes:
+            raise ValueError(f"no dataset {i}")
+        if sizes[i] > MOST_QUERY_POINTS:
+            out[i] = topk_hausdorff(index, i, k, mode, eps)
+            continue
+        if parts[-1] and sum(sizes[x] for x in parts[-1]) + sizes[i] > MOST_BATCH_POINTS:
+            parts.append([])
+        parts[-1].append(i)
+    for part in filter(None, parts):
+        queries = []
+        for r in rows.filter(F.col("dataset_id").isin(part)).collect():
+            t = unpack(bytes(r["tree"]))
+            vector = lambda n: tuple(r[f"{n}{i}"] for i in range(d))  # noqa: B023, E731
+            queries.append(Query(r["dataset_id"], r["n"], vector("o"), r["radius"], vector("lo"), vector("hi"), t.points, t.ids.tolist(), index.cells, True, t))
+        out |= {q.id: run for q, run in zip(queries, topk_hausdorff_many(index, queries, k, mode, eps))}
+    return out
+
+
 def exemplar_batch(index: SearchIndex, query_ids: list[str], k: int = 10, measure: str = "hausdorff", **options) -> DataFrame:
-    """query_id, rank, dataset_id and score of many members: overlaps in one plan, Hausdorff query by query on one index."""
+    """query_id, rank, dataset_id and score of many members, each measure in one plan or in waves shared by all."""
     if measure == "ia":
         return ia_batch(index, query_ids, k)
     if measure == "gbo":
         return gbo_batch(index, query_ids, k)
-    mode = "approx" if measure == "approx" else "exact"
-    rows = [(q, i + 1, ds, float(v)) for q in query_ids for i, (v, ds) in enumerate(topk_hausdorff(index, q, k, mode=mode, **options).rows)]
+    runs = hausdorff_batch(index, query_ids, k, "approx" if measure == "approx" else "exact", **options)
+    rows = [(q, i + 1, ds, float(v)) for q in query_ids for i, (v, ds) in enumerate(runs[q].rows)]
     return index.spark.createDataFrame(rows, "query_id string, rank int, dataset_id string, score double")
 
 
@@ -416,32 +564,46 @@ def compare_measures(index: SearchIndex, query: str, k: int = 5) -> DataFrame:
 
 
 def similar_pairs(index: SearchIndex, t: float, width: float | None = None) -> DataFrame:
-    """Ordered pairs (q, d) of directed Hausdorff distance up to t. Roots meet through grid cells of their centres (of
-    width t plus the largest radius), balls prune, and each remaining pair is one kernel."""
+    """Ordered pairs (q, d) of directed Hausdorff distance up to t.
+
+    Every point of Q needs a point of D within t, so Q's centre lies within t of D's ball. Roots are dealt by the power of
+    two of their radius: a D meets the Q of any size whose centre lies in a cell of width t + its own radius beside its own,
+    so one wide dataset widens no other's cells. Balls prune, and what is left is one kernel per pair, or the frontier for large ones.
+    """
     d = index.d
-    reach = index.roots.agg(F.max("radius")).first()[0] or 0.0
-    width = width or max(t + reach, 1e-9)
-    at = index.roots.withColumns({f"g{i}": F.floor(F.col(f"o{i}") / width) for i in range(d)})
-    near = at
-    for i in range(d):  # a centre within t + radius lies in this cell or one beside it
+    # The least power of two that holds t + radius, or the given width where that is wider.
+    level = F.greatest(F.ceil(F.log2(F.greatest(F.lit(t) + F.col("radius"), F.lit(max(width or 0.0, 1e-9))))), F.lit(-60)).cast("int")
+    at = index.roots.withColumn("level", level)
+    levels = [r[0] for r in at.select("level").distinct().collect()]
+    cells = lambda df, o: df.withColumns({f"g{i}": F.floor(F.col(f"{o}{i}") / F.pow(F.lit(2.0), F.col("level"))) for i in range(d)})
+    near = cells(at, "o")
+    for i in range(d):
         near = near.withColumn(f"g{i}", F.explode(F.array(F.col(f"g{i}") - 1, F.col(f"g{i}"), F.col(f"g{i}") + 1)))
-    left = at.select(F.col("dataset_id").alias("q_id"), *(F.col(f"g{i}") for i in range(d)), *(F.col(f"o{i}").alias(f"q{i}") for i in range(d)))
-    pairs = left.join(near.select("dataset_id", "radius", *vec("g", d), *vec("o", d)), [f"g{i}" for i in range(d)]).filter("q_id != dataset_id").filter(ball_lower(vec("q", d), vec("o", d), F.col("radius")) <= t).select("q_id", "dataset_id")
-    qs = index.tree.select(F.col("dataset_id").alias("q_id"), "kind", "path", "n", "radius", "is_leaf", *vec("o", d), *vec("lo", d), *vec("hi", d))
-    a = pairs.join(qs, "q_id").withColumn("side", F.lit(0))
-    b = pairs.join(qs.withColumnRenamed("q_id", "dataset_id"), "dataset_id").withColumn("side", F.lit(1))
-
-    def run(table: pa.Table) -> pa.Table:
-        get = lambda x: np.column_stack([table.column(f"{x}{i}").to_numpy(zero_copy_only=False) for i in range(d)])
-        side, kind = table.column("side").to_numpy(), table.column("kind").to_numpy()
-        path, leaf = table.column("path").to_pylist(), table.column("is_leaf").to_pylist()
-        o, lo, hi, n, r = get("o"), get("lo"), get("hi"), table.column("n").to_numpy(), table.column("radius").to_numpy()
-        trees = []
-        for s in (0, 1):
-            at = np.flatnonzero(side == s)
-            trees.append(tree_from_rows([path[i] for i in at], kind[at], n[at], r[at], [leaf[i] for i in at], o[at], lo[at], hi[at]))
-        got = best_first(*trees, t)
-        keep = int(got.distance is not None and got.distance <= t)
-        return pa.table({"q_id": table.column("q_id")[:keep], "dataset_id": table.column("dataset_id")[:keep], "distance": pa.array([got.distance][:keep], pa.float64())})
-
-    return a.unionByName(b).groupBy("q_id", "dataset_id").applyInArrow(run, "q_id string, dataset_id string, distance double")
+    left = index.roots.select(F.col("dataset_id").alias("q_id"), F.explode(F.array(*map(F.lit, levels or [0]))).alias("level"), *(F.col(f"o{i}").alias(f"q{i}") for i in range(d)))
+    keys = ["level", *(f"g{i}" for i in range(d))]
+    pairs = cells(left, "q").join(near.select("dataset_id", "radius", *keys, *vec("o", d)), keys).filter("q_id != dataset_id").filter(ball_lower(vec("q", d), vec("o", d), F.col("radius")) <= t).select("q_id", "dataset_id")
+    packed = index.packed.select("dataset_id", "n", "tree", *vec("lo", d), *vec("hi", d))
+    small = packed.filter((F.col("n") <= MOST_QUERY_POINTS) & F.col("tree").isNotNull())
+    q_side = small.select(F.col("dataset_id").alias("q_id"), F.col("tree").alias("q_tree"))
+    met = pairs.join(q_side, "q_id").join(small.select("dataset_id", "tree"), "dataset_id").select("q_id", "dataset_id", "q_tree", "tree")
+
+    def run(batches):
+        for b in batches:
+            out, opened = [], {}
+            for q_id, d_id, q, x in zip(*(b.column(i).to_pylist() for i in range(4))):
+                if q_id not in opened:
+                    opened = {q_id: unpack(q)}
+                got = best_first(opened[q_id], unpack(x), t)
+                if got.distance is not None and got.distance <= t:
+                    out.append((q_id, d_id, got.distance))
+            cols = list(zip(*out)) or [()] * 3
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, (pa.string(), pa.string(), pa.float64()))], names=["q_id", "dataset_id", "distance"])
+
+    out = met.mapInArrow(run, "q_id string, dataset_id string, distance double")
+    giants = [r[0] for r in packed.filter((F.col("n") > MOST_QUERY_POINTS) | F.col("tree").isNull()).select("dataset_id").collect()]
+    if giants:
+        large = pairs.filter(F.col("q_id").isin(giants) | F.col("dataset_id").isin(giants)).groupBy("q_id").agg(F.collect_list("dataset_id").alias("ids")).collect()
+        for r in large:
+            far = frontier.hausdorff(index.tree.filter(F.col("dataset_id") == r["q_id"]), _of(index.tree, r["ids"]), t).filter(F.col("distance") <= t)
+            out = out.unionByName(far.select(F.lit(r["q_id"]).alias("q_id"), "dataset_id", "distance"))
+    return out

@@ -2,16 +2,19 @@
 
 from __future__ import annotations
 
+import heapq
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..checkpoints import checkpointed
 from ..functions.geometry import ball_gap, ball_upper, box_holds, boxes_meet, constants, euclid, point_inside, vec
 from ..model import Box
 from .bottom_index import build_bottom
-from .index import SearchIndex
-from .kernels import best_first, build_tree, drain, early_break, tree_from_rows
+from .index import MOST_TASK_POINTS, SearchIndex
+from .kernels import best_first, build_tree, drain, early_break, nearest_in_tree, unpack
 
 
 def range_points(index: SearchIndex, box: Box, datasets: str | list[str] | DataFrame) -> DataFrame:
@@ -33,35 +36,51 @@ def _query_tree(index: SearchIndex, query: str | DataFrame) -> DataFrame:
     return index.tree.filter(F.col("dataset_id") == query) if isinstance(query, str) else build_bottom(query, index.f)
 
 
-def nearest_points(index: SearchIndex, query: str | DataFrame, dataset_id: str, k: int = 1, strategy: str = "leaf_join") -> DataFrame:
+def nearest_points(index: SearchIndex, query: str | DataFrame, dataset_id: str, k: int = 1, strategy: str = "packed") -> DataFrame:
     """q_point_id, rank, d_point_id, distance: the k nearest points of a dataset for every query point, ties by coordinates,
-    then id. leaf_join is a plan of joins; per_point searches the dataset's tree point by point; from_hausdorff (k = 1)
-    goes on from where the Hausdorff search of the pair stopped."""
+    then id. packed takes neighbouring query points down the dataset's tree together; leaf_join is a plan of joins, level by
+    level; per_point searches the tree point by point; from_hausdorff (k = 1) goes on from where the Hausdorff search of the pair
+    stopped; early_break scans. A dataset of more points than a task takes goes through leaf_join whatever the strategy."""
     if k < 1:
         raise ValueError("k must be at least 1")
-    if strategy == "leaf_join":
-        return _leaf_join(index, _query_tree(index, query), dataset_id, k)
-    if strategy in ("per_point", "from_hausdorff", "early_break"):
-        return _kernel_join(index, _query_tree(index, query), dataset_id, k, strategy)
-    raise ValueError(f"no strategy {strategy}")
-
-
-def _leaf_join(index: SearchIndex, q_tree: DataFrame, dataset_id: str, k: int) -> DataFrame:
+    if strategy not in ("packed", "leaf_join", "per_point", "from_hausdorff", "early_break"):
+        raise ValueError(f"no strategy {strategy}")
+    if strategy == "from_hausdorff" and k != 1:
+        raise ValueError("the Hausdorff frontier knows one nearest point per query point")
+    if strategy != "leaf_join":
+        got = index.packed.filter(F.col("dataset_id") == dataset_id).select("n", "tree").first()
+        if got is None:
+            raise ValueError(f"no dataset {dataset_id}")
+        if got["tree"] is not None and got["n"] <= MOST_TASK_POINTS:
+            return _kernel_join(index, query, bytes(got["tree"]), k, strategy)
+    return _leaf_join(index, _query_tree(index, query), dataset_id, k)
+
+
+def _leaf_join(index: SearchIndex, q_tree: DataFrame, dataset_id: str, k: int, most_rounds: int = 70) -> DataFrame:
+    """Leaves of the query start at the root of the dataset's tree; each round bounds their open nodes, drops those beyond
+    reach and replaces the others by their children, which are joined on their parent's path."""
     d = index.d
     d_tree = index.tree.filter(F.col("dataset_id") == dataset_id)
-    leaf = lambda t, x: t.filter("kind = 0 AND is_leaf").select(F.col("path").alias(f"{x}_path"), F.col("n").alias(f"{x}_n"), F.col("radius").alias(f"{x}_r"), *(F.col(f"o{i}").alias(f"{x}o{i}") for i in range(d)))
-    pairs = leaf(q_tree, "a").join(F.broadcast(leaf(d_tree, "b")))
+    nodes = checkpointed(d_tree.filter("kind = 0").select(F.col("path").alias("b_path"), F.expr("CASE WHEN path = '' THEN NULL ELSE substring(path, 1, length(path) - 1) END").alias("parent"), F.col("n").alias("b_n"), F.col("radius").alias("b_r"), F.col("is_leaf").alias("b_leaf"), *(F.col(f"o{i}").alias(f"bo{i}") for i in range(d))))
+    leaves = q_tree.filter("kind = 0 AND is_leaf").select(F.col("path").alias("a_path"), F.col("radius").alias("a_r"), *(F.col(f"o{i}").alias(f"ao{i}") for i in range(d)))
     a, b = vec("ao", d), vec("bo", d)
-    # A leaf of D is within reach of a leaf of Q unless enough other leaves are sure to hold k nearer points.
-    if k == 1:
-        upper = F.min(ball_upper(a, F.col("a_r"), b, F.col("b_r"))).over(Window.partitionBy("a_path"))
-    else:
-        far = euclid(a, b) + F.col("a_r") + F.col("b_r")
-        pairs = pairs.withColumn("far", far)
-        seen = F.sum("b_n").over(Window.partitionBy("a_path").orderBy("far", "b_path").rowsBetween(Window.unboundedPreceding, 0))
-        pairs = pairs.withColumn("seen", seen)
-        upper = F.coalesce(F.min(F.when(F.col("seen") >= k, F.col("far"))).over(Window.partitionBy("a_path")), F.lit(float("inf")))
-    near = pairs.withColumn("u", upper).filter(ball_gap(a, F.col("a_r"), b, F.col("b_r")) <= F.col("u") * (1 + 1e-12)).select("a_path", "b_path")
+    own, other = ["a_path", "a_r", *(f"ao{i}" for i in range(d))], ["b_path", "b_n", "b_r", "b_leaf", *(f"bo{i}" for i in range(d))]
+    # The root is one row.
+    pairs = leaves.join(F.broadcast(nodes.filter("parent IS NULL").drop("parent").limit(1)))
+    for _ in range(most_rounds):
+        # A node is within reach of a leaf unless others are sure to hold k nearer points.
+        if k == 1:
+            upper = F.min(ball_upper(a, F.col("a_r"), b, F.col("b_r"))).over(Window.partitionBy("a_path"))
+        else:
+            pairs = pairs.withColumn("far", euclid(a, b) + F.col("a_r") + F.col("b_r"))
+            pairs = pairs.withColumn("seen", F.sum("b_n").over(Window.partitionBy("a_path").orderBy("far", "b_path").rowsBetween(Window.unboundedPreceding, 0)))
+            upper = F.coalesce(F.min(F.when(F.col("seen") >= k, F.col("far"))).over(Window.partitionBy("a_path")), F.lit(float("inf")))
+        pairs = checkpointed(pairs.withColumn("u", upper).filter(ball_gap(a, F.col("a_r"), b, F.col("b_r")) <= F.col("u") * (1 + 1e-12)).select(*own, *other))
+        inner = pairs.filter("NOT b_leaf")
+        if not inner.limit(1).count():
+            break
+        pairs = pairs.filter("b_leaf").unionByName(inner.select(*own, F.col("b_path").alias("parent")).join(nodes, "parent").select(*own, *other))
+    near = pairs.select("a_path", "b_path")
     qs = q_tree.filter("kind = 1").select(F.col("path").alias("a_path"), F.col("point_id").alias("q_point_id"), *(F.col(f"o{i}").alias(f"q{i}") for i in range(d)))
     ds = d_tree.filter("kind = 1").select(F.col("path").alias("b_path"), F.col("point_id").alias("d_point_id"), *(F.col(f"o{i}").alias(f"c{i}") for i in range(d)))
     joined = qs.join(near, "a_path").join(ds, "b_path").withColumn("distance", euclid(vec("q", d), vec("c", d)))
@@ -69,32 +88,21 @@ def _leaf_join(index: SearchIndex, q_tree: DataFrame, dataset_id: str, k: int) -
     return joined.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("q_point_id", "rank", "d_point_id", "distance")
 
 
-def _kernel_join(index: SearchIndex, q_tree: DataFrame, dataset_id: str, k: int, strategy: str) -> DataFrame:
-    """One task per part of the query: the dataset's rows go to each, so it has to fit in a task."""
+def _kernel_join(index: SearchIndex, query: str | DataFrame, data: bytes, k: int, strategy: str) -> DataFrame:
+    """The dataset's packed tree, of bounded size, goes to every task with query points; these are read where they lie."""
     d = index.d
-    if strategy == "from_hausdorff" and k != 1:
-        raise ValueError("the Hausdorff frontier knows one nearest point per query point")
-    rows = index.tree.filter(F.col("dataset_id") == dataset_id)
-    table = rows.limit(2_000_001).toArrow()
-    if table.num_rows > 2_000_000:
-        raise ValueError("the dataset is too large for this strategy; use leaf_join")
-    get = lambda t, n: np.column_stack([t.column(f"{n}{i}").to_numpy() for i in range(d)])
-    kind = table.column("kind").to_numpy()
-    tree = tree_from_rows(table.column("path").to_pylist(), kind, table.column("n").to_numpy(), table.column("radius").to_numpy(), table.column("is_leaf").to_pylist(), get(table, "o"), get(table, "lo"), get(table, "hi"))
-    ids = table.column("point_id").to_numpy()[kind == 1].astype(np.int64)
-    order = np.lexsort((ids, *tree.points.T[::-1]))
-    rank = np.empty(len(order), np.int64)
-    rank[order] = np.arange(len(order))
-
-    def nearest(p: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    if isinstance(query, str):
+        rows = index.tree.filter((F.col("dataset_id") == query) & (F.col("kind") == 1)).select("point_id", *vec("o", d))
+    else:
+        rows = query.select("point_id", *(F.col(f"c{i}").alias(f"o{i}") for i in range(d)))
+
+    def nearest(tree, p: np.ndarray, rank: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Down the tree for one point: nodes by gap, leaves in blocks."""
         dn = len(tree.path)
-        best = np.zeros(0, np.int64)
-        best_far = np.zeros(0)
+        best, best_far = np.zeros(0, np.int64), np.zeros(0)
         todo = [(0.0, 0)]
         while todo:
-            todo.sort(reverse=True)
-            gap, node = todo.pop()
+            gap, node = heapq.heappop(todo)
             if len(best) >= k and gap > best_far[k - 1]:
                 break
             down = tree.below(node)
@@ -105,31 +113,38 @@ def _kernel_join(index: SearchIndex, q_tree: DataFrame, dataset_id: str, k: int,
                 best, best_far = c[o], far[o]
             else:
                 g = np.maximum(np.sqrt(((tree.centre[down] - p) ** 2).sum(axis=1)) - tree.radius[down], 0)
-                todo += list(zip(g.tolist(), down.tolist()))
+                for x in zip(g.tolist(), down.tolist()):
+                    heapq.heappush(todo, x)
         return best, best_far
 
-    def run(batch: pa.Table) -> pa.Table:
-        q, q_ids = get(batch, "o"), batch.column("point_id").to_pylist()
-        out = []
-        if strategy == "from_hausdorff":
-            t = build_tree(q, 10)
-            got = drain(t, tree, best_first(t, tree).frontier)
-            for i, j in enumerate(got):
-                out.append((q_ids[i], 1, int(ids[j]), float(np.sqrt(((tree.points[j] - q[i]) ** 2).sum()))))
-        elif strategy == "early_break":
-            sorted_points = tree.points[order]
-            index_, dist, _ = early_break(q, sorted_points, k)
-            for i in range(len(q)):
-                out += [(q_ids[i], r + 1, int(ids[order[j]]), float(x)) for r, (j, x) in enumerate(zip(index_[i], dist[i])) if j >= 0]
-        else:
-            for i, p in enumerate(q):
-                j, far = nearest(p)
-                out += [(q_ids[i], r + 1, int(ids[x]), float(y)) for r, (x, y) in enumerate(zip(j, far))]
-        cols = list(zip(*out)) or [()] * 4
-        return pa.table([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int32(), pa.int64(), pa.float64()))], names=["q_point_id", "rank", "d_point_id", "distance"])
-
-    parts = q_tree.filter("kind = 1").withColumn("part", F.pmod(F.xxhash64("path"), F.lit(max(1, index.spark.sparkContext.defaultParallelism))))
-    return parts.select("part", "point_id", *vec("o", d)).groupBy("part").applyInArrow(run, "q_point_id long, rank int, d_point_id long, distance double")
+    def run(batches):
+        tree = unpack(data)
+        order = np.lexsort((tree.ids, *tree.points.T[::-1]))
+        rank = np.empty(len(order), np.int64)
+        rank[order] = np.arange(len(order))
+        for b in batches:
+            if not b.num_rows:
+                continue
+            q, q_ids = np.column_stack([b.column(b.schema.get_field_index(f"o{i}")).to_numpy() for i in range(d)]), b.column(0).to_numpy()
+            if strategy == "packed":
+                places, far, _ = nearest_in_tree(q, tree, k)
+            elif strategy == "from_hausdorff":
+                t = build_tree(q, 10)
+                places = np.zeros((len(q), 1), np.int64)
+                places[t.ids, 0] = drain(t, tree, best_first(t, tree).frontier)
+                far = np.sqrt(((tree.points[places[:, 0]] - q) ** 2).sum(axis=1))[:, None]
+            elif strategy == "early_break":
+                index_, far, _ = early_break(q, tree.points[order], k)
+                index_, far = index_[:, : len(order)], far[:, : len(order)]
+                places = order[index_]
+            else:
+                got = [nearest(tree, p, rank) for p in q]
+                places, far = np.array([x for x, _ in got]), np.array([x for _, x in got])
+            n, m = places.shape
+            columns = (np.repeat(q_ids, m), np.tile(np.arange(1, m + 1), n).astype(np.int32), tree.ids[places.ravel()], far.ravel())
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["q_point_id", "rank", "d_point_id", "distance"])
+
+    return rows.mapInArrow(run, "q_point_id long, rank int, d_point_id long, distance double")
 
 
 def enrich(nearest: DataFrame, attributes: DataFrame, columns: list[str], key: str = "point_id") -> DataFrame:

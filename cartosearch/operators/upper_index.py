@@ -66,18 +66,30 @@ def ancestors(members: DataFrame) -> DataFrame:
 
 
 def upper_nodes(roots: DataFrame, members: DataFrame) -> DataFrame:
-    """Nodes from their members: boxes united, centres weighted by points, and a radius that reaches every point below."""
+    """Nodes from their members: boxes united, centres weighted by points, and a radius that reaches every point below.
+
+    Leaves are aggregated first, nodes above from leaves, so that no node's key carries all of its datasets. A node's
+    radius comes from the balls around its leaves: far enough for each of their datasets.
+    """
     d = dims(roots, "o")
-    above = ancestors(members).join(roots, "dataset_id")
-    weight = F.sum("n")
+    met = members.join(roots, "dataset_id")
+    leaves = met.groupBy(F.col("path").alias("leaf")).agg(
+        F.count(F.lit(1)).alias("n_datasets"), F.sum("n").alias("n"),
+        *(F.sum(F.col(f"o{i}") * F.col("n")).alias(f"s{i}") for i in range(d)),
+        *(F.min(f"lo{i}").alias(f"lo{i}") for i in range(d)), *(F.max(f"hi{i}").alias(f"hi{i}") for i in range(d)),
+    )
+    prefixes = F.transform(F.sequence(F.lit(0), F.length("leaf")), lambda i: F.substring("leaf", F.lit(1), i))
+    above = leaves.withColumn("path", F.explode(prefixes))
     nodes = above.groupBy("path").agg(
-        F.count(F.lit(1)).alias("n_datasets"), weight.alias("n"), F.max("leaf_depth").alias("deepest"),
-        *((F.sum(F.col(f"o{i}") * F.col("n")) / weight).alias(f"m{i}") for i in range(d)),
-        *(F.min(f"lo{i}").alias(f"a{i}") for i in range(d)), *(F.max(f"hi{i}").alias(f"b{i}") for i in range(d)),
+        F.sum("n_datasets").alias("n_datasets"), F.sum("n").alias("n"), F.max(F.length("leaf")).alias("deepest"),
+        *((F.sum(f"s{i}") / F.sum("n")).alias(f"o{i}") for i in range(d)),
+        *(F.min(f"lo{i}").alias(f"lo{i}") for i in range(d)), *(F.max(f"hi{i}").alias(f"hi{i}") for i in range(d)),
     )
-    far = above.join(nodes.select("path", *vec("m", d)), "path").groupBy("path").agg(F.max(euclid(vec("m", d), vec("o", d)) + F.col("radius")).alias("radius"))
-    rename = [F.col(f"{old}{i}").alias(f"{new}{i}") for old, new in (("m", "o"), ("a", "lo"), ("b", "hi")) for i in range(d)]
-    return nodes.join(far, "path").select("path", F.length("path").alias("depth"), (F.col("deepest") == F.length("path")).alias("is_leaf"), "n_datasets", "n", "radius", *rename)
+    # The ball of a leaf around its own centre, then of each node around the balls of its leaves.
+    own = nodes.select(F.col("path").alias("leaf"), *(F.col(f"o{i}").alias(f"m{i}") for i in range(d)))
+    near = met.withColumnRenamed("path", "leaf").join(own, "leaf").groupBy("leaf", *vec("m", d)).agg(F.max(euclid(vec("m", d), vec("o", d)) + F.col("radius")).alias("reach"))
+    far = above.select("leaf", "path").join(near, "leaf").join(nodes.select("path", *vec("o", d)), "path").groupBy("path").agg(F.max(euclid(vec("m", d), vec("o", d)) + F.col("reach")).alias("radius"))
+    return nodes.join(far, "path").select("path", F.length("path").alias("depth"), (F.col("deepest") == F.length("path")).alias("is_leaf"), "n_datasets", "n", "radius", *vec("o", d), *vec("lo", d), *vec("hi", d))
 
 
 def upper_signatures(members: DataFrame, cells: DataFrame) -> DataFrame:
