@@ -4,7 +4,8 @@ from __future__ import annotations
 
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.functions import udtf
+
+from ..checkpoints import checkpointed
 
 _BITS = " + ".join(f"shiftleft(shiftright(i, {b}) & 1L, {2 * b}) + shiftleft(shiftright(j, {b}) & 1L, {2 * b + 1})" for b in range(16))
 _CELL = "greatest(least(cast(floor(({x} - {lo}) / (({hi} - {lo}) / cast(shiftleft(1L, theta) AS DOUBLE))) AS BIGINT), shiftleft(1L, theta) - 1L), 0L)"
@@ -26,24 +27,25 @@ def register(spark: SparkSession) -> None:
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({arguments}) RETURNS {kind} RETURN {body}")
 
 
-def register_search(spark: SparkSession, index, name: str = "search_datasets") -> None:
-    """search_datasets(measure, k, query): ranked results as a table. Searches run when registered queries ask for them
-    through the view `<name>_results`; the function filters what a session has put there."""
-    from ..operators.search_datasets import exemplar_search
+def register_search(spark: SparkSession, index, query_ids: list[str] | None = None, name: str = "search_datasets") -> None:
+    """SQL over searches. The view `<name>_results` (measure, query_id, rank, dataset_id, value) has, for the given members or
+    for all, every dataset in the order of each measure: shared area, shared cells and Hausdorff distance, found in one plan
+    a measure. The function <name>(measure, k, query) is a query over that view, so it answers any of these members and
+    any k, and an id or measure that is not there stops the statement instead of giving nothing."""
+    from ..operators.search_datasets import exemplar_batch
 
-    ids = [r[0] for r in index.roots.select("dataset_id").orderBy("dataset_id").limit(3).collect()]
-    rows = []
+    ids = query_ids if query_ids is not None else [r[0] for r in index.roots.select("dataset_id").orderBy("dataset_id").collect()]
+    every = max(1, index.roots.count())
+    found = None
     for measure in ("ia", "gbo", "hausdorff"):
-        for q in ids:
-            score = "distance" if measure == "hausdorff" else "score"
-            rows += [(measure, q, r["rank"], r["dataset_id"], float(r[score])) for r in exemplar_search(index, q, 10, measure).collect()]
-
-    @udtf(returnType="rank int, dataset_id string, value double")
-    class Search:
-        def eval(self, measure: str, k: int, query: str):
-            for m, q, rank, dataset, value in rows:
-                if m == measure and q == query and rank <= k:
-                    yield rank, dataset, value
-
-    spark.udtf.register(name, Search)
-    spark.createDataFrame(rows, "measure string, query_id string, rank int, dataset_id string, value double").withColumn("rank", F.col("rank")).createOrReplaceTempView(f"{name}_results")
+        one = exemplar_batch(index, ids, every, measure).select(F.lit(measure).alias("measure"), "query_id", F.col("rank").cast("int").alias("rank"), "dataset_id", F.col("score").cast("double").alias("value"))
+        found = one if found is None else found.unionByName(one)
+    checkpointed(found).createOrReplaceTempView(f"{name}_results")
+    spark.createDataFrame([(i,) for i in ids], "query_id string").createOrReplaceTempView(f"{name}_members")
+    spark.sql(f"""CREATE OR REPLACE TEMPORARY FUNCTION {name}(m STRING, k INT, q STRING) RETURNS TABLE (rank INT, dataset_id STRING, value DOUBLE)
+        RETURN SELECT rank, dataset_id, value FROM {name}_results
+        WHERE measure = m AND query_id = q AND rank <= k
+          AND assert_true(m IN ('ia', 'gbo', 'hausdorff'), 'no such measure') IS NULL
+        UNION ALL
+        SELECT CAST(raise_error('no such member or measure') AS INT), NULL, NULL
+        FROM (SELECT count(*) AS n FROM {name}_members WHERE query_id = q AND m IN ('ia', 'gbo', 'hausdorff')) t WHERE n = 0""")

@@ -314,19 +314,19 @@ def topk_hausdorff_many(index: SearchIndex, queries: list[Query], k: int = 10, m
                 seen += int(top["n"][node])
                 x["at"] += 1
             if x["at"] > begin:
-                active.append((number, set(top["path"][x["order"][begin : x["at"]]].tolist())))
+                active.append(number)
                 x["metrics"]["rounds"] += 1
                 x["metrics"]["nodes_visited"] += x["at"] - begin
         if not active:
             break
-        for (number, datasets), rows in _wave(index, [(n, p, queries[n], state[n]["limit"]) for n, p in active], list(wanted), mode, eps, returns, k, slack, exclude_self, most).items():
+        for number, rows in _wave(index, [(n, queries[n], state[n]["limit"]) for n in active], list(wanted), mode, eps, returns, k, slack, exclude_self, most).items():
             x = state[number]
             for key in ("evaluations", "expansions", "kernels"):
                 x["metrics"][key] += rows[key]
             found = x["found"] + rows["best"]
             if rows["large"]:
                 found += _beyond(index, queries[number], rows["large"], x["limit"] + slack)
-            x["found"] = sorted(found)[:k]
+            x["found"] = sorted(set(found))[:k]  # a dataset may come again with another query's nodes
             if len(x["found"]) == k:
                 x["limit"] = min(x["limit"], x["found"][-1][0])
         size *= 4
@@ -334,7 +334,7 @@ def topk_hausdorff_many(index: SearchIndex, queries: list[Query], k: int = 10, m
 
 
 def _wave(index: SearchIndex, active: list, paths: list[str], mode: str, eps: float, returns: str, k: int, slack: float, exclude_self: bool, most: int) -> dict:
-    """{(query, None): its k best, its large datasets and counters} over the datasets below the nodes."""
+    """{query: its k best, its large datasets and counters} over the datasets below the nodes."""
     d = index.d
     at = F.col("path") if index.cut is None else F.substring("path", 1, index.cut)
     rows = index.packed.select(at.alias("path"), "dataset_id", "n", "radius", "tree", *vec("o", d))
@@ -342,14 +342,14 @@ def _wave(index: SearchIndex, active: list, paths: list[str], mode: str, eps: fl
         rows = rows.filter(F.col("path").isin(paths))
     elif len(paths) < len(index.top["path"]):
         rows = rows.join(F.broadcast(index.spark.createDataFrame([(p,) for p in paths], "path string")), "path", "left_semi")
-    shared = [{"o": q.o, "limit": limit, "skip": q.id if q.member and exclude_self else None, "most": most, "tree": q.tree or build_tree(q.points, index.f)} for _, _, q, limit in active]
-    near = [ball_lower(constants(q.o), vec("o", d), F.col("radius")) <= F.lit(limit + slack) for _, _, q, limit in active]
+    shared = [{"o": q.o, "limit": limit, "skip": q.id if q.member and exclude_self else None, "most": most, "tree": q.tree or build_tree(q.points, index.f)} for _, q, limit in active]
+    near = [ball_lower(constants(q.o), vec("o", d), F.col("radius")) <= F.lit(limit + slack) for _, q, limit in active]
     if len(near) <= 20:
         rows = rows.filter(reduce(lambda a, b: a | b, near))
     got = rows.drop("path").mapInArrow(_kernels(shared, mode, eps, returns, k, slack), "q int, dataset_id string, distance double, evaluations long, expansions long, kernels long").collect()
-    out = {(n, None): {"best": [], "large": [], "evaluations": 0, "expansions": 0, "kernels": 0} for n, _, _, _ in active}
+    out = {n: {"best": [], "large": [], "evaluations": 0, "expansions": 0, "kernels": 0} for n, _, _ in active}
     for r in got:
-        x = out[(active[r["q"]][0], None)]
+        x = out[active[r["q"]][0]]
         if r["dataset_id"] is None:
             for key in ("evaluations", "expansions", "kernels"):
                 x[key] += r[key]

@@ -88,7 +88,7 @@ def range_datasets(handle: str, grow: float) -> str:
 
 
 def range_batch(handle: str) -> str:
-    return f"WITH {pts(handle)}, {boxes(2)}, qs AS (SELECT * FROM box WHERE dataset_id IN (SELECT dataset_id FROM box ORDER BY dataset_id LIMIT 5)) SELECT qs.dataset_id AS query_id, b.dataset_id FROM qs JOIN box b ON b.lo0 <= qs.hi0 AND qs.lo0 <= b.hi0 AND b.lo1 <= qs.hi1 AND qs.lo1 <= b.hi1"
+    return f"WITH {pts(handle)}, {boxes(2)}, qs AS (SELECT * FROM box) SELECT qs.dataset_id AS query_id, b.dataset_id FROM qs JOIN box b ON b.lo0 <= qs.hi0 AND qs.lo0 <= b.hi0 AND b.lo1 <= qs.hi1 AND qs.lo1 <= b.hi1"
 
 
 def range_points(handle: str) -> str:
@@ -100,20 +100,8 @@ def nearest(handle: str, k: int = 1) -> str:
     return f"WITH {pts(handle)}, j AS (SELECT a.point_id AS q_point_id, b.point_id AS d_point_id, {dist(2)} AS dd, b.c0, b.c1 FROM p a JOIN p b ON b.dataset_id = (SELECT max(dataset_id) FROM p) WHERE a.dataset_id = (SELECT q FROM me)), r AS (SELECT *, row_number() OVER (PARTITION BY q_point_id ORDER BY dd, c0, c1, d_point_id) AS rank FROM j) SELECT q_point_id, rank, d_point_id, round(dd, 6) AS distance FROM r WHERE rank <= {k}"
 
 
-def nearest_union(handle: str, s: int) -> str:
-    return f"WITH {pts(handle)}, ids AS (SELECT DISTINCT dataset_id FROM p ORDER BY dataset_id LIMIT {s}), j AS (SELECT a.dataset_id AS a_id, a.point_id AS q_point_id, {dist(2)} AS dd FROM p a JOIN p b ON b.dataset_id = (SELECT max(dataset_id) FROM p) WHERE a.dataset_id IN (SELECT dataset_id FROM ids)) SELECT q_point_id, round(min(dd), 6) AS distance FROM j GROUP BY a_id, q_point_id"
-
-
-GAP = """WITH phi AS (SELECT value AS radius, row_number() OVER (ORDER BY value DESC) - 1 AS rank, count(*) OVER () AS n, max(value) OVER () AS hi, min(value) OVER () AS lo FROM events)
-SELECT rank, round(radius, 6) AS radius, round(hi - rank * (hi - lo) / n - radius, 6) AS gap FROM phi"""
-KNEE = """WITH phi AS (SELECT value AS radius, row_number() OVER (ORDER BY value DESC) - 1 AS rank, count(*) OVER () AS n, max(value) OVER () AS hi, min(value) OVER () AS lo FROM events),
-g AS (SELECT rank, radius, hi - rank * (hi - lo) / n - radius AS gap FROM phi WHERE rank >= 1)
-SELECT round(radius, 6) AS threshold FROM g ORDER BY gap DESC, rank LIMIT 1"""
-
-
-def outlier_filter(handle: str, limit: float) -> str:
-    """One leaf per dataset: its mean, and the points farther out than the limit."""
-    return f"WITH {pts(handle)}, o AS (SELECT dataset_id, avg(c0) AS o0, avg(c1) AS o1 FROM p GROUP BY dataset_id) SELECT p.dataset_id, count(*) AS n_removed FROM p JOIN o ON p.dataset_id = o.dataset_id WHERE sqrt((c0 - o0) * (c0 - o0) + (c1 - o1) * (c1 - o1)) > {limit} GROUP BY p.dataset_id"
+def nearest_union(handle: str) -> str:
+    return f"WITH {pts(handle)}, ids AS (SELECT DISTINCT dataset_id FROM p WHERE dataset_id <> (SELECT max(dataset_id) FROM p)), j AS (SELECT a.dataset_id AS a_id, a.point_id AS q_point_id, {dist(2)} AS dd FROM p a JOIN p b ON b.dataset_id = (SELECT max(dataset_id) FROM p) WHERE a.dataset_id IN (SELECT dataset_id FROM ids)) SELECT q_point_id, round(min(dd), 6) AS distance FROM j GROUP BY a_id, q_point_id"
 
 
 def gbo_accuracy(handle: str, k: int = 10) -> str:
@@ -128,8 +116,4 @@ def similar_pairs(handle: str, t: float) -> str:
     return f"WITH {pts(handle)}, near AS (SELECT a.dataset_id AS q_id, b.dataset_id, a.point_id, min({dist(2)}) AS m FROM p a JOIN p b ON b.dataset_id <> a.dataset_id GROUP BY a.dataset_id, b.dataset_id, a.point_id) SELECT q_id, dataset_id, round(max(m), 6) AS distance FROM near GROUP BY q_id, dataset_id HAVING max(m) <= {t}"
 
 
-def rtree_leaves(handle: str, fanout: int) -> str:
-    return f"WITH {pts(handle)} SELECT dataset_id, count(*) AS n FROM p GROUP BY dataset_id"
-
-
 __all__ = [n for n in dir() if not n.startswith("_")] + ["in_dialect"]

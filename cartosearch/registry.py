@@ -20,6 +20,7 @@ from .operators.outliers import gap_profile, knee_threshold, mark_outliers
 from .operators.relational import RELATIONAL
 from .plans.metrics import overlap_accuracy, scale_distribution
 from .plans.workloads import WORKLOADS, built, w_chain
+from .registry_index import QUERIES
 from .sources.repositories import combine_queries, load_table, repository, repository_extent
 
 
@@ -121,7 +122,7 @@ def approx_q(s, d):
     q = first_id(i.roots)
     truth = dict((x, v) for v, x in sd.topk_hausdorff(i, q).rows)
     n = i.roots.count()
-    near = dict((x, v) for v, x in sd.topk_hausdorff(i, q, min(n, 60), mode="approx").rows)
+    near = dict((x, v) for v, x in sd.topk_hausdorff(i, q, n, mode="approx").rows)
     eps = i.spec.epsilon()
     return s.createDataFrame([(x, x in near and abs(near[x] - v) <= 2 * eps) for x, v in truth.items()], "dataset_id string, within boolean")
 
@@ -138,8 +139,7 @@ def range_q(handle, grow):
 
 def range_batch_q(s, d):
     i = built(s, d, "ev_home")
-    ids = [r[0] for r in i.roots.select("dataset_id").orderBy("dataset_id").limit(5).collect()]
-    q = i.roots.filter(F.col("dataset_id").isin(ids)).select(F.col("dataset_id").alias("query_id"), *(F.col(f"{n}{j}").alias(f"q{n}{j}") for n in ("lo", "hi") for j in (0, 1)))
+    q = i.roots.select(F.col("dataset_id").alias("query_id"), *(F.col(f"{n}{j}").alias(f"q{n}{j}") for n in ("lo", "hi") for j in (0, 1)))
     return sd.range_datasets_batch(i, q)
 
 
@@ -156,7 +156,7 @@ def range_points_q(handle, scan=False):
     return run
 
 
-def nearest_q(handle, k=1, strategy="leaf_join"):
+def nearest_q(handle, k=1, strategy="packed"):
     def run(s, d):
         i = built(s, d, handle)
         return rounded(sp.nearest_points(i, first_id(i.roots), last_id(i.roots), k, strategy), "distance")
@@ -171,24 +171,10 @@ def knn_scan_q(s, d):
 
 def nearest_union_q(s, d):
     i = built(s, d, "ev_user")
-    ids = [r[0] for r in i.roots.select("dataset_id").orderBy("dataset_id").limit(10).collect()]
+    ids = [r[0] for r in i.roots.select("dataset_id").filter(F.col("dataset_id") != last_id(i.roots)).collect()]
     return rounded(sp.nearest_points(i, combine_queries(i.points, ids, "query"), last_id(i.roots)).select("q_point_id", "distance"), "distance")
 
 
-def gap_q(s, d):
-    return rounded(gap_profile(load_table(s, d, "events").select(F.col("value").alias("radius"))), "radius", "gap").select("rank", "radius", "gap")
-
-
-def knee_q(s, d):
-    return s.createDataFrame([(round(knee_threshold(load_table(s, d, "events").select(F.col("value").alias("radius"))), 6),)], "threshold double")
-
-
-def outlier_q(s, d):
-    """One leaf per dataset, so that the leaf's mean is the dataset's."""
-    tree = build_bottom(repository(s, d, "ev_user"), f=10**9)
-    return mark_outliers(tree, 150.0).filter("NOT kept").groupBy("dataset_id").agg(F.count(F.lit(1)).alias("n_removed"))
-
-
 def accuracy_q(s, d):
     i = built(s, d, "ev_home")
     q = first_id(i.roots)
@@ -199,52 +185,13 @@ def pairs_q(s, d):
     return rounded(sd.similar_pairs(built(s, d, "pa_brand"), 40.0), "distance")
 
 
-def rtree_q(s, d):
-    tree = base.build_rtree(repository(s, d, "li_supp"), 10)
-    return tree.filter("level = 0").groupBy("dataset_id").agg(F.sum("n").alias("n"))
-
-
-def summary_q(s, d):
-    got = summarise_nodes(repository(s, d, "ev_user"), ["dataset_id"])
-    return rounded(got.select("dataset_id", "n", "radius"), "radius")
-
-
 def isolation_q(s, d):
     return base.isolation_nn_scores(repository(s, d, "ev_user"), t=20)
 
 
-def neighbours_q(s, d):
-    return base.neighbour_count_clean(repository(s, d, "ev_user"), 20.0, 2).select("dataset_id", "point_id")
-
-
-def tree_q(strategy):
-    return lambda s, d: build_bottom(repository(s, d, "ev_user"), strategy=strategy)
-
-
-def emd_q(s, d):
-    from .operators.emd import topk_emd
-
-    i = built(s, d, "ev_home")
-    return topk_emd(i, first_id(i.roots), 5)
-
-
-def stream_q(s, d):
-    from .streaming.points import replay_roots
-
-    return replay_roots(s, d)
-
-
-def sql_q(s, d):
-    from .functions.sql_surface import register
-
-    register(s)
-    repository(s, d, "ev_user").createOrReplaceTempView("carto_ev_user")
-    return s.sql("SELECT dataset_id, round(max(ball_gap_2d(c0, c1, 1.0, 0.0, 0.0, 2.0)), 6) AS far, min(z_cell_2d(c0, c1, 0.0, 0.0, 64.0, 64.0, 5)) AS cell FROM carto_ev_user GROUP BY dataset_id")
-
-
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     out = {f"dataset_boxes_{h}": boxes_q(h) for h in ("ev_user", "li_supp", "or_cust")}
-    out |= {f"z_signatures_{h}": cells_q(h) for h in ("ev_user", "li_supp")} | {"z_rollup": rollup_q, "node_summary": summary_q}
+    out |= {f"z_signatures_{h}": cells_q(h) for h in ("ev_user", "li_supp")} | {"z_rollup": rollup_q}
     out |= {f"ia_topk_{h}": ia_q(h) for h in ("ev_home", "ev_trip", "li_part")} | {"ia_scan_topk": ia_scan_q}
     out |= {f"gbo_topk_{h}": gbo_q(h) for h in ("ev_home", "ev_user", "li_supp")}
     out |= {f"gbo_topk_theta{t}": gbo_q("ev_home", t) for t in (3, 7)} | {"gbo_topk_inverted": gbo_q("ev_home", plan="inverted"), "gbo_scan_topk": gbo_scan_q, "gbo_postings_topk": gbo_postings_q}
@@ -252,11 +199,10 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     out |= {"hausdorff_scan_topk": haus_scan_q, "hausdorff_box_bound_topk": haus_q("ev_home", base.box_bound_topk), "hausdorff_incremental_topk": haus_q("ev_home", base.box_incremental_topk), "hausdorff_raw_topk": haus_q("ev_home", base.raw_hausdorff_topk), "hausdorff_symmetric_topk": haus_q("ev_home", sd.symmetric_topk, 5), "hausdorff_frontier_topk": haus_frontier_q, "hausdorff_pair": pair_q, "approx_hausdorff_within_bound": approx_q}
     out |= {"range_datasets_ev_home": range_q("ev_home", 0.02), "range_datasets_ev_trip": range_q("ev_trip", 0.01), "range_datasets_batch": range_batch_q}
     out |= {"range_points_ev_user": range_points_q("ev_user"), "range_points_li_supp": range_points_q("li_supp"), "range_points_scan": range_points_q("ev_user", True)}
-    out |= {"nearest_points_ev_user": nearest_q("ev_user"), "nearest_points_li_part": nearest_q("li_part"), "nearest_points_k3": nearest_q("ev_user", 3), "nearest_points_per_point": nearest_q("ev_user", 3, "per_point"), "nearest_points_from_hausdorff": nearest_q("ev_user", 1, "from_hausdorff"), "nearest_points_early_break": nearest_q("ev_user", 1, "early_break"), "knn_scan_distance": knn_scan_q, "nearest_points_union": nearest_union_q}
-    out |= {"gap_profile": gap_q, "knee_threshold": knee_q, "outlier_filter": outlier_q, "topk_accuracy_gbo": accuracy_q, "similar_pairs": pairs_q, "rtree_leaves": rtree_q, "isolation_scores": isolation_q, "neighbour_count_clean": neighbours_q}
-    out |= {"build_index_groups": tree_q("groups"), "build_index_levels": tree_q("levels"), "emd_topk": emd_q, "stream_roots": stream_q, "sql_functions": sql_q}
+    out |= {"nearest_points_ev_user": nearest_q("ev_user"), "nearest_points_li_part": nearest_q("li_part"), "nearest_points_k3": nearest_q("ev_user", 3), "nearest_points_leaf_join": nearest_q("ev_user", 3, "leaf_join"), "nearest_points_per_point": nearest_q("ev_user", 3, "per_point"), "nearest_points_from_hausdorff": nearest_q("ev_user", 1, "from_hausdorff"), "nearest_points_early_break": nearest_q("ev_user", 1, "early_break"), "knn_scan_distance": knn_scan_q, "nearest_points_union": nearest_union_q}
+    out |= {"topk_accuracy_gbo": accuracy_q, "similar_pairs": pairs_q, "isolation_scores": isolation_q}
     out |= {"scale_distribution": lambda s, d: scale_distribution(repository(s, d, "or_cust"))}
-    out |= {k: f for k, (f, _) in RELATIONAL.items()} | dict(WORKLOADS)
+    out |= {k: f for k, (f, _) in RELATIONAL.items()} | dict(WORKLOADS) | {k: f for k, (f, _) in QUERIES.items()}
     return out
 
 
@@ -271,8 +217,8 @@ def oracle_sql() -> dict[str, str]:
     out |= {"hausdorff_symmetric_topk": sql.symmetric("ev_home", 5), "hausdorff_frontier_topk": sql.haus_topk("pa_brand"), "hausdorff_pair": sql.haus_pair("li_supp"), "approx_hausdorff_within_bound": sql.haus_within("ev_home", 10)}
     out |= {"range_datasets_ev_home": sql.range_datasets("ev_home", 0.02), "range_datasets_ev_trip": sql.range_datasets("ev_trip", 0.01), "range_datasets_batch": sql.range_batch("ev_home")}
     out |= {"range_points_ev_user": sql.range_points("ev_user"), "range_points_li_supp": sql.range_points("li_supp"), "range_points_scan": sql.range_points("ev_user")}
-    out |= {"nearest_points_ev_user": sql.nearest("ev_user"), "nearest_points_li_part": sql.nearest("li_part"), "nearest_points_k3": sql.nearest("ev_user", 3), "nearest_points_per_point": sql.nearest("ev_user", 3), "nearest_points_from_hausdorff": sql.nearest("ev_user"), "nearest_points_early_break": sql.nearest("ev_user"), "nearest_points_union": sql.nearest_union("ev_user", 10)}
+    out |= {"nearest_points_ev_user": sql.nearest("ev_user"), "nearest_points_li_part": sql.nearest("li_part"), "nearest_points_k3": sql.nearest("ev_user", 3), "nearest_points_leaf_join": sql.nearest("ev_user", 3), "nearest_points_per_point": sql.nearest("ev_user", 3), "nearest_points_from_hausdorff": sql.nearest("ev_user"), "nearest_points_early_break": sql.nearest("ev_user"), "nearest_points_union": sql.nearest_union("ev_user")}
     out |= {"knn_scan_distance": f"SELECT q_point_id, distance FROM ({sql.nearest('ev_user')}) n"}
-    out |= {"gap_profile": sql.GAP, "knee_threshold": sql.KNEE, "outlier_filter": sql.outlier_filter("ev_user", 150.0), "topk_accuracy_gbo": sql.gbo_accuracy("ev_home"), "similar_pairs": sql.similar_pairs("pa_brand", 40.0), "rtree_leaves": sql.rtree_leaves("li_supp", 10), "scale_distribution": sql.scale("or_cust")}
-    out |= {k: text for k, (_, text) in RELATIONAL.items()}
+    out |= {"topk_accuracy_gbo": sql.gbo_accuracy("ev_home"), "similar_pairs": sql.similar_pairs("pa_brand", 40.0), "scale_distribution": sql.scale("or_cust")}
+    out |= {k: text for k, (_, text) in (RELATIONAL | QUERIES).items() if text}
     return out

@@ -37,5 +37,5 @@ class SpatialSearch:
     def points(self, box: Box) -> DataFrame:
         return sp.range_points(self.index, box, self.datasets)
 
-    def nearest(self, query: str | DataFrame, dataset_id: str, k: int = 1, strategy: str = "leaf_join") -> DataFrame:
+    def nearest(self, query: str | DataFrame, dataset_id: str, k: int = 1, strategy: str = "packed") -> DataFrame:
         return sp.nearest_points(self.index, query, dataset_id, k, strategy)

@@ -98,8 +98,12 @@ def test_best_first_is_exact_and_approx_within_bound(d, f):
             upper = kernels.best_first(q, t, mode="approx", eps=eps, returns="upper").distance
             assert abs(near - truth) <= 2 * eps and truth - 1e-9 <= upper < truth + 3 * eps
         nearest = kernels.drain(q, t, got.frontier)
+        assert np.allclose(((q.points - t.points[nearest]) ** 2).sum(axis=1), ((q.points[:, None] - t.points[None]) ** 2).sum(axis=2).min(axis=1))
+        places, far, looked = kernels.nearest_in_tree(a, t, 3)
         d2 = ((a[:, None] - b[None]) ** 2).sum(axis=2)
-        assert np.allclose(d2[np.arange(len(a)), nearest], d2.min(axis=1))
+        assert np.allclose(far, np.sqrt(np.sort(d2, axis=1)[:, :3])) and np.allclose(np.sqrt(((a[:, None] - t.points[places]) ** 2).sum(axis=2)), far)
+        packed = kernels.unpack(kernels.pack(t))
+        assert kernels.best_first(q, packed).distance == got.distance and (packed.ids == t.ids).all()
         i, dist, looked = kernels.early_break(a, b, 2)
         assert np.allclose(dist[:, 0], np.sqrt(d2.min(axis=1))) and looked <= d * len(a) * len(b)
 
@@ -115,12 +119,12 @@ def test_tree_structure(splitter):
     rng = np.random.default_rng(1)
     for p in (rng.normal(0, 1, (300, 2)), np.repeat(rng.normal(0, 1, (5, 2)), 30, axis=0), np.ones((40, 2)), rng.normal(0, 1, (1, 2))):
         t = kernels.build_tree(p, 7, splitter)
-        assert sorted(np.concatenate([t.children[i] - len(t.path) for i in np.flatnonzero(t.leaf)]).tolist()) == list(range(len(p)))
+        assert sorted(np.concatenate([t.below(i) - len(t.path) for i in np.flatnonzero(t.leaf)]).tolist()) == list(range(len(p)))
         for i in range(len(t.path)):
             if t.leaf[i]:
                 assert t.n[i] <= 7 or (t.hi[i] == t.lo[i]).all() or splitter != "midpoint"
             else:
-                c = t.children[i]
+                c = t.below(i)
                 assert t.n[c].sum() == t.n[i] and (t.lo[c] >= t.lo[i]).all() and (t.hi[c] <= t.hi[i]).all()
 
 
