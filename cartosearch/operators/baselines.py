@@ -34,6 +34,24 @@ def box_bound_topk(index: SearchIndex, query: str, k: int = 10) -> Run:
     return Run([(r["distance"], r["dataset_id"]) for r in top.orderBy("rank").collect()], {"evaluations": int(n) * q.n + index.roots.count() * 2})
 
 
+def box_bound_batch(index: SearchIndex, query_ids: list[str], k: int = 10) -> DataFrame:
+    """The same for many members in one plan: query_id, rank, dataset_id, score, evaluations of the query."""
+    d = index.d
+    named = F.broadcast(index.spark.createDataFrame([(i,) for i in query_ids], "dataset_id string"))
+    q = index.roots.join(named, "dataset_id", "left_semi").select(F.col("dataset_id").alias("query_id"), F.col("n").alias("q_n"), *(F.col(f"{n}{i}").alias(f"q{n}{i}") for n in ("lo", "hi") for i in range(d)))
+    sides = vec("qlo", d), vec("qhi", d), vec("lo", d), vec("hi", d)
+    bounds = index.roots.join(F.broadcast(q)).filter("dataset_id != query_id").select("query_id", "dataset_id", "n", "q_n", box_lower(*sides).alias("lower"), box_upper(*sides).alias("upper"))
+    order = Window.partitionBy("query_id").orderBy("upper", "dataset_id")
+    tau = bounds.withColumn("r", F.row_number().over(order)).filter(F.col("r") == k).select("query_id", (F.col("upper") * (1 + 1e-12)).alias("tau"))
+    alive = bounds.join(F.broadcast(tau), "query_id", "left").filter(F.col("tau").isNull() | (F.col("lower") <= F.col("tau")))
+    work = alive.groupBy("query_id").agg(F.sum(F.col("n") * F.col("q_n")).alias("evaluations"))
+    qs = index.points.join(named, "dataset_id", "left_semi").select(F.col("dataset_id").alias("query_id"), F.col("point_id").alias("q_id"), *(F.col(f"c{i}").alias(f"q{i}") for i in range(d)))
+    pairs = index.points.join(alive.select("query_id", "dataset_id"), "dataset_id").join(qs, "query_id").select("query_id", "dataset_id", "q_id", euclid(vec("q", d), vec("c", d)).alias("dist"))
+    far = pairs.groupBy("query_id", "dataset_id", "q_id").agg(F.min("dist").alias("near")).groupBy("query_id", "dataset_id").agg(F.max("near").alias("score"))
+    best = far.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy("score", "dataset_id"))).filter(F.col("rank") <= k)
+    return best.join(work, "query_id").select("query_id", "rank", "dataset_id", "score", "evaluations")
+
+
 def bulk_tree(points: np.ndarray, f: int) -> Tree:
     """A box tree by sorting: slabs along the first dimension, runs of f along the second, parents of f nodes each."""
     n, d = points.shape
@@ -145,24 +163,34 @@ def raw_hausdorff_topk(raw: SearchIndex, query: str, k: int = 10) -> Run:
     return topk_hausdorff(raw, query, k)
 
 
-def knn_early_break(points: DataFrame, query: str, dataset_id: str, k: int = 1, seed: int = 42) -> DataFrame:
-    """q_point_id, rank, d_point_id, distance, looked: scan the dataset in a shuffled order for each query point."""
+def knn_early_break(points: DataFrame, query: str, dataset_id: str, k: int = 1, seed: int = 42, block: int = 100_000) -> DataFrame:
+    """q_point_id, rank, d_point_id, distance, looked: scan the dataset in a shuffled order for each query point. Query and
+    dataset are dealt into blocks of about `block` points that meet in one task each; the k best of the blocks are merged."""
     d = dims(points)
-    far = points.filter(F.col("dataset_id") == dataset_id).orderBy(F.xxhash64("point_id", F.lit(seed))).limit(2_000_001).toPandas()
-    if len(far) > 2_000_000:
-        raise ValueError("the dataset is too large to be scanned in a task")
-    other, ids = far[[f"c{i}" for i in range(d)]].to_numpy(), far["point_id"].to_numpy()
-
-    def run(batches):
-        for b in batches:
-            if not b.num_rows:
-                continue
-            q = np.column_stack([b.column(b.schema.get_field_index(f"c{i}")).to_numpy() for i in range(d)])
+    sizes = {r["dataset_id"]: r["count"] for r in points.filter(F.col("dataset_id").isin([query, dataset_id])).groupBy("dataset_id").count().collect()}
+    q_blocks, d_blocks = (max(1, -(-sizes.get(i, 0) // block)) for i in (query, dataset_id))
+    schema = "q_point_id long, rank int, d_point_id long, distance double, looked long"
+
+    def run(q_rows: pa.Table, d_rows: pa.Table) -> pa.Table:
+        get = lambda t, n: np.column_stack([t.column(f"{n}{i}").to_numpy() for i in range(d)])
+        rows = []
+        if q_rows.num_rows and d_rows.num_rows:
+            order = np.argsort(d_rows.column("shuffled").to_numpy(), kind="stable")
+            ids, other, q = d_rows.column("d_id").to_numpy()[order], get(d_rows, "e")[order], get(q_rows, "c")
             index, dist, looked = early_break(q, other, k)
-            rows = [(b.column(0)[i].as_py(), r + 1, int(ids[j]), float(x), looked // len(q)) for i in range(len(q)) for r, (j, x) in enumerate(zip(index[i], dist[i])) if j >= 0]
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.int64()))], names=["q_point_id", "rank", "d_point_id", "distance", "looked"])
-
-    return points.filter(F.col("dataset_id") == query).select("point_id", *vec("c", d)).mapInArrow(run, "q_point_id long, rank int, d_point_id long, distance double, looked long")
+            rows = [(i, r + 1, int(ids[j]), float(x), looked // len(q)) for i, js, xs in zip(q_rows.column("point_id").to_pylist(), index, dist) for r, (j, x) in enumerate(zip(js, xs)) if j >= 0]
+        return pa.table([pa.array(c, t) for c, t in zip(list(zip(*rows)) or [()] * 5, (pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.int64()))], names=["q_point_id", "rank", "d_point_id", "distance", "looked"])
+
+    dealt = lambda i, n, x: points.filter(F.col("dataset_id") == i).withColumn(x, F.pmod(F.xxhash64("point_id", F.lit(seed + 1)), F.lit(n)).cast("int"))
+    # At least as many blocks of the query as keep a few tasks busy.
+    n_q = max(q_blocks, min(8, max(1, sizes.get(query, 0) // 64)))
+    q = dealt(query, n_q, "qb").withColumn("db", F.explode(F.sequence(F.lit(0), F.lit(d_blocks - 1)))).select("qb", "db", "point_id", *vec("c", d))
+    other = dealt(dataset_id, d_blocks, "db").withColumn("qb", F.explode(F.sequence(F.lit(0), F.lit(n_q - 1)))).select(F.col("qb").alias("d_qb"), F.col("db").alias("d_db"), F.col("point_id").alias("d_id"), F.xxhash64("point_id", F.lit(seed)).alias("shuffled"), *(F.col(f"c{i}").alias(f"e{i}") for i in range(d)))
+    got = q.groupBy("qb", "db").cogroup(other.groupBy("d_qb", "d_db")).applyInArrow(run, schema)
+    if d_blocks == 1:
+        return got
+    best = Window.partitionBy("q_point_id").orderBy("distance", "d_point_id")
+    return got.withColumn("looked", F.sum("looked").over(Window.partitionBy("q_point_id")).cast("long")).withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k)
 
 
 def scan_range_datasets(points: DataFrame, box: Box) -> DataFrame:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import functools
 import json
-from dataclasses import asdict, dataclass
+from dataclasses import asdict, dataclass, replace
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -60,7 +60,9 @@ class SearchIndex:
         small = self.roots.filter(F.col("n") <= most).select("dataset_id")
         some_large = self.roots.filter(F.col("n") > most).limit(1).count()
         trees = packed_trees(self.tree.join(small, "dataset_id", "left_semi") if some_large else self.tree)
-        return checkpointed(self.roots.join(self.members, "dataset_id").join(trees, "dataset_id", "left"))
+        whole = self.roots.join(self.members, "dataset_id").join(trees, "dataset_id", "left")
+        # Trees are few bytes but much work, so they are spread over all tasks that the session has for a shuffle.
+        return checkpointed(whole.repartition(int(self.spark.conf.get("spark.sql.shuffle.partitions")), "dataset_id"))
 
     @functools.cached_property
     def top(self) -> dict[str, np.ndarray]:
@@ -164,17 +166,24 @@ def grow_datasets(index: SearchIndex, points: DataFrame) -> SearchIndex:
     return finish(checkpointed(index.tree.join(grown, "dataset_id", "left_anti").unionByName(tree)), index.spec, index.f, index.threshold)
 
 
+def frame_space(df: DataFrame) -> tuple[int, int]:
+    """Rows and bytes (fixed widths plus text) of a frame."""
+    fixed = sum({"bigint": 8, "double": 8, "int": 4, "boolean": 1}.get(t, 0) for _, t in df.dtypes)
+    text = [F.coalesce(F.octet_length(c), F.lit(0)) for c, t in df.dtypes if t in ("string", "binary")]
+    n, b = df.agg(F.count(F.lit(1)), F.coalesce(F.sum(sum(text, F.lit(fixed))), F.lit(0))).first()
+    return n, int(b)
+
+
 def index_space(index: SearchIndex) -> DataFrame:
-    """Rows and bytes (fixed widths plus paths) of each part."""
-    rows = []
-    for name in FRAMES:
-        df = getattr(index, name)
-        fixed = sum({"bigint": 8, "double": 8, "int": 4, "boolean": 1}.get(t, 0) for _, t in df.dtypes)
-        text = [F.coalesce(F.octet_length(c), F.lit(0)) for c, t in df.dtypes if t == "string"]
-        size = sum(text, F.lit(fixed))
-        n, b = df.agg(F.count(F.lit(1)), F.coalesce(F.sum(size), F.lit(0))).first()
-        rows.append((name, n, int(b)))
-    return index.spark.createDataFrame(rows, "part string, n_rows long, n_bytes long")
+    """Rows and bytes of each part."""
+    return index.spark.createDataFrame([(name, *frame_space(getattr(index, name))) for name in FRAMES], "part string, n_rows long, n_bytes long")
+
+
+def with_resolution(index: SearchIndex, theta: int) -> SearchIndex:
+    """The same trees over a grid of another resolution."""
+    spec = GridSpec(index.spec.lo, index.spec.hi, theta)
+    cells = checkpointed(signatures(index.points, spec))
+    return replace(index, spec=spec, cells=cells, upper_cells=checkpointed(upper_signatures(index.members, cells)))
 
 
 def radius_distribution(index: SearchIndex, bins: int = 20, high: float | None = None) -> DataFrame:

@@ -62,20 +62,19 @@ def scan_gbo(points: DataFrame, spec: GridSpec, query_id: str, k: int = 10) -> D
     return ranked(scored.filter("score > 0"), k, "score", True)
 
 
-def query_points(points: DataFrame, query_id: str, limit: int = 100_000) -> DataFrame:
-    """The points of one dataset as q columns, checked to be few enough to be sent everywhere."""
+def hausdorff_scan(points: DataFrame, query_id: str, symmetric: bool = False, block: int = 100_000) -> DataFrame:
+    """dataset_id and the directed Hausdorff distance from the query, by all pairs of points: the oracle. Up to `block` query points
+    are broadcast; more are dealt into blocks, and every other point meets each block."""
     d = dims(points)
     q = points.filter(F.col("dataset_id") == query_id).select(F.col("point_id").alias("q_id"), *(F.col(f"c{i}").alias(f"q{i}") for i in range(d)))
-    if q.limit(limit + 1).count() > limit:
-        raise ValueError(f"query dataset has more than {limit} points; use the frontier route")
-    return q
-
-
-def hausdorff_scan(points: DataFrame, query_id: str, symmetric: bool = False) -> DataFrame:
-    """dataset_id and the directed Hausdorff distance from the query, by all pairs of points: the oracle."""
-    d = dims(points)
-    q = F.broadcast(query_points(points, query_id))
-    pairs = points.filter(F.col("dataset_id") != query_id).join(q).select("dataset_id", "point_id", "q_id", euclid(vec("q", d), vec("c", d)).alias("dist"))
+    others = points.filter(F.col("dataset_id") != query_id)
+    n = q.count()
+    if n <= block:
+        met = others.join(F.broadcast(q))
+    else:
+        blocks = -(-n // block)
+        met = others.withColumn("b", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).join(q.withColumn("b", F.pmod(F.xxhash64("q_id"), F.lit(blocks)).cast("int")), "b")
+    pairs = met.select("dataset_id", "point_id", "q_id", euclid(vec("q", d), vec("c", d)).alias("dist"))
     there = pairs.groupBy("dataset_id", "q_id").agg(F.min("dist").alias("near")).groupBy("dataset_id").agg(F.max("near").alias("distance"))
     if not symmetric:
         return there

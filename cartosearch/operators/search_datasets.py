@@ -241,10 +241,13 @@ def _task_query(index: SearchIndex, query: str | DataFrame, clean: bool) -> Quer
     return as_query(index, query, clean)
 
 
-def _kernels(queries: list[dict], mode: str, eps: float, returns: str, k: int, slack: float):
+def _kernels(queries: list[dict], mode: str, eps: float, returns: str, k: int, slack: float, box_f: int | None = None):
     """Rows of packed trees to (number of the query, dataset_id or null, distance, evaluations, expansions, kernels): of each batch the k
     nearest datasets of each query, datasets without a packed tree, and a row of counters."""
 
+    if box_f is not None:
+        from .baselines import bulk_tree
+
     def run(batches):
         for b in batches:
             if not b.num_rows:
@@ -267,8 +270,8 @@ def _kernels(queries: list[dict], mode: str, eps: float, returns: str, k: int, s
                         out.append((number, ids[i], None, 0, 0, 0))
                         continue
                     if i not in opened:
-                        opened[i] = unpack(trees[i])
-                    got = best_first(q["tree"], opened[i], limit + slack, mode, eps, returns)
+                        opened[i] = unpack(trees[i]) if box_f is None else bulk_tree(unpack(trees[i]).points, box_f)
+                    got = best_first(q["tree"], opened[i], limit + slack, mode, eps, returns, "ball" if box_f is None else "box")
                     evaluations, expansions, kernels = evaluations + got.evaluations, expansions + got.expansions, kernels + 1
                     if got.distance is not None:
                         best = sorted([*best, (got.distance, ids[i])])[:k]
@@ -282,11 +285,11 @@ def _kernels(queries: list[dict], mode: str, eps: float, returns: str, k: int, s
     return run
 
 
-def topk_hausdorff_many(index: SearchIndex, queries: list[Query], k: int = 10, mode: str = "exact", eps: float | None = None, exclude_self: bool = True, returns: str = "center", wave: int | None = None) -> list[Run]:
+def topk_hausdorff_many(index: SearchIndex, queries: list[Query], k: int = 10, mode: str = "exact", eps: float | None = None, exclude_self: bool = True, returns: str = "center", wave: int | None = None, box_f: int | None = None) -> list[Run]:
     """The k datasets of smallest directed Hausdorff distance from each query, all queries in the same waves.
 
     The upper tree's nodes are bounded on the driver: a node of enough datasets gives a first limit, and nodes beyond the
-    limit are never read. A wave reads the packed trees below the nearest open nodes of each query; a task takes its
+    limit are never read (box_f: in place of the packed trees, box trees of that fanout are made on the spot). A wave reads the packed trees below the nearest open nodes of each query; a task takes its
     datasets by increasing lower bound and tightens the limit as it goes. Waves grow until no open node is within the k-th distance.
     """
     d, top = index.d, index.top
@@ -319,7 +322,7 @@ def topk_hausdorff_many(index: SearchIndex, queries: list[Query], k: int = 10, m
                 x["metrics"]["nodes_visited"] += x["at"] - begin
         if not active:
             break
-        for number, rows in _wave(index, [(n, queries[n], state[n]["limit"]) for n in active], list(wanted), mode, eps, returns, k, slack, exclude_self, most).items():
+        for number, rows in _wave(index, [(n, queries[n], state[n]["limit"]) for n in active], list(wanted), mode, eps, returns, k, slack, exclude_self, most, box_f).items():
             x = state[number]
             for key in ("evaluations", "expansions", "kernels"):
                 x["metrics"][key] += rows[key]
@@ -333,7 +336,15 @@ def topk_hausdorff_many(index: SearchIndex, queries: list[Query], k: int = 10, m
     return [Run(x["found"], x["metrics"]) for x in state]
 
 
-def _wave(index: SearchIndex, active: list, paths: list[str], mode: str, eps: float, returns: str, k: int, slack: float, exclude_self: bool, most: int) -> dict:
+def _tree_of(q: Query, f: int, box_f: int | None) -> Tree:
+    if box_f is not None:
+        from .baselines import bulk_tree
+
+        return bulk_tree(q.points, box_f)
+    return q.tree or build_tree(q.points, f)
+
+
+def _wave(index: SearchIndex, active: list, paths: list[str], mode: str, eps: float, returns: str, k: int, slack: float, exclude_self: bool, most: int, box_f: int | None) -> dict:
     """{query: its k best, its large datasets and counters} over the datasets below the nodes."""
     d = index.d
     at = F.col("path") if index.cut is None else F.substring("path", 1, index.cut)
@@ -342,11 +353,11 @@ def _wave(index: SearchIndex, active: list, paths: list[str], mode: str, eps: fl
         rows = rows.filter(F.col("path").isin(paths))
     elif len(paths) < len(index.top["path"]):
         rows = rows.join(F.broadcast(index.spark.createDataFrame([(p,) for p in paths], "path string")), "path", "left_semi")
-    shared = [{"o": q.o, "limit": limit, "skip": q.id if q.member and exclude_self else None, "most": most, "tree": q.tree or build_tree(q.points, index.f)} for _, q, limit in active]
+    shared = [{"o": q.o, "limit": limit, "skip": q.id if q.member and exclude_self else None, "most": most, "tree": _tree_of(q, index.f, box_f)} for _, q, limit in active]
     near = [ball_lower(constants(q.o), vec("o", d), F.col("radius")) <= F.lit(limit + slack) for _, q, limit in active]
     if len(near) <= 20:
         rows = rows.filter(reduce(lambda a, b: a | b, near))
-    got = rows.drop("path").mapInArrow(_kernels(shared, mode, eps, returns, k, slack), "q int, dataset_id string, distance double, evaluations long, expansions long, kernels long").collect()
+    got = rows.drop("path").mapInArrow(_kernels(shared, mode, eps, returns, k, slack, box_f), "q int, dataset_id string, distance double, evaluations long, expansions long, kernels long").collect()
     out = {n: {"best": [], "large": [], "evaluations": 0, "expansions": 0, "kernels": 0} for n, _, _ in active}
     for r in got:
         x = out[active[r["q"]][0]]
@@ -499,20 +510,26 @@ def exemplar_search(index: SearchIndex, query: str | DataFrame, k: int = 10, mea
 
 
 def ia_batch(index: SearchIndex, query_ids: list[str], k: int = 10) -> DataFrame:
-    """Top-k by shared area of many members at once."""
+    """Top-k by shared area of many members at once: upper leaves that meet a query's box, then the datasets below them."""
     d = index.d
-    q = index.roots.filter(F.col("dataset_id").isin(query_ids)).select(F.col("dataset_id").alias("query_id"), *(F.col(f"{n}{i}").alias(f"q{n}{i}") for n in ("lo", "hi") for i in range(d)))
-    scored = index.roots.join(F.broadcast(q), boxes_meet(vec("lo", d), vec("hi", d), vec("qlo", d), vec("qhi", d)) & (F.col("dataset_id") != F.col("query_id"))).select("query_id", "dataset_id", box_overlap(vec("lo", d), vec("hi", d), vec("qlo", d), vec("qhi", d)).alias("score")).filter("score > 0")
-    return _best_per_query(scored, k)
+    q = index.roots.join(_ids(index, query_ids), "dataset_id", "left_semi").select(F.col("dataset_id").alias("query_id"), *(F.col(f"{n}{i}").alias(f"q{n}{i}") for n in ("lo", "hi") for i in range(d)))
+    leaves = index.upper.filter("is_leaf").select("path", *(F.col(f"{n}{i}").alias(f"u{n}{i}") for n in ("lo", "hi") for i in range(d)))
+    hit = leaves.join(F.broadcast(q) if len(query_ids) <= 10_000 else q, boxes_meet(vec("ulo", d), vec("uhi", d), vec("qlo", d), vec("qhi", d))).select("path", "query_id", *vec("qlo", d), *vec("qhi", d))
+    scored = hit.join(index.members, "path").join(index.roots, "dataset_id").filter("dataset_id != query_id")
+    return _best_per_query(scored.select("query_id", "dataset_id", box_overlap(vec("lo", d), vec("hi", d), vec("qlo", d), vec("qhi", d)).alias("score")).filter("score > 0"), k)
+
+
+def _ids(index: SearchIndex, ids: list[str]) -> DataFrame:
+    return F.broadcast(index.spark.createDataFrame([(i,) for i in ids], "dataset_id string"))
 
 
 def gbo_batch(index: SearchIndex, query_ids: list[str], k: int = 10) -> DataFrame:
-    q = index.cells.filter(F.col("dataset_id").isin(query_ids)).select(F.col("dataset_id").alias("query_id"), "cell")
+    q = index.cells.join(_ids(index, query_ids), "dataset_id", "left_semi").select(F.col("dataset_id").alias("query_id"), "cell")
     scored = index.cells.join(q, "cell").filter("dataset_id != query_id").groupBy("query_id", "dataset_id").agg(F.count(F.lit(1)).alias("score"))
     return _best_per_query(scored, k)
 
 
-def hausdorff_batch(index: SearchIndex, query_ids: list[str], k: int = 10, mode: str = "exact", eps: float | None = None) -> dict[str, Run]:
+def hausdorff_batch(index: SearchIndex, query_ids: list[str], k: int = 10, mode: str = "exact", eps: float | None = None, box_f: int | None = None) -> dict[str, Run]:
     """Runs of many members, in waves that all queries share; as many go together as have MOST_BATCH_POINTS points."""
     d, out = index.d, {}
     rows = _of(index.packed, query_ids).select("dataset_id", "n", "radius", "tree", *vec("o", d), *vec("lo", d), *vec("hi", d))
@@ -533,7 +550,7 @@ def hausdorff_batch(index: SearchIndex, query_ids: list[str], k: int = 10, mode:
             t = unpack(bytes(r["tree"]))
             vector = lambda n: tuple(r[f"{n}{i}"] for i in range(d))  # noqa: B023, E731
             queries.append(Query(r["dataset_id"], r["n"], vector("o"), r["radius"], vector("lo"), vector("hi"), t.points, t.ids.tolist(), index.cells, True, t))
-        out |= {q.id: run for q, run in zip(queries, topk_hausdorff_many(index, queries, k, mode, eps))}
+        out |= {q.id: run for q, run in zip(queries, topk_hausdorff_many(index, queries, k, mode, eps, box_f=box_f))}
     return out
 
 

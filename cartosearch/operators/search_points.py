@@ -32,6 +32,43 @@ def range_points(index: SearchIndex, box: Box, datasets: str | list[str] | DataF
     return got.select("dataset_id", "point_id", *(F.col(f"o{i}").alias(f"c{i}") for i in range(d)))
 
 
+def range_points_batch(index: SearchIndex, queries: DataFrame) -> DataFrame:
+    """query_id, dataset_id, point_id, c..: the points in many rectangles (query_id, dataset_id, qlo.., qhi..), each of one dataset."""
+    d = index.d
+    q = queries.select("query_id", "dataset_id", *vec("qlo", d), *vec("qhi", d))
+    sides = vec("qlo", d), vec("qhi", d)
+    leaves = index.tree.filter(F.col("is_leaf") & (F.col("kind") == 0)).select("dataset_id", "path", *vec("lo", d), *vec("hi", d)).join(q, "dataset_id").filter(boxes_meet(vec("lo", d), vec("hi", d), *sides)).select("dataset_id", "path", "query_id", *sides[0], *sides[1])
+    points = index.tree.filter("kind = 1").select("dataset_id", "path", "point_id", *vec("o", d))
+    return points.join(leaves, ["dataset_id", "path"]).filter(point_inside(vec("o", d), *sides)).select("query_id", "dataset_id", "point_id", *(F.col(f"o{i}").alias(f"c{i}") for i in range(d)))
+
+
+def nearest_points_batch(index: SearchIndex, pairs: list[tuple[str, str]], k: int = 1) -> DataFrame:
+    """query_id, dataset_id, q_point_id, rank, d_point_id, distance for pairs of members: both packed trees meet in one row.
+    Pairs with a dataset of more points than a task takes go through nearest_points."""
+    spark = index.spark
+    named = spark.createDataFrame(pairs, "query_id string, dataset_id string")
+    packed = index.packed.select("dataset_id", "tree").filter("tree IS NOT NULL")
+    met = named.join(packed, "dataset_id").join(packed.select(F.col("dataset_id").alias("query_id"), F.col("tree").alias("q_tree")), "query_id")
+    schema = "query_id string, dataset_id string, q_point_id long, rank int, d_point_id long, distance double"
+
+    def run(batches):
+        for b in batches:
+            for q_id, d_id, tree, q_tree in zip(*(b.column(b.schema.get_field_index(c)).to_pylist() for c in ("query_id", "dataset_id", "tree", "q_tree"))):
+                q, t = unpack(q_tree), unpack(tree)
+                places, far, _ = nearest_in_tree(q.points, t, k)
+                n, m = places.shape
+                columns = (pa.array([q_id] * (n * m)), pa.array([d_id] * (n * m)), pa.array(np.repeat(q.ids, m)), pa.array(np.tile(np.arange(1, m + 1), n).astype(np.int32)), pa.array(t.ids[places.ravel()]), pa.array(far.ravel()))
+                yield pa.RecordBatch.from_arrays(columns, names=[x.split()[0] for x in schema.split(", ")])
+
+    out = met.mapInArrow(run, schema)
+    large = {r[0] for r in index.roots.filter(F.col("n") > MOST_TASK_POINTS).select("dataset_id").collect()}
+    for q, d in pairs:
+        if q in large or d in large:
+            got = nearest_points(index, q, d, k)
+            out = out.unionByName(got.select(F.lit(q).alias("query_id"), F.lit(d).alias("dataset_id"), "q_point_id", "rank", "d_point_id", "distance"))
+    return out
+
+
 def _query_tree(index: SearchIndex, query: str | DataFrame) -> DataFrame:
     return index.tree.filter(F.col("dataset_id") == query) if isinstance(query, str) else build_bottom(query, index.f)
 
