@@ -241,7 +241,7 @@ def _task_query(index: SearchIndex, query: str | DataFrame, clean: bool) -> Quer
     return as_query(index, query, clean)
 
 
-def _kernels(queries: list[dict], mode: str, eps: float, returns: str, k: int, slack: float, box_f: int | None = None):
+def _kernels(queries: list[dict], mode: str, eps: float, returns: str, k: int, box_f: int | None = None):
     """Rows of packed trees to (number of the query, dataset_id or null, distance, evaluations, expansions, kernels): of each batch the k
     nearest datasets of each query, datasets without a packed tree, and a row of counters."""
 
@@ -262,7 +262,7 @@ def _kernels(queries: list[dict], mode: str, eps: float, returns: str, k: int, s
                 lower = np.maximum(np.sqrt(((o - np.array(q["o"])) ** 2).sum(axis=1)) - radius, 0)
                 limit, best, evaluations, expansions, kernels = q["limit"], [], 0, 0, 0
                 for i in np.argsort(lower, kind="stable").tolist():
-                    if lower[i] > limit + slack:
+                    if lower[i] > limit:
                         break
                     if ids[i] == q["skip"]:
                         continue
@@ -271,7 +271,7 @@ def _kernels(queries: list[dict], mode: str, eps: float, returns: str, k: int, s
                         continue
                     if i not in opened:
                         opened[i] = unpack(trees[i]) if box_f is None else bulk_tree(unpack(trees[i]).points, box_f)
-                    got = best_first(q["tree"], opened[i], limit + slack, mode, eps, returns, "ball" if box_f is None else "box")
+                    got = best_first(q["tree"], opened[i], limit, mode, eps, returns, "ball" if box_f is None else "box")
                     evaluations, expansions, kernels = evaluations + got.evaluations, expansions + got.expansions, kernels + 1
                     if got.distance is not None:
                         best = sorted([*best, (got.distance, ids[i])])[:k]
@@ -291,9 +291,10 @@ def topk_hausdorff_many(index: SearchIndex, queries: list[Query], k: int = 10, m
     The upper tree's nodes are bounded on the driver: a node of enough datasets gives a first limit, and nodes beyond the
     limit are never read (box_f: in place of the packed trees, box trees of that fanout are made on the spot). A wave reads the packed trees below the nearest open nodes of each query; a task takes its
     datasets by increasing lower bound and tightens the limit as it goes. Waves grow until no open node is within the k-th distance.
+    Approximate distances are off by 2 eps at most, and so is the k-th of them: a dataset left out is truly farther than it,
+    and each of the k found is truly no farther than it and 2 eps.
     """
     d, top = index.d, index.top
-    slack = 2 * (eps if eps is not None else index.spec.epsilon()) if mode == "approx" else 0.0
     eps = index.spec.epsilon() if eps is None else eps
     size = wave or max(4 * k, 4 * index.spark.sparkContext.defaultParallelism)
     most = MOST_QUERY_POINTS
@@ -311,7 +312,7 @@ def topk_hausdorff_many(index: SearchIndex, queries: list[Query], k: int = 10, m
         active = []
         for number, x in enumerate(state):
             seen, begin = 0, x["at"]
-            while x["at"] < len(x["order"]) and seen < size and x["lower"][x["order"][x["at"]]] <= x["limit"] + slack:
+            while x["at"] < len(x["order"]) and seen < size and x["lower"][x["order"][x["at"]]] <= x["limit"]:
                 node = x["order"][x["at"]]
                 wanted[top["path"][node]] = None
                 seen += int(top["n"][node])
@@ -322,13 +323,13 @@ def topk_hausdorff_many(index: SearchIndex, queries: list[Query], k: int = 10, m
                 x["metrics"]["nodes_visited"] += x["at"] - begin
         if not active:
             break
-        for number, rows in _wave(index, [(n, queries[n], state[n]["limit"]) for n in active], list(wanted), mode, eps, returns, k, slack, exclude_self, most, box_f).items():
+        for number, rows in _wave(index, [(n, queries[n], state[n]["limit"]) for n in active], list(wanted), mode, eps, returns, k, exclude_self, most, box_f).items():
             x = state[number]
             for key in ("evaluations", "expansions", "kernels"):
                 x["metrics"][key] += rows[key]
             found = x["found"] + rows["best"]
             if rows["large"]:
-                found += _beyond(index, queries[number], rows["large"], x["limit"] + slack)
+                found += _beyond(index, queries[number], rows["large"], x["limit"])
             x["found"] = sorted(set(found))[:k]  # a dataset may come again with another query's nodes
             if len(x["found"]) == k:
                 x["limit"] = min(x["limit"], x["found"][-1][0])
@@ -344,7 +345,7 @@ def _tree_of(q: Query, f: int, box_f: int | None) -> Tree:
     return q.tree or build_tree(q.points, f)
 
 
-def _wave(index: SearchIndex, active: list, paths: list[str], mode: str, eps: float, returns: str, k: int, slack: float, exclude_self: bool, most: int, box_f: int | None) -> dict:
+def _wave(index: SearchIndex, active: list, paths: list[str], mode: str, eps: float, returns: str, k: int, exclude_self: bool, most: int, box_f: int | None) -> dict:
     """{query: its k best, its large datasets and counters} over the datasets below the nodes."""
     d = index.d
     at = F.col("path") if index.cut is None else F.substring("path", 1, index.cut)
@@ -354,10 +355,10 @@ def _wave(index: SearchIndex, active: list, paths: list[str], mode: str, eps: fl
     elif len(paths) < len(index.top["path"]):
         rows = rows.join(F.broadcast(index.spark.createDataFrame([(p,) for p in paths], "path string")), "path", "left_semi")
     shared = [{"o": q.o, "limit": limit, "skip": q.id if q.member and exclude_self else None, "most": most, "tree": _tree_of(q, index.f, box_f)} for _, q, limit in active]
-    near = [ball_lower(constants(q.o), vec("o", d), F.col("radius")) <= F.lit(limit + slack) for _, q, limit in active]
+    near = [ball_lower(constants(q.o), vec("o", d), F.col("radius")) <= F.lit(limit) for _, q, limit in active]
     if len(near) <= 20:
         rows = rows.filter(reduce(lambda a, b: a | b, near))
-    got = rows.drop("path").mapInArrow(_kernels(shared, mode, eps, returns, k, slack, box_f), "q int, dataset_id string, distance double, evaluations long, expansions long, kernels long").collect()
+    got = rows.drop("path").mapInArrow(_kernels(shared, mode, eps, returns, k, box_f), "q int, dataset_id string, distance double, evaluations long, expansions long, kernels long").collect()
     out = {n: {"best": [], "large": [], "evaluations": 0, "expansions": 0, "kernels": 0} for n, _, _ in active}
     for r in got:
         x = out[active[r["q"]][0]]

@@ -57,7 +57,7 @@ def nearest_points_batch(index: SearchIndex, pairs: list[tuple[str, str]], k: in
                 q, t = unpack(q_tree), unpack(tree)
                 places, far, _ = nearest_in_tree(q.points, t, k)
                 n, m = places.shape
-                columns = (pa.array([q_id] * (n * m)), pa.array([d_id] * (n * m)), pa.array(np.repeat(q.ids, m)), pa.array(np.tile(np.arange(1, m + 1), n).astype(np.int32)), pa.array(t.ids[places.ravel()]), pa.array(far.ravel()))
+                columns = [pa.array([q_id] * (n * m)), pa.array([d_id] * (n * m)), pa.array(np.repeat(q.ids, m)), pa.array(np.tile(np.arange(1, m + 1), n).astype(np.int32)), pa.array(t.ids[places.ravel()]), pa.array(far.ravel())]
                 yield pa.RecordBatch.from_arrays(columns, names=[x.split()[0] for x in schema.split(", ")])
 
     out = met.mapInArrow(run, schema)

@@ -1,7 +1,7 @@
 """The experiments: each sweeps one parameter over repositories and methods and returns measured rows.
 
 Every workload takes (spark, sf_dir), the repositories, the points of its sweep and how many query datasets to use; the
-defaults are the whole grid and 100 queries, or as many as there are: those of the smallest hashes. Times and counters
+defaults are the whole grid and 100 queries, 40 where Hausdorff distances are swept, or as many as there are: those of the smallest hashes. Times and counters
 are means per query. All queries of a point of the grid run in one plan or in shared waves. Only two baselines, which
 compare all pairs of points or of boxes, and the tree form of shared cells take the first `few` of the queries.
 """
@@ -191,7 +191,7 @@ def w_gbo_theta(spark, sf_dir, repos=("li_fort", "li_supp", "ev_home"), thetas=T
     return s.frame()
 
 
-def w_haus_k(spark, sf_dir, repos=("ev_home", "li_fort", "ev_slice", "ev_user"), ks=KS, n=100, few=5):
+def w_haus_k(spark, sf_dir, repos=("ev_home", "li_fort", "ev_slice", "ev_user"), ks=KS, n=40, few=3):
     s = Sheet(spark, "haus_k")
     for repo in repos:
         index = built(spark, sf_dir, repo)
@@ -202,7 +202,7 @@ def w_haus_k(spark, sf_dir, repos=("ev_home", "li_fort", "ev_slice", "ev_user"),
     return s.frame()
 
 
-def w_appro_eps(spark, sf_dir, repos=("ev_home", "li_fort", "ev_user"), thetas=THETAS, n=100):
+def w_appro_eps(spark, sf_dir, repos=("ev_home", "li_fort", "ev_user"), thetas=THETAS, n=40):
     s = Sheet(spark, "appro_eps")
     for repo in repos:
         index = built(spark, sf_dir, repo)
@@ -215,7 +215,7 @@ def w_appro_eps(spark, sf_dir, repos=("ev_home", "li_fort", "ev_user"), thetas=T
     return s.frame()
 
 
-def w_accuracy(spark, sf_dir, repos=("ev_home", "ev_slice", "li_fort", "ev_trip"), n=100):
+def w_accuracy(spark, sf_dir, repos=("ev_home", "ev_slice", "li_fort", "ev_trip"), n=40):
     s = Sheet(spark, "accuracy")
     for repo in repos:
         index = built(spark, sf_dir, repo)
@@ -234,7 +234,7 @@ def injected(points: DataFrame, share: float = 0.01, seed: int = 7) -> DataFrame
     return points.withColumn("injected", hit).withColumns(moved)
 
 
-def w_outliers(spark, sf_dir, repos=("ev_home", "ev_user", "li_fort"), n=100):
+def w_outliers(spark, sf_dir, repos=("ev_home", "ev_user", "li_fort"), n=40):
     """Raw, our cleaning and isolation cleaning (the truth): time of cleaning and accuracy of the top-k."""
     s = Sheet(spark, "outliers")
     for repo in repos:
@@ -267,7 +267,7 @@ def w_pair_f(spark, sf_dir, repos=("li_supp", "li_fort"), fs=FS):
     return s.frame()
 
 
-def w_topk_f(spark, sf_dir, repo="ev_home", fs=FS, n=100):
+def w_topk_f(spark, sf_dir, repo="ev_home", fs=FS, n=40):
     s = Sheet(spark, "topk_f")
     for f in fs:
         index = built(spark, sf_dir, repo, f)
@@ -275,7 +275,7 @@ def w_topk_f(spark, sf_dir, repo="ev_home", fs=FS, n=100):
     return s.frame()
 
 
-def w_dimension(spark, sf_dir, repos=("li_wide", "em_label"), ds=DS, n=100, few=2, k=10):
+def w_dimension(spark, sf_dir, repos=("li_wide", "em_label"), ds=DS, n=40, few=2, k=10):
     s = Sheet(spark, "dimension")
     for repo in repos:
         for d in ds:

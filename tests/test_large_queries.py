@@ -25,3 +25,20 @@ def test_large_queries_and_candidates(spark, points, monkeypatch):
     monkeypatch.setattr(sd, "MOST_QUERY_POINTS", 8)
     assert boxes_and_cells("0") == expected
     assert rounded(sd.topk_hausdorff(index, "0", 1)) == near
+
+
+def test_every_search_goes_on_beyond_a_task(spark, points, monkeypatch):
+    """With tiny bounds each search gives the same rows by its other way."""
+    from cartosearch.operators import search_points as sp
+
+    def rows(index):
+        pairs = sorted((r["q_id"], r["dataset_id"], round(r["distance"], 9)) for r in sd.similar_pairs(index, 4.0).collect())
+        near = sorted((r["q_point_id"], r["rank"], round(r["distance"], 9)) for r in sp.nearest_points(index, "2", "0", 2).collect())
+        runs = [[(i, round(v, 9)) for v, i in run.rows] for run in (sd.topk_hausdorff(index, "2", 2), sd.symmetric_topk(index, "2", 2), sd.hausdorff_pair(index, "2", "0"))]
+        return pairs, near, runs
+
+    expected = rows(ix.build_index(points, f=3, clean=False))
+    monkeypatch.setattr(sd, "MOST_QUERY_POINTS", 8)
+    monkeypatch.setattr(ix, "MOST_TASK_POINTS", 8)
+    monkeypatch.setattr(sp, "MOST_TASK_POINTS", 8)
+    assert rows(ix.build_index(points, f=3, clean=False)) == expected

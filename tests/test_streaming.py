@@ -126,3 +126,8 @@ def test_sql_surface(spark, batch):
     register_search(spark, index)
     first = index.roots.agg(F.min("dataset_id")).first()[0]
     assert spark.sql(f"SELECT * FROM search_datasets('hausdorff', 3, '{first}')").count() == 3
+    last = index.roots.agg(F.max("dataset_id")).first()[0]
+    assert spark.sql(f"SELECT * FROM search_datasets('hausdorff', 12, '{last}')").count() == 12
+    for bad in ("'hausdorff', 3, 'nobody'", f"'nothing', 3, '{first}'"):
+        with pytest.raises(Exception, match="no such"):
+            spark.sql(f"SELECT * FROM search_datasets({bad})").collect()
