@@ -158,7 +158,7 @@ def w_index_scale(spark, sf_dir, repos=("li_part", "or_cust", "ev_trip"), ms=MS)
     return s.frame()
 
 
-def w_overlap_k(spark, sf_dir, repos=("ev_home", "ev_trip", "li_part", "or_cust"), ks=KS, n=100, few=2):
+def w_overlap_k(spark, sf_dir, repos=("ev_home", "ev_trip", "li_part", "or_cust"), ks=KS, n=100, few=1):
     s = Sheet(spark, "overlap_k")
     for repo in repos:
         index = built(spark, sf_dir, repo)
@@ -168,7 +168,7 @@ def w_overlap_k(spark, sf_dir, repos=("ev_home", "ev_trip", "li_part", "or_cust"
     return s.frame()
 
 
-def w_overlap_f(spark, sf_dir, repos=("ev_home", "ev_trip", "li_part", "or_cust"), fs=FS, n=100, few=2):
+def w_overlap_f(spark, sf_dir, repos=("ev_home", "ev_trip", "li_part", "or_cust"), fs=FS, n=100, few=1):
     s = Sheet(spark, "overlap_f")
     for repo in repos:
         for f in fs:
@@ -177,7 +177,7 @@ def w_overlap_f(spark, sf_dir, repos=("ev_home", "ev_trip", "li_part", "or_cust"
     return s.frame()
 
 
-def w_gbo_theta(spark, sf_dir, repos=("li_fort", "li_supp", "ev_home"), thetas=THETAS, n=100, few=5):
+def w_gbo_theta(spark, sf_dir, repos=("li_fort", "li_supp", "ev_home"), thetas=THETAS, n=100, few=1):
     """Shared cells by resolution, by postings for all queries and through the tree for some; `evaluations` of "postings" is their number."""
     s = Sheet(spark, "gbo_theta")
     for repo in repos:
@@ -191,7 +191,7 @@ def w_gbo_theta(spark, sf_dir, repos=("li_fort", "li_supp", "ev_home"), thetas=T
     return s.frame()
 
 
-def w_haus_k(spark, sf_dir, repos=("ev_home", "li_fort", "ev_slice", "ev_user"), ks=KS, n=40, few=3):
+def w_haus_k(spark, sf_dir, repos=("ev_home", "li_fort", "ev_slice", "ev_user"), ks=KS, n=40, few=2):
     s = Sheet(spark, "haus_k")
     for repo in repos:
         index = built(spark, sf_dir, repo)
@@ -275,7 +275,7 @@ def w_topk_f(spark, sf_dir, repo="ev_home", fs=FS, n=40):
     return s.frame()
 
 
-def w_dimension(spark, sf_dir, repos=("li_wide", "em_label"), ds=DS, n=40, few=2, k=10):
+def w_dimension(spark, sf_dir, repos=("li_wide", "em_label"), ds=DS, n=40, few=1, k=10):
     s = Sheet(spark, "dimension")
     for repo in repos:
         for d in ds:
@@ -283,7 +283,7 @@ def w_dimension(spark, sf_dir, repos=("li_wide", "em_label"), ds=DS, n=40, few=2
             ids = queries_of(index, n)
             s.add_many(repo, "ia", "d", d, ids, lambda i: sd.ia_batch(index, i, k))
             s.add_many(repo, "gbo", "d", d, ids, lambda i: sd.gbo_batch(index, i, k))
-            truth = s.add_many(repo, "exact", "d", d, ids[: 5 * few], lambda i: sd.hausdorff_batch(index, i, k))
+            truth = s.add_many(repo, "exact", "d", d, ids[:10], lambda i: sd.hausdorff_batch(index, i, k))
             _baselines(s, index, repo, "d", d, ids, k, few, truth)
     return s.frame()
 
