@@ -1,12 +1,13 @@
 """Quality rules as a learned decision list, in DataFrame functions only.
 
 Sequential covering: a conjunction of thresholds is grown on two thirds of the labelled rows until it covers no
-good row or has three conditions, pruned on the rest, and kept if it is precise enough; what it covers is set
-aside and the next one is grown. The list becomes ordered Spark conditional expressions over statistics of each
-text, which are array and regular-expression functions of the text alone.
+good row or has three conditions, and pruned on the rest. Good rows that it covers all the same get rules of their own,
+grown within it, which keep them and stand before it. If it is precise then, what it covers is set aside and the next one is
+grown. The list becomes ordered Spark conditional expressions over statistics of each text, which are array and
+regular-expression functions of the text alone.
 
-Null or empty text: no words, all statistics 0, so the base rule fails it. Ties among thresholds go to the
-better covered, then the earlier one. Repeated doc_ids in labels count once per matching row. Without labels the list
+Null or empty text: no words, all statistics 0, so the base rule fails it. Ties among conditions go to the
+one that fewest rows meet, then the earlier one. Repeated doc_ids in labels count once per matching row. Without labels the list
 is empty and keeps what the base rule keeps. Other columns are neither read nor changed.
 """
 
@@ -97,62 +98,119 @@ class Condition:
         return by[self.statistic] > self.threshold if self.above else by[self.statistic] <= self.threshold
 
 
-def learn(rows: list[dict[str, float]], bad: list[bool], precision: float = 0.99, support: int = 5, longest: int = 3, thresholds: int = 40) -> list[tuple[Condition, ...]]:
-    """Rules that reject, in order. Sets of rows are bits of an integer, so each trial is a few word operations."""
+@dataclass(frozen=True)
+class Rule:
+    """What holds for all conditions is kept or rejected."""
+
+    keeps: bool
+    conditions: tuple[Condition, ...]
+
+    def holds(self, row: dict[str, float]) -> bool:
+        return all(c.holds(row) for c in self.conditions)
+
+
+def decide(rules: list[Rule], row: dict[str, float]) -> bool:
+    """Whether the list keeps a row: the first rule that holds says so, none keeps."""
+    return next((r.keeps for r in rules if r.holds(row)), True)
+
+
+def learn(rows: list[dict[str, float]], bad: list[bool], precision: float = 0.99, support: int = 5, longest: int = 3, thresholds: int = 40) -> list[Rule]:
+    """The ordered list. A rejecting rule that also covers good rows is preceded by rules that keep these, grown within it;
+    one that stays imprecise is left out and the rows it was grown for are set aside. Sets of rows are bits of an integer,
+    so each trial is a few word operations."""
     from math import log2
 
+    def some(values: list[float]) -> list[float]:
+        """About `thresholds` of them, evenly spread."""
+        return values if len(values) <= thresholds else values[:: len(values) // thresholds]
+
     conditions: dict[Condition, int] = {}
     for s in STATISTICS:
         values = sorted({r[s] for r in rows})
-        cuts = sorted({(values[i] + values[i + 1]) / 2 for i in range(len(values) - 1) if len(values) <= thresholds or i % (len(values) // thresholds) == 0})
+        # Rejected rows are few: cuts among all values alone would pass over the places where they begin and end.
+        marks = {*some(values), *some(sorted({r[s] for r, b in zip(rows, bad) if b}))}
+        cuts = sorted({(x + y) / 2 for x, y in zip(values, values[1:]) if x in marks or y in marks})
         for cut in cuts:
             covered = sum(1 << i for i, r in enumerate(rows) if r[s] > cut)
             conditions[Condition(s, True, cut)] = covered
             conditions[Condition(s, False, cut)] = ~covered & ((1 << len(rows)) - 1)
     positive = sum(1 << i for i, b in enumerate(bad) if b)
     left = (1 << len(rows)) - 1
+    negative = left & ~positive
     grow = sum(1 << i for i in range(len(rows)) if i % 3)
 
-    def split(bits: int) -> tuple[int, int]:
-        return (bits & positive).bit_count(), (bits & ~positive).bit_count()
+    def cover(rule: list[Condition], bits: int) -> int:
+        for c in rule:
+            bits &= conditions[c]
+        return bits
 
-    found: list[tuple[Condition, ...]] = []
-    while True:
-        rule: list[Condition] = []
-        covered = left
+    def extended(rule: list[Condition], target: int, other: int, among: int) -> list[Condition]:
+        """The conjunction with further conditions, as rows of `among` suggest them."""
+        rule = list(rule)
+        here = cover(rule, (target | other) & among)
         while len(rule) < longest:
-            p0, n0 = split(covered & grow)
+            p0, n0 = (here & target).bit_count(), (here & other).bit_count()
             if not p0 or not n0:
                 break
-            best, gain, kept = None, 0.0, 0
+            best, gain, least = None, 0.0, 0
             for c, bits in conditions.items():
-                p, n = split(covered & grow & bits)
-                if p and (g := p * (log2(p / (p + n)) - log2(p0 / (p0 + n0)))) > gain + 1e-9:
-                    best, gain, kept = c, g, covered & bits
+                p, n = (here & bits & target).bit_count(), (here & bits & other).bit_count()
+                g = p * (log2(p / (p + n)) - log2(p0 / (p0 + n0))) if p else 0.0
+                if g > 1e-9 and g > gain - 1e-9:
+                    size = bits.bit_count()
+                    if g > gain + 1e-9 or size < least:
+                        best, gain, least = c, g, size
             if best is None:
                 break
             rule.append(best)
-            covered = kept
-        if not rule:
-            return found
+            here &= conditions[best]
+        return rule
+
+    def grown(target: int, other: int) -> list[list[Condition]]:
+        """A conjunction that covers rows of target and few of other: grown on two thirds of them, pruned on the rest; after it
+        the forms that pruning went through, up to the whole one, and this one grown on with all rows."""
+        rule = extended([], target, other, grow)
 
         def worth(r: list[Condition]) -> float:
-            bits = left & ~grow
-            for c in r:
-                bits &= conditions[c]
-            p, n = split(bits)
+            bits = cover(r, ~grow)
+            p, n = (bits & target).bit_count(), (bits & other).bit_count()
             return (p - n) / (p + n) if p + n else -1.0
 
-        while len(rule) > 1 and worth(rule[:-1]) >= worth(rule):
-            rule.pop()
-        bits = left
-        for c in rule:
-            bits &= conditions[c]
-        p, n = split(bits)
-        if p < support or p < precision * (p + n):
-            return found
-        found.append(tuple(rule))
-        left &= ~bits
+        size = len(rule)
+        while size > 1 and worth(rule[: size - 1]) >= worth(rule[:size]):
+            size -= 1
+        return [*(rule[:n] for n in range(size, len(rule) + 1)), extended(rule, target, other, -1)] if rule else []
+
+    def precise(bits: int, target: int) -> bool:
+        """Enough rows, nearly all of the target, among all rows and among those that the rule was not grown on."""
+        p, tried = (bits & target).bit_count(), bits & ~grow
+        unseen = (tried & target).bit_count()
+        return p >= support and p >= precision * bits.bit_count() and unseen > 0 and unseen >= precision * tried.bit_count()
+
+    def kept_within(rule: list[Condition], bits: int) -> tuple[list[Rule], int]:
+        """Rules that keep good rows which `rule` covers, and the rows it is left with."""
+        out: list[Rule] = []
+        while not precise(bits, positive):
+            inner = next((c for c in grown(bits & negative, bits & positive) if precise(cover(c, bits), negative)), None)
+            if inner is None:
+                break
+            out.append(Rule(True, (*rule, *inner)))
+            bits &= ~cover(inner, bits)
+        return out, bits
+
+    found: list[Rule] = []
+    wanted = positive
+    while forms := grown(wanted & left, negative & left):
+        for rule in forms:
+            taken = cover(rule, left)
+            before, bits = kept_within(rule, taken)
+            if precise(bits, positive):
+                found += [*before, Rule(False, tuple(rule))]
+                left &= ~taken
+                break
+        else:
+            wanted &= ~taken
+    return found
 
 
 def labelled_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> tuple[list[dict[str, float]], list[bool]]:
@@ -164,14 +222,14 @@ def labelled_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> t
     return [{s: float(r[s]) for s in STATISTICS} for r in got], [r["_q_quality"] == 0 for r in got]
 
 
-def verdict(rules: list[tuple[Condition, ...]]) -> Column:
-    """The ordered list: the first rule that holds rejects, none keeps."""
+def verdict(rules: list[Rule]) -> Column:
+    """The ordered list as one conditional expression: the first rule that holds keeps or rejects, none keeps."""
     by, out = measures(), None
     for rule in rules:
         test = F.lit(True)
-        for c in rule:
+        for c in rule.conditions:
             test = test & c.column(by)
-        out = F.when(test, F.lit(False)) if out is None else out.when(test, F.lit(False))
+        out = F.when(test, F.lit(rule.keeps)) if out is None else out.when(test, F.lit(rule.keeps))
     return F.lit(True) if out is None else out.otherwise(F.lit(True))
 
 
