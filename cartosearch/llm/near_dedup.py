@@ -365,6 +365,26 @@ def _sets_by_runs(batches, limit: int = 1 << 19):
                 yield part, Multisets(tb.column(part, "z").to_pylist())
 
 
+def most_frequent(counts: DataFrame, most: int) -> DataFrame:
+    """The about `most` rows of counts (item, n) of the largest n, items being hashes.
+
+    A sorted limit would send as many rows of every partition to the driver. Here a histogram over eighths of powers of two
+    goes there; whole classes of it are taken from the top, and of the class that they leave no room for a share, by item.
+    """
+    level = F.floor(F.log2("n") * 8).cast("int")
+    sizes = counts.groupBy(level.alias("level")).count().orderBy(F.desc("level")).collect()
+    left, at = most, None
+    for r in sizes:
+        if r["count"] > left:
+            at = r["level"]
+            break
+        left -= r["count"]
+    if at is None:
+        return counts
+    share = left * (1 << 20) // next(r["count"] for r in sizes if r["level"] == at)
+    return counts.filter((level > at) | ((level == at) & (F.pmod("item", F.lit(1 << 20)) < share)))
+
+
 def _cut_by_heads(rows: DataFrame) -> DataFrame:
     """rows by parts of clusters in place of clusters; texts that are similar to no other are left out.
 
@@ -378,8 +398,9 @@ def _cut_by_heads(rows: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(items.view(np.int64)), pa.array(n, pa.int64())], names=["item", "n"])
 
     counts = rows.mapInArrow(count, "item long, n long").groupBy("item").agg(F.sum("n").alias("n")).filter("n > 1")
-    frequent = counts.orderBy(F.desc("n"), "item").limit(FREQUENT).collect()
-    known = np.array([r["item"] for r in frequent], np.int64).view(np.uint64)
+    frequent = most_frequent(checkpointed(counts), FREQUENT).toArrow()
+    n, known = (frequent.column(c).to_numpy() for c in ("n", "item"))
+    known = known[np.lexsort((known, -n))].view(np.uint64)
     by_item = np.argsort(known)
     shared = spark.sparkContext.broadcast((known[by_item], len(known) - by_item))
 
