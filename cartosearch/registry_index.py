@@ -350,33 +350,33 @@ def _spec(s, d) -> GridSpec:
 
 
 def s_roots(s, d, st, points):
-    got = latest(st.to_memory(st.stream_roots(points), "update"), "dataset_id", "n")
+    got = latest(st.to_files(st.stream_roots(points), "update"), "dataset_id", "n")
     return rounded(got.select("dataset_id", "n", "lo1", "hi1", F.col("radius").alias("radius_bound") if "radius" in got.columns else F.col("radius_bound")), "lo1", "hi1", "radius_bound")
 
 
 def s_cells(s, d, st, points):
-    return st.to_memory(st.stream_cells(points, _spec(s, d), "4000 days"), "append").select("dataset_id", "cell")
+    return st.to_files(st.stream_cells(points, _spec(s, d), "4000 days"), "append").select("dataset_id", "cell")
 
 
 def s_slices(s, d, st, points):
-    got = st.to_memory(st.stream_slices(points, "1 day", lateness="4000 days"), "update")
+    got = st.to_files(st.stream_slices(points, "1 day", lateness="4000 days"), "update")
     got = got.withColumn("start", F.date_format("start", "yyyy-MM-dd")).withColumn("key", F.concat("dataset_id", F.lit("|"), "start"))
     return rounded(latest(got, "key", "n").select("dataset_id", "start", "n", "lo1", "hi1"), "lo1", "hi1")
 
 
 def s_box(s, d, st, points):
-    return st.to_memory(st.stream_range_points(points, Box((10.0, 5.0), (300.0, 40.0))), "append").select("dataset_id", "point_id")
+    return st.to_files(st.stream_range_points(points, Box((10.0, 5.0), (300.0, 40.0))), "append").select("dataset_id", "point_id")
 
 
 def s_fences(s, d, st, points):
     fences = s.createDataFrame([("a", 0.0, 0.0, 100.0, 20.0), ("b", 50.0, 10.0, 400.0, 60.0)], "fence string, qlo0 double, qlo1 double, qhi0 double, qhi1 double")
-    return st.to_memory(st.stream_fences(points, fences), "append").select("dataset_id", "point_id", "fence")
+    return st.to_files(st.stream_fences(points, fences), "append").select("dataset_id", "point_id", "fence")
 
 
 def s_gbo(s, d, st, points):
     cells = built(s, d, "ev_user").cells
     q = cells.filter(F.col("dataset_id") == first_id(cells)).select("cell")
-    return latest(st.to_memory(st.stream_gbo(points, _spec(s, d), q), "update"), "dataset_id", "score").select("dataset_id", "score")
+    return latest(st.to_files(st.stream_gbo(points, _spec(s, d), q), "update"), "dataset_id", "score").select("dataset_id", "score")
 
 
 def s_index(s, d, st, points):

@@ -7,6 +7,7 @@ import uuid
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..checkpoints import checkpoint_dir
 from ..functions.geometry import boxes_meet, constants, dims, point_inside, vec
 from ..functions.zorder import z_id
 from ..model import Box, GridSpec
@@ -124,9 +125,25 @@ def to_memory(df: DataFrame, mode: str) -> DataFrame:
     return df.sparkSession.table(name)
 
 
+def to_files(df: DataFrame, mode: str) -> DataFrame:
+    """As to_memory, but each batch goes from the tasks to Parquet in the shared checkpoint folder, and no row to the driver.
+    A batch that is run again takes its own place."""
+    spark = df.sparkSession
+    folder = f"{checkpoint_dir(spark)}/stream-{uuid.uuid4().hex}"
+
+    def write(batch: DataFrame, epoch: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/rows/batch={epoch}")
+
+    # The first folder is there even if the stream has no batch.
+    spark.createDataFrame([], df.schema).write.parquet(f"{folder}/rows/batch=none")
+    query = df.writeStream.outputMode(mode).foreachBatch(write).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
+    query.awaitTermination()
+    return spark.read.schema(df.schema).parquet(f"{folder}/rows/batch=*")
+
+
 def replay_roots(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The running roots of the events after the last batch; only each dataset's latest row counts."""
     points = stream_points(stream_events(spark, sf_dir, "events.parquet"))
-    got = to_memory(stream_roots(points), "update")
+    got = to_files(stream_roots(points), "update")
     latest = Window.partitionBy("dataset_id").orderBy(F.desc("n"))
     return got.withColumn("r", F.row_number().over(latest)).filter("r = 1").select("dataset_id", "n", F.round("lo1", 6).alias("lo1"), F.round("hi1", 6).alias("hi1"))

@@ -131,3 +131,18 @@ def test_sql_surface(spark, batch):
     for bad in ("'hausdorff', 3, 'nobody'", f"'nothing', 3, '{first}'"):
         with pytest.raises(Exception, match="no such"):
             spark.sql(f"SELECT * FROM search_datasets({bad})").collect()
+
+
+def test_replays_keep_no_rows_on_the_driver(spark, points, monkeypatch):
+    def refuse(*_):
+        raise AssertionError("rows of a stream went to the driver")
+
+    from cartosearch.registry_index import QUERIES
+
+    expected = sorted(map(tuple, st.to_memory(st.stream_range_points(points, Box((10.0, 5.0), (300.0, 40.0))), "append").select("dataset_id", "point_id").collect()))
+    monkeypatch.setattr(st, "to_memory", refuse)
+    for name in ("stream_cells", "stream_slices", "stream_fences"):
+        assert QUERIES[name][0](spark, SF).count() > 0
+    assert sorted(map(tuple, QUERIES["stream_range_points"][0](spark, SF).collect())) == expected
+    nothing = st.to_files(st.stream_range_points(points, Box((-9.0, -9.0), (-8.0, -8.0))), "append")
+    assert nothing.columns == points.columns and nothing.count() == 0
