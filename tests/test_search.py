@@ -241,3 +241,15 @@ def test_aggregates(spark, points, index):
     for r in index.roots.collect():
         own = got[r["dataset_id"]]
         assert (own["b"]["lo0"], own["b"]["hi1"]) == (r["lo0"], r["hi1"]) and own["z"] == sorted(own["z"]) and far[r["dataset_id"]] == pytest.approx(r["radius"])
+
+
+def test_queries_read_the_tables_as_they_are(spark, tmp_path):
+    from cartosearch import registry
+
+    events = spark.read.parquet(f"{SF}/events.parquet")
+    for users, more in ((3, 0.0), (5, 0.0), (5, 50.0)):
+        events.filter(F.col("user_id") < users).withColumn("value", F.col("value") + F.when(F.col("user_id") == 1, more).otherwise(0.0)).write.mode("overwrite").parquet(f"{tmp_path}/events.parquet")
+        got = {r["dataset_id"]: r["upper"] for r in registry.queries()["box_bounds"](spark, str(tmp_path)).collect()}
+        assert len(got) == users - 1
+        assert more == 0 or got["1"] > last["1"]
+        last = got
