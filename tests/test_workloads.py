@@ -101,3 +101,19 @@ def test_rectangles_beyond_a_broadcast(spark):
     boxes = w._rectangles(index, w.queries_of(index, 20), 2)
     rows = lambda df: sorted(tuple(r) for r in df.collect())
     assert rows(sd.range_datasets_batch(index, boxes)) == rows(sd.range_datasets_batch(index, boxes, most=3))
+
+
+def test_shared_cells_of_many_in_blocks(spark):
+    """Every dataset as a query, in one block and in many, against sets of cells; ties by dataset_id."""
+    from cartosearch.operators import search_datasets as sd
+
+    index = w.built(spark, SF, "ev_home")
+    cells = {}
+    for r in index.cells.collect():
+        cells.setdefault(r["dataset_id"], set()).add(r["cell"])
+    want = set()
+    for q, own in cells.items():
+        scores = sorted((-len(own & c), i) for i, c in cells.items() if i != q and own & c)[:3]
+        want |= {(q, rank + 1, i, -s) for rank, (s, i) in enumerate(scores)}
+    for got in (sd.gbo_batch(index, list(cells), 3), sd.gbo_batch(index, list(cells), 3, most=40, most_queries=4)):
+        assert {(r["query_id"], r["rank"], r["dataset_id"], r["score"]) for r in got.collect()} == want
