@@ -253,3 +253,27 @@ def test_queries_read_the_tables_as_they_are(spark, tmp_path):
         assert len(got) == users - 1
         assert more == 0 or got["1"] > last["1"]
         last = got
+
+
+def test_blocks_make_the_trees_of_single_datasets(spark, points, monkeypatch):
+    """All datasets of a partition at once, with or without large ones beside them: built, cleaned and packed."""
+    from cartosearch.checkpoints import checkpointed
+    from cartosearch.operators import bottom_index as bi
+    from cartosearch.operators import outliers
+    from cartosearch.operators.kernels import unpack
+
+    def agree(a, b):
+        a, b = (sorted(tuple((r["dataset_id"], r["kind"], r["path"], r["point_id"] or 0, r["n"], bool(r["is_leaf"]), r["radius"], r["o0"], r["o1"], r["lo0"] or 0, r["hi1"] or 0)) for r in t.collect()) for t in (a, b))
+        return [x[:6] for x in a] == [x[:6] for x in b] and np.allclose([x[6:] for x in a], [x[6:] for x in b], rtol=1e-12)
+
+    tree = checkpointed(bi.build_bottom(points, 5))
+    assert agree(bi.build_groups(points, 5), tree)
+    limit = knee_threshold(leaf_radii(tree))
+    assert agree(remove_outliers(tree, limit), outliers._remove(tree, limit, "keep"))
+    assert agree(remove_outliers(tree, 0.0, on_empty="drop"), outliers._remove(tree, 0.0, "drop"))
+    packed = {r["dataset_id"]: unpack(bytes(r["tree"])) for r in bi.packed_trees(tree).collect()}
+    roots = {r["dataset_id"]: r for r in bi.dataset_roots(tree).collect()}
+    assert packed.keys() == roots.keys() and all(len(packed[i].points) == r["n"] and packed[i].radius[0] == r["radius"] for i, r in roots.items())
+    monkeypatch.setattr(bi, "MOST_BLOCK_POINTS", 65)
+    assert agree(bi.build_bottom(points, 5), tree)
+    assert agree(remove_outliers(tree, limit), outliers._remove(tree, limit, "keep"))
