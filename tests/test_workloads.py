@@ -117,3 +117,10 @@ def test_shared_cells_of_many_in_blocks(spark):
         want |= {(q, rank + 1, i, -s) for rank, (s, i) in enumerate(scores)}
     for got in (sd.gbo_batch(index, list(cells), 3), sd.gbo_batch(index, list(cells), 3, most=40, most_queries=4)):
         assert {(r["query_id"], r["rank"], r["dataset_id"], r["score"]) for r in got.collect()} == want
+
+
+def test_a_sweep_makes_the_cell_arrays_of_its_scan_once(spark, monkeypatch):
+    made, real = [], w.signatures
+    monkeypatch.setattr(w, "signatures", lambda *a: made.append(a) or real(*a))
+    by = {(r["method"], r["value"]): r["n_results"] for r in rows(w.w_overlap_k(spark, SF, repos=("ev_home",), ks=(2, 4), n=3))}
+    assert len(made) == 1 and all(by["scan", k] == by["gbo", k] for k in (2.0, 4.0))
