@@ -1,8 +1,11 @@
 """What the sweeps of the workloads rest on: the same results from fewer rows and fewer jobs."""
 
+import numpy as np
 from pyspark.sql import functions as F
 
+from cartosearch.operators import baselines as base
 from cartosearch.operators import index as ix
+from cartosearch.operators.kernels import all_pairs
 from cartosearch.operators.upper_index import build_upper, upper_in_task
 from cartosearch.plans import workloads as w
 from cartosearch.sources.repositories import repository_extent, sized_extent
@@ -10,6 +13,25 @@ from cartosearch.sources.repositories import repository_extent, sized_extent
 SF = "/root/testdata/sf0.001"
 
 
+def test_all_pairs_in_blocks():
+    r = np.random.default_rng(3)
+    for n, m, d in ((1, 1, 2), (7, 50, 2), (40, 9, 5)):
+        q, p = r.normal(size=(n, d)), r.normal(size=(m, d))
+        want = np.sqrt(((q[:, None] - p[None]) ** 2).sum(axis=2)).min(axis=1).max()
+        assert all(abs(all_pairs(q, p, *x) - want) < 1e-12 for x in ((4096, 16), (4, 3), (1, 1)))
+
+
+def test_box_bounds_compare_pairs_in_blocks(spark):
+    """Pairs of points are no rows, but for datasets beyond `most` points; both ways agree."""
+    index = w.built(spark, SF, "ev_home")
+    ids = w.queries_of(index, 3)
+    got = base.box_bound_batch(index, ids, 4)
+    rows = lambda df: sorted((r["query_id"], r["rank"], r["dataset_id"], round(r["score"], 9), r["evaluations"]) for r in df.collect())
+    assert "q_id" not in got._jdf.queryExecution().optimizedPlan().toString()
+    sizes = [r["n"] for r in index.roots.select("n").collect()]
+    assert rows(got) == rows(base.box_bound_batch(index, ids, 4, most=0)) == rows(base.box_bound_batch(index, ids, 4, most=sorted(sizes)[len(sizes) // 2]))
+
+
 def test_upper_tree_in_one_task(spark, monkeypatch):
     """The same nodes and members from one task as from joins."""
     index = w.built(spark, SF, "ev_trip")
