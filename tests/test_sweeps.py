@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 
 from cartosearch.operators import baselines as base
 from cartosearch.operators import index as ix
-from cartosearch.operators.kernels import all_pairs
+from cartosearch.operators.kernels import all_pairs, build_tree, by_parts, parts_of
 from cartosearch.operators.upper_index import build_upper, upper_in_task
 from cartosearch.plans import workloads as w
 from cartosearch.sources.repositories import repository_extent, sized_extent
@@ -55,3 +55,28 @@ def test_extent_and_sizes_from_one_pass(spark):
     assert sized_extent(points) == (repository_extent(points), sum(sizes), max(sizes))
     index = ix.build_index(points.filter(F.col("dataset_id").isin(["1", "2"])), clean=False)
     assert index.upper.filter("path = ''").first()["n_datasets"] == index.members.count()
+
+
+def test_parts_of_a_query_go_down_a_tree_together():
+    """The distance of all pairs, or None beyond tau; approximate values within the slack; few passes for many parts."""
+    r = np.random.default_rng(5)
+    for n, m, d, far in ((3, 4, 2, 0.0), (900, 700, 2, 0.0), (600, 2000, 2, 3.0), (500, 300, 5, 0.5), (2000, 1, 3, 1.0), (40, 900, 2, 40.0)):
+        q, p = build_tree(r.normal(size=(n, d)), 10), build_tree(r.normal(size=(m, d)) + far, 10)
+        want = all_pairs(q.points, p.points)
+        for parts in (None, parts_of(q, 5), parts_of(q, 10_000)):
+            value, most, evaluations, _ = by_parts(q, p, np.inf, parts)
+            assert abs(value - want) < 1e-12 and most >= value and evaluations > 0
+            assert abs(by_parts(q, p, want, parts, want * 0.9)[0] - want) < 1e-12
+            assert by_parts(q, p, want * 0.99, parts)[0] is None
+            value, most, _, _ = by_parts(q, p, np.inf, parts, 0.0, 0.3)
+            assert value - 1e-12 <= want <= most + 1e-12 and want - value <= 0.3 + 1e-9 and most - value <= 0.3 + 1e-9
+
+
+def test_parts_share_the_passes_over_a_tree(monkeypatch):
+    r = np.random.default_rng(6)
+    q, p = build_tree(r.normal(size=(3000, 2)), 10), build_tree(r.normal(size=(3000, 2)), 10)
+    calls, real = [], type(p).below_all
+    monkeypatch.setattr(type(p), "below_all", lambda self, nodes: calls.append(1) or real(self, nodes))
+    parts = parts_of(q, 64)
+    by_parts(q, p, np.inf, parts)
+    assert len(calls) <= len(parts)
