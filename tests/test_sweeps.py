@@ -5,6 +5,7 @@ from pyspark.sql import functions as F
 
 from cartosearch.operators import baselines as base
 from cartosearch.operators import index as ix
+from cartosearch.operators import search_datasets as sd
 from cartosearch.operators.kernels import all_pairs, build_tree, by_parts, parts_of
 from cartosearch.operators.upper_index import build_upper, upper_in_task
 from cartosearch.plans import workloads as w
@@ -80,3 +81,18 @@ def test_parts_share_the_passes_over_a_tree(monkeypatch):
     parts = parts_of(q, 64)
     by_parts(q, p, np.inf, parts)
     assert len(calls) <= len(parts)
+
+
+def test_many_queries_share_few_waves(spark, monkeypatch):
+    """After a first wave that gives limits, many queries take the rest at once; the results are those of single searches."""
+    index = w.built(spark, SF, "ev_trip")
+    ids, waves, real = w.queries_of(index, 6), [], sd._wave
+    assert index.roots.count() > 40
+    single = {q: sd.topk_hausdorff(index, q, 3, wave=2).rows for q in ids}
+    monkeypatch.setattr(sd, "_wave", lambda *a: waves.append(1) or real(*a))
+    state = index.packed.filter(F.col("dataset_id").isin(ids)).collect()
+    queries = [sd._task_query(index, r["dataset_id"], True) for r in state]
+    got = sd.topk_hausdorff_many(index, queries, 3, wave=2)
+    assert len(waves) <= 3
+    for q, run in zip(queries, got):
+        assert [(round(v, 9), i) for v, i in run.rows] == [(round(v, 9), i) for v, i in single[q.id]]
