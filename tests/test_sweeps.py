@@ -28,6 +28,7 @@ def test_box_bounds_compare_pairs_in_blocks(spark):
     ids = w.queries_of(index, 3)
     got = base.box_bound_batch(index, ids, 4)
     rows = lambda df: sorted((r["query_id"], r["rank"], r["dataset_id"], round(r["score"], 9), r["evaluations"]) for r in df.collect())
+    assert "qlo0" not in got._jdf.queryExecution().optimizedPlan().toString()  # the bounds are there already
     assert "q_id" not in got._jdf.queryExecution().optimizedPlan().toString()
     sizes = [r["n"] for r in index.roots.select("n").collect()]
     assert rows(got) == rows(base.box_bound_batch(index, ids, 4, most=0)) == rows(base.box_bound_batch(index, ids, 4, most=sorted(sizes)[len(sizes) // 2]))
