@@ -18,3 +18,14 @@ def test_a_batch_sends_the_driver_one_row_per_query(spark, monkeypatch):
     assert {i: x.rows for i, x in got.items()} == {i: x.rows for i, x in hashed.items()}
     for i, rows in plain.items():
         assert got[i].rows == rows
+
+
+def test_all_queries_go_through_the_tree_of_shared_cells(spark):
+    """The batch has the results of single searches, whichever nodes the second wave drops."""
+    index = w.built(spark, SF, "ev_trip")
+    ids = w.queries_of(index, 4)
+    for k in (1, 3):
+        got = {i: [] for i in ids}
+        for r in sd.gbo_tree_batch(index, ids, k).orderBy("query_id", "rank").collect():
+            got[r["query_id"]].append((r["score"], r["dataset_id"]))
+        assert got == {i: sd.topk_gbo(index, i, k).rows for i in ids}
